@@ -23,7 +23,7 @@ from fieldseg.runtime import cut
 BASE = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 #: feature: (expression over the base counts, times 1000, and the slack beyond its fences)
 FEATURES = {
-    "length_of_words": ("word_chars * 1000 div greatest(n_words, 1)", 1500),
+    "length_of_words": ("word_chars * 1000 div greatest(n_words, 1)", 3000),
     "symbols_per_word": ("n_symbols * 1000 div greatest(n_words, 1)", 100),
     "dup_lines_per_word": ("n_dup_lines * 1000 div greatest(n_words, 1)", 20),
     "repeat_share": ("n_repeat_words * 1000 div greatest(n_words, 1)", 150),

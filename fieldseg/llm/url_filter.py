@@ -48,7 +48,7 @@ def host_rule(rule_id: int, host: str, path: str, verdict: str) -> tuple:
     """A rule about a host, its subdomains and a path prefix, as a pattern over whole urls."""
     letters = "".join(f"[{c.upper()}{c}]" if c.isalpha() and c.isascii() else re.escape(c) for c in host)
     # the first :// of the url and no later one
-    pattern = rf"(?s)^(?:(?!://).)*://(?:[^/?#]*\.)?{letters}(?=[/?#]|\\z)" + (re.escape(path) if path else "")
+    pattern = rf"(?s)^(?:(?!://).)*://(?:[^/?#]*\.)?{letters}(?=[/?#]|\z)" + (re.escape(path) if path else "")
     tokens = re.findall("[a-z0-9]+", host) + (re.findall("[a-z0-9]+", path.lower().rpartition("/")[0]) if "/" in path else [])
     return rule_id, host + path, pattern, tokens, verdict, len(host + path)
 
