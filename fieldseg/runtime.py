@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -23,3 +24,18 @@ def cut(df: DataFrame, eager: bool = True) -> DataFrame:
 
 def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
+class Scratch:
+    """A table written to the shared folder as parquet, compact and splittable, until `drop` removes it."""
+
+    def __init__(self, df: DataFrame, name: str = "scratch"):
+        self.spark = df.sparkSession
+        self.path = f"{shared_dir(self.spark)}/{name}-{uuid.uuid4().hex}"
+        df.write.parquet(self.path)
+        self.table = self.spark.read.schema(df.schema).parquet(self.path)
+
+    def drop(self) -> None:
+        sc = self.spark.sparkContext
+        at = sc._jvm.org.apache.hadoop.fs.Path(self.path)
+        at.getFileSystem(sc._jsc.hadoopConfiguration()).delete(at, True)
