@@ -32,7 +32,7 @@ class Scratch:
     def __init__(self, df: DataFrame, name: str = "scratch"):
         self.spark = df.sparkSession
         self.path = f"{shared_dir(self.spark)}/{name}-{uuid.uuid4().hex}"
-        df.write.parquet(self.path)
+        df.write.option("compression", "zstd").parquet(self.path)
         self.table = self.spark.read.schema(df.schema).parquet(self.path)
 
     def drop(self) -> None:
