@@ -12,8 +12,11 @@ Null and empty texts have the end id alone.  Repeated rows are packed each.  Nul
 from __future__ import annotations
 
 import heapq
+import json
 import re
+import unicodedata
 import zlib
+from array import array
 from itertools import count
 
 import numpy as np
@@ -28,58 +31,78 @@ END_ID = 2
 BLOCK_ITEMS = 1500
 #: Words whose ids a worker remembers; others are encoded each time.
 KNOWN_WORDS = 300_000
-_PART = re.compile(rb"([A-Za-z\x80-\xff]+)([!-&(-/:-@\[-`{-~]*)")
+_PART = re.compile(rb"([a-z\x80-\xff]+)([!-&(-/:-@\[-`{-~]*)")
 _encoders: dict[str, "Encoder"] = {}
 
 
-class Encoder:
-    """Ids of whole texts as little-endian bytes, by a tokenizer whose pre-tokens never cross ASCII white space.
+def _byte_letters() -> dict[str, int]:
+    """The printable letter that byte-level vocabularies write for each byte: itself if printable in Latin-1, else the next free one."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in plain]
+    return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(rest)}
 
-    A word of letters with ASCII marks behind it (no apostrophe, which begins contractions) splits exactly where the
-    tokenizer's pattern splits it, so its letters and its marks are looked up apart; any other word is encoded whole.
+
+class Encoder(dict):
+    """Ids of whole texts as little-endian bytes; the dictionary holds the ids of known words.
+
+    The tokenizer's pre-tokens never cross ASCII white space, so words are encoded by themselves.  A word of letters with ASCII
+    marks behind it (no apostrophe, which begins contractions) splits exactly where the tokenizer's pattern splits it; its
+    letters are one pre-token.  Where the vocabulary numbers its merges in order and marks word ends, those merges run in a
+    faster library on the same table; all other words go through the tokenizer itself.
     """
 
     def __init__(self, path: str, end_id: int):
         from tokenizers import Tokenizer
 
+        super().__init__()
         self.tokenizer, self.end = Tokenizer.from_file(path), np.uint32(end_id).tobytes()
-        self.known: dict[bytes, bytes] = {}
-
-    def _fresh(self, words: list[bytes]) -> dict[bytes, bytes]:
-        got = self.tokenizer.encode_batch_fast([w.decode() for w in words], add_special_tokens=False)
-        return {w: np.array(x.ids, "<u4").tobytes() for w, x in zip(words, got)}
-
-    def encode_all(self, texts: list[bytes]) -> list[bytes]:
-        """Ids of each text with the end id, four bytes an id."""
-        split = [t.split() for t in texts]
-        known, seen = self.known, {}
-        parts: dict[bytes, tuple[bytes, bytes]] = {}
-        need: dict[bytes, None] = {}
-        for w in {w for words in split for w in words if w not in known}:
-            m = _PART.fullmatch(w)
-            if m and m[1].decode().isalpha():
-                core, marks = m[1].lower(), m[2]
-                parts[w] = (core, marks)
-                need.update((x, None) for x in (core, marks) if x and x not in known)
+        self.merges = self._merge_table(path)
+
+    @staticmethod
+    def _merge_table(path: str):
+        import tiktoken
+
+        with open(path) as f:
+            kind = json.load(f)
+        model, letters = kind["model"], _byte_letters()
+        normal = json.dumps(kind["normalizer"])
+        special = {t["content"] for t in kind["added_tokens"]}
+        if model.get("end_of_word_suffix") != "</w>" or model.get("unk_token") or '"Lowercase"' not in normal or '"NFC"' not in normal:
+            return None
+        ranks = {}
+        for token, i in model["vocab"].items():
+            if token not in special:
+                word = token.removesuffix("</w>")
+                ranks[bytes(letters[c] for c in word) + b"\0" * (word != token)] = i
+        if len(ranks) != len(model["vocab"].keys() - special) or any(len(x) > 1 for x, i in ranks.items() if i < 256):
+            return None
+        merged = [tuple(m if isinstance(m, list) else m.split(" ")) for m in model["merges"]]
+        if any(model["vocab"][a + b] != 512 + i for i, (a, b) in enumerate(merged)):
+            return None
+        return tiktoken.Encoding("words", pat_str=r"[^\x00]+\x00", mergeable_ranks=ranks, special_tokens={})
+
+    def _slow(self, word: bytes) -> bytes:
+        return np.array(self.tokenizer.encode(word.decode(), add_special_tokens=False).ids, "<u4").tobytes()
+
+    def __missing__(self, word: bytes) -> bytes:
+        m = _PART.fullmatch(word) if self.merges else None
+        if m and (core := m[1].decode()).isalpha():
+            if m[2]:
+                ids = self[m[1]] + (self[m[2]] if len(m[2]) < 8 else self._slow(m[2]))
             else:
-                need[w] = None
-        if need:
-            seen = self._fresh(list(need))
-            seen[b""] = b""
-        get = lambda x: known[x] if x in known else seen[x]
-        for w, (core, marks) in parts.items():
-            seen[w] = get(core) + (get(marks) if marks else b"")
-        room = KNOWN_WORDS - len(known)
-        if room > 0 and seen:
-            known.update(list(seen.items())[:room])
-        both = {**seen} if seen else known
-        out = []
-        for words in split:
-            try:
-                out.append(b"".join(map(known.__getitem__, words)) + self.end)
-            except KeyError:
-                out.append(b"".join([known[w] if w in known else both[w] for w in words]) + self.end)
-        return out
+                if not core.isascii():
+                    core = unicodedata.normalize("NFC", core).lower()
+                ids = array("I", self.merges.encode_ordinary(core + "\0")).tobytes() if core.isalpha() else self._slow(word)
+        else:
+            ids = self._slow(word)
+        if len(self) < KNOWN_WORDS:
+            self[word] = ids
+        return ids
+
+    def encode(self, text: bytes) -> bytes:
+        """Ids of a text with the end id, four bytes an id."""
+        # only A-Z: the tokenizer lower-cases the rest after it has composed characters
+        return b"".join(map(self.__getitem__, text.lower().split())) + self.end
 
 
 def encoder(path: str, end_id: int = END_ID) -> Encoder:
@@ -98,25 +121,16 @@ def token_pieces(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, end
         for rb in batches:
             ids, texts = rb.column(0), rb.column(1)
             rows, start, length, crc, total = [], [], [], [], []
-            a, n = 0, len(texts)
-            while a < n:
-                z, size = a, 0
-                part = []
-                while z < n and size < 4 << 20:
-                    t = (texts[z].as_py() or "").encode()
-                    part.append(t)
-                    size += len(t) + 1
-                    z += 1
-                for i, b in enumerate(enc.encode_all(part), a):
-                    m = len(b) // 4
-                    for s in range(0, m, capacity):
-                        e = min(m, s + capacity)
-                        rows.append(i)
-                        start.append(s)
-                        length.append(e - s)
-                        crc.append(zlib.crc32(memoryview(b)[4 * s : 4 * e]))
-                        total.append(m)
-                a = z
+            for i, t in enumerate(texts):
+                b = enc.encode((t.as_py() or "").encode())
+                m = len(b) // 4
+                for s in range(0, m, capacity):
+                    e = min(m, s + capacity)
+                    rows.append(i)
+                    start.append(s)
+                    length.append(e - s)
+                    crc.append(zlib.crc32(memoryview(b)[4 * s : 4 * e]))
+                    total.append(m)
             yield pa.RecordBatch.from_arrays([ids.take(pa.array(rows, pa.int64())), *(pa.array(x, pa.int64()) for x in (start, length, crc, total))], ["doc_id", "start", "length", "ids_crc32", "doc_tokens"])
 
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
