@@ -56,7 +56,8 @@ class LineRuns:
     def _write(self, run: DataFrame, level: int) -> str:
         path = f"{self.path}/level{level}-{self.n}"
         self.n += 1
-        run.repartition(F.col("h1"), F.col("h2")).sortWithinPartitions("h1", "h2").write.parquet(path)
+        # runs come from an aggregation by the hash, so equal hashes are in one partition already
+        run.sortWithinPartitions("h1", "h2").write.option("compression", "zstd").parquet(path)
         return path
 
     @staticmethod
