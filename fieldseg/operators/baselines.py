@@ -12,7 +12,7 @@ from fieldseg.model import both_directions
 from fieldseg.operators import components as comp
 from fieldseg.operators.contraction import contract_components
 from fieldseg.operators.kernels import GridNeighbours, breadth_first, union_find
-from fieldseg.runtime import cut
+from fieldseg.runtime import cut, fresh
 
 #: Edges that a baseline may bring to the driver or to one task.
 ONE_PROCESS = 5_000_000
@@ -66,7 +66,7 @@ def label_propagation(vertices: DataFrame, edges: DataFrame, max_rounds: int = 1
     state, rounds = cut(vertices.select("id", F.col("id").alias("label"))), 0
     for _ in range(max_rounds):
         best = e.join(state.select(F.col("id").alias("dst"), F.col("label").alias("seen")), "dst").groupBy("src").agg(F.max("seen").alias("seen"))
-        moved = cut(state.join(best, F.col("id") == F.col("src"), "left").select("id", "label", F.greatest("label", F.coalesce("seen", "label")).alias("now")))
+        moved = fresh(state.join(best, F.col("id") == F.col("src"), "left").select("id", "label", F.greatest("label", F.coalesce("seen", "label")).alias("now")))
         if moved.where("now > label").isEmpty():
             return state, rounds
         state, rounds = moved.select("id", F.col("now").alias("label")), rounds + 1
@@ -134,7 +134,7 @@ def grow_from_extrema(ptr: DataFrame, name: str = "ptr", max_rounds: int = 1 <<
     front = ptr.where(F.col("id") == F.col(name)).select("id", F.col("id").alias("ext"))
     out, rounds = front, 0
     for _ in range(max_rounds):
-        front = cut(back.join(front.select(F.col("id").alias("p"), "ext"), "p").select("id", "ext"))
+        front = fresh(back.join(front.select(F.col("id").alias("p"), "ext"), "p").select("id", "ext"))
         if front.isEmpty():
             return out.select("id", F.col("ext").alias(name)), rounds
         out, rounds = out.unionByName(front), rounds + 1

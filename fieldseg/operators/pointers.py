@@ -6,7 +6,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from fieldseg.functions.grid import GridSpec
-from fieldseg.runtime import cut
+from fieldseg.operators.kernels import double
+from fieldseg.runtime import cut, fresh
 
 MAX_ROUNDS = 64
 
@@ -59,7 +60,7 @@ def compress(ptr: DataFrame, mode: str = "doubling", active: bool = True, name:
     for _ in range(MAX_ROUNDS if mode == "doubling" else 1 << 20):
         through = (state if mode == "doubling" else first).select(F.col("id").alias("_i"), F.col("p").alias("_p"))
         moved = live.join(through, F.col("p") == F.col("_i"), "left").select("id", "p", F.coalesce("_p", "p").alias("q"))
-        moved = cut(moved)
+        moved = fresh(moved)
         if moved.where("p <> q").isEmpty():
             live = moved.select("id", "p")
             break
@@ -82,12 +83,10 @@ def compress_partition(ptr: DataFrame, name: str = "ptr", in_place: bool = True)
     import pyarrow as pa
 
     def run(table):
-        from fieldseg.operators.kernels import double
-
         ids, p = table["id"].to_numpy(), table[name].to_numpy()
         return pa.table({"id": ids, name: double(ids, p, in_place)[0]})
 
-    return ptr.select("id", name).groupBy(F.lit(0)).applyInArrow(run, f"id long, {name} long")
+    return ptr.select("id", name, F.lit("one").alias("_one")).groupBy("_one").applyInArrow(run, f"id long, {name} long")
 
 
 def trace(ptr: DataFrame, seeds: DataFrame, name: str = "ptr") -> DataFrame:
@@ -97,7 +96,7 @@ def trace(ptr: DataFrame, seeds: DataFrame, name: str = "ptr") -> DataFrame:
     done = None
     while True:
         last = F.element_at("path", -1)
-        moved = cut(live.join(step, last == F.col("_i"), "left").withColumn("_end", F.coalesce(F.col("_p"), last) == last))
+        moved = fresh(live.join(step, last == F.col("_i"), "left").withColumn("_end", F.coalesce(F.col("_p"), last) == last))
         ended = moved.where("_end").select("seed", "path")
         done = ended if done is None else done.unionByName(ended)
         live = moved.where("not _end").select("seed", F.array_append("path", F.col("_p")).alias("path"))

@@ -2,12 +2,36 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
+import zipfile
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
 
+_shipped: set[str] = set()
+
+
+def ship(spark: SparkSession) -> None:
+    """Send the package to the executors' Python, once a session, where it isn't on their path already."""
+    sc = spark.sparkContext
+    if sc.applicationId in _shipped:
+        return
+    package = Path(__file__).resolve().parent
+    # the driver serves this file to the executors as long as the session lives
+    folder = tempfile.mkdtemp(prefix="fieldseg-code-")
+    atexit.register(shutil.rmtree, folder, ignore_errors=True)
+    archive = f"{folder}/{package.name}-{uuid.uuid4().hex[:8]}.zip"
+    with zipfile.ZipFile(archive, "w", zipfile.ZIP_DEFLATED) as z:
+        for f in sorted(package.rglob("*.py")):
+            z.write(f, f.relative_to(package.parent))
+    sc.addPyFile(archive)
+    _shipped.add(sc.applicationId)
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The shared checkpoint folder; a private one is set only where the session names none (tests)."""
     sc = spark.sparkContext
@@ -22,6 +46,16 @@ def cut(df: DataFrame, eager: bool = True) -> DataFrame:
     return df.checkpoint(eager)
 
 
+def fresh(df: DataFrame) -> DataFrame:
+    """`cut`, for loops: the plan is left with a schema alone.
+
+    A checkpoint keeps the constraints that the optimizer found, which grow from round to round of a loop.
+    """
+    done = cut(df)
+    jvm = df.sparkSession._jsparkSession
+    return DataFrame(jvm.createDataFrame(done._jdf.javaRDD(), done._jdf.schema()), df.sparkSession)
+
+
 def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
