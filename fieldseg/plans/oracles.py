@@ -13,8 +13,8 @@ FIELD = {
     "sparse": "select day(ts) - 1 + (select max(day(ts)) from events) * user_id as id, cast(sum(cast(round(value * 100) as bigint)) as bigint) as f from events group by 1",
 }
 _W = "(select cast(ceil(sqrt(count(*))) as bigint) from orders)"
-NX = {"orders": _W, "cube": "50", "line": "1000000000", "user_day": "(select max(day(ts)) from events)", "sparse": "(select max(day(ts)) from events)"}
-NY = {"orders": "1000000000", "cube": "11", "line": "1000000000", "user_day": "1000000000", "sparse": "1000000000"}
+NX = {"orders": _W, "cube": "50", "line": "cast(1000000000 as bigint)", "user_day": "(select max(day(ts)) from events)", "sparse": "(select max(day(ts)) from events)"}
+NY = {"orders": "cast(1000000000 as bigint)", "cube": "11", "line": "cast(1000000000 as bigint)", "user_day": "cast(1000000000 as bigint)", "sparse": "cast(1000000000 as bigint)"}
 DIM = {"orders": 2, "cube": 3, "line": 1, "user_day": 2, "sparse": 2}
 
 
@@ -28,14 +28,14 @@ def vertices(field: str, smooth: int = 0) -> str:
     out = f"steps(dx, dy, dz) as (values {rows}), v0 as (select cast(id as bigint) as id, cast(f as bigint) as f, {at} from ({FIELD[field]}))"
     for k in range(smooth):
         out += f", v{k + 1} as (select a.id, cast(sum(b.f) as bigint) as f, any_value(a.x) as x, any_value(a.y) as y, any_value(a.z) as z from v{k} a, steps s join v{k} b on b.x = a.x + dx and b.y = a.y + dy and b.z = a.z + dz group by a.id)"
-    return out + f", v as (select * from v{smooth})"
+    return out + f", v as materialized (select * from v{smooth})"
 
 
 STAR = "v a, steps s join v b on b.x = a.x + dx and b.y = a.y + dy and b.z = a.z + dz"
 
 
 def pointers(field: str, smooth: int = 0) -> str:
-    return vertices(field, smooth) + f", ptr as (select a.id, arg_max(b.id, row(b.f, b.id)) as up, arg_min(b.id, row(b.f, b.id)) as down from {STAR} group by a.id)"
+    return vertices(field, smooth) + f", ptr as materialized (select a.id, arg_max(b.id, row(b.f, b.id)) as up, arg_min(b.id, row(b.f, b.id)) as down from {STAR} group by a.id)"
 
 
 def walks(field: str, smooth: int = 0, sides: tuple[str, ...] = ("up", "down")) -> str:
@@ -60,11 +60,11 @@ NORM = "cast(f - (select min(f) from v) as double) / cast((select max(f) - min(f
 def masked(field: str, predicate: str) -> str:
     """CTEs up to m(id) and e(src, dst) for a predicate over f and `norm`."""
     p = predicate.replace("norm", f"({NORM})")
-    return vertices(field) + f", m as (select id, x, y, z from v where {p}), e as (select a.id as src, b.id as dst from m a, steps s join m b on b.x = a.x + dx and b.y = a.y + dy and b.z = a.z + dz where a.id <> b.id)"
+    return vertices(field) + f", m as materialized (select id, x, y, z from v where {p}), e as materialized (select a.id as src, b.id as dst from m a, steps s join m b on b.x = a.x + dx and b.y = a.y + dy and b.z = a.z + dz where a.id <> b.id)"
 
 
 CC = """, c(id, label) using key (id) as (select id, id from m union (
-  select distinct on (u.id) u.id, w.label from recurring.c u, c w, e where e.src = u.id and e.dst = w.id and w.label > u.label order by u.id, w.label desc))"""
+  select u.id, max(w.label) from c w join e on e.dst = w.id join recurring.c u on u.id = e.src where w.label > u.label group by u.id))"""
 
 
 def components(field: str, predicate: str, implicit: bool = True) -> str:
@@ -84,7 +84,7 @@ GRAPH = {
 
 
 def graph_components(graph: str) -> str:
-    return f"with recursive {GRAPH[graph]}, e as (select src, dst from e0 union select dst, src from e0){CC} select id, label from c"
+    return f"with recursive {GRAPH[graph]}, e as materialized (select src, dst from e0 union select dst, src from e0){CC} select id, label from c"
 
 
 def block_of(alias: str, nx: str, ny: str, kx: int, ky: int) -> str:
@@ -157,10 +157,10 @@ def build() -> dict[str, str]:
         o[f"components_{q}"] = graph_components(g)
     for b in ("hook_compress_parts", "union_find_parts", "tree_merge_parts", "sampled_components_parts", "local_first_parts", "label_propagation_parts"):
         o[b] = o["components_order_part"]
-    o["any_representative_parts"] = f"with recursive {GRAPH['order_part']}, e as (select src, dst from e0 union select dst, src from e0){CC} select size, count(*) as components from (select count(*) as size from c group by label) group by size"
+    o["any_representative_parts"] = f"with recursive {GRAPH['order_part']}, e as materialized (select src, dst from e0 union select dst, src from e0){CC} select size, count(*) as components from (select count(*) as size from c group by label) group by size"
     sweep = "t as (select cast(unnest(range(1, 10)) as bigint) as t)"
     o["percolation_sweep"] = f"""with recursive {vertices("orders")}, {sweep}, n as (select id, x, y, z, {NORM} as norm from v), mt as (select t, id, x, y, z from t, n where norm > t / 10.0),
-        e as (select a.t, a.id as src, b.id as dst from mt a, steps s join mt b on b.t = a.t and b.x = a.x + dx and b.y = a.y + dy where a.id <> b.id),
+        e as materialized (select a.t, a.id as src, b.id as dst from mt a, steps s join mt b on b.t = a.t and b.x = a.x + dx and b.y = a.y + dy where a.id <> b.id),
         c(t, id, label) using key (t, id) as (select t, id, id from mt union (select distinct on (u.t, u.id) u.t, u.id, w.label from recurring.c u, c w, e where e.t = u.t and w.t = u.t and e.src = u.id and e.dst = w.id and w.label > u.label order by u.t, u.id, w.label desc)),
         s as (select t, label, count(*) as size from c group by t, label)
         select t as tenths, cast(sum(size) as bigint) as inside, count(*) as components, max(size) as largest from s group by t"""
@@ -169,8 +169,8 @@ def build() -> dict[str, str]:
     o["spanning_segments"] = f"{comp5}, b as (select c.label, {block_of('v', _W, NYO, 4, 4)} as block from c join v using (id)), s as (select label, min(block) < max(block) as s from b group by label) select count(*) as segments, count(*) filter (where s) as spanning from s"
     o["topk_segments"] = f"{both_sides('orders')}, s as (select max_id, count(*) as size from seg group by max_id) select max_id, size from s order by size desc, max_id limit 10"
     kinds = f"{both_sides('orders')}, r as (select {block_of('v', _W, NYO, 2, 2)} as block, {NORM} > 0.5 as inside, seg.max_id from seg join v using (id))"
-    o["segments_rollup"] = f"{kinds} select block, inside, count(*) as vertices, count(distinct max_id) as segments from r group by rollup (block, inside)"
-    o["segments_cube"] = f"{kinds} select block, inside, count(*) as vertices, count(distinct max_id) as segments from r group by cube (block, inside)"
+    o["segments_rollup"] = f"{kinds} select coalesce(block, -1) as block, coalesce(cast(inside as varchar), 'all') as inside, count(*) as vertices, count(distinct max_id) as segments from r group by rollup (block, inside)"
+    o["segments_cube"] = f"{kinds} select coalesce(block, -1) as block, coalesce(cast(inside as varchar), 'all') as inside, count(*) as vertices, count(distinct max_id) as segments from r group by cube (block, inside)"
     o["trace_paths_line"] = f"with recursive {pointers('line')}, w(seed, p, path) as (select id, id, cast(id as varchar) from ptr where id % 97 = 0 union all select w.seed, q.up, w.path || ',' || q.up from w join ptr q on w.p = q.id where q.up <> q.id) select seed, path from w join ptr q on w.p = q.id where q.up = q.id"
     o["separatrices_line"] = f"""with recursive {walks("line")}, k as (select a.id, count(*) filter (where row(b.f, b.id) < row(a.f, a.id)) as lo, count(*) filter (where row(b.f, b.id) > row(a.f, a.id)) as hi from {STAR} group by a.id)
         select a.id as saddle, 'down' as side, b.id as seed, e.ext as end_id from {STAR} join k on k.id = a.id join e_down e on e.id = b.id where k.lo > 1 and row(b.f, b.id) < row(a.f, a.id)
@@ -178,7 +178,7 @@ def build() -> dict[str, str]:
     for f in ("cube", "orders"):
         o[f"extremum_graph_{f}"] = f"""with recursive {walks(f, 0, ("up",))}, r as (select v.*, row_number() over (order by f, id) - 1 as ord, e.ext from v join e_up e using (id))
             select least(a.ext, b.ext) as a, greatest(a.ext, b.ext) as b, max(least(a.ord, b.ord)) as saddle_ord from r a, steps s join r b on b.x = a.x + dx and b.y = a.y + dy and b.z = a.z + dz where a.ext <> b.ext group by 1, 2"""
-    near = """q as (select vec_id as id, list_transform(embedding, x -> round(cast(x as double) * 1000)) as v from embeddings),
+    near = """q as (select vec_id as id, list_transform(embedding, lambda x: round(cast(x as double) * 1000)) as v from embeddings),
         n as (select a.id, b.id as nbr, cast(list_dot_product(a.v, b.v) as bigint) as sim from q a, q b where a.id <> b.id),
         k as (select id, nbr, sim from n qualify row_number() over (partition by id order by sim desc, nbr) <= 8)"""
     o["nearest_embeddings"] = f"with {near} select id, nbr, sim from k"

@@ -109,7 +109,8 @@ def _grouped(how: str) -> Query:
     def run(f, m):
         labels = segment.descending(f.df, f.spec).join(m.select("id", F.col("m").alias("inside")), "id")
         rows = labels.select(Blocks(f.spec, (2, 2)).block().alias("block"), "inside", "max_id")
-        return getattr(rows, how)("block", "inside").agg(F.count("*").alias("vertices"), F.countDistinct("max_id").alias("segments"))
+        out = getattr(rows, how)("block", "inside").agg(F.count("*").alias("vertices"), F.countDistinct("max_id").alias("segments"))
+        return out.select(F.coalesce("block", F.lit(-1)).cast("long").alias("block"), F.coalesce(F.col("inside").cast("string"), F.lit("all")).alias("inside"), "vertices", "segments")
 
     return _masked("orders", run, above=0.5, normalised=True)
 
@@ -151,7 +152,7 @@ def _representatives(v, e) -> DataFrame:
 def _incremental(s, d) -> DataFrame:
     """Edges of orders and parts as a stream of lines, merged in three steps a batch."""
     line = s.read.parquet(f"{d}/lineitem.parquet").schema
-    stream = s.readStream.schema(line).parquet(f"{d}/lineitem.parquet")
+    stream = s.readStream.schema(line).parquet(feeds.stream_path(d, "lineitem"))
     edges = stream.where((F.round(F.col("l_discount") * 100).cast("long") == 10) & (F.col("l_quantity") >= 45)).select((F.col("l_orderkey") * 2).alias("src"), (F.col("l_partkey") * 2 + 1).alias("dst"))
     state = feeds.IncrementalComponents(s)
 
@@ -239,7 +240,7 @@ def build() -> dict[str, Query]:
     q["noise_grid_stats"] = lambda s, d: _noise(synthetic.noise_grid(s, (32, 32, 32)))
     q["bump_grid_stats"] = lambda s, d: _noise(synthetic.bump_grid(s, d))
     q["resample_grid"] = lambda s, d: _noise(synthetic.resample(synthetic.bump_grid(s, d, (16, 16, 16)), 2))
-    q["stream_sessions"] = lambda s, d: feeds.drained(feeds.sessions(feeds.events_stream(s, f"{d}/events.parquet"), "6 hours")).withColumn("first_ts", F.col("first_ts").cast("timestamp_ntz"))
-    q["stream_window_field"] = lambda s, d: feeds.drained(feeds.windowed_field(feeds.events_stream(s, f"{d}/events.parquet"))).withColumn("day", F.col("day").cast("timestamp_ntz"))
+    q["stream_sessions"] = lambda s, d: feeds.drained(feeds.sessions(feeds.events_stream(s, feeds.stream_path(d, "events")), "6 hours")).withColumn("first_ts", F.col("first_ts").cast("timestamp_ntz"))
+    q["stream_window_field"] = lambda s, d: feeds.drained(feeds.windowed_field(feeds.events_stream(s, feeds.stream_path(d, "events")))).withColumn("day", F.col("day").cast("timestamp_ntz"))
     q["stream_incremental_components"] = _incremental
     return q

@@ -18,6 +18,11 @@ from fieldseg.runtime import shared_dir
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
+def stream_path(folder: str, name: str) -> str:
+    """A table as the path of a file stream; the pattern lets it be one file as well as a folder of files."""
+    return f"{folder}/{name}.parque[t]"
+
+
 def events_stream(spark: SparkSession, path: str, files_per_batch: int | None = None) -> DataFrame:
     reader = spark.readStream.schema(EVENTS).format("parquet")
     if files_per_batch:
