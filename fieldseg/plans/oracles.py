@@ -25,7 +25,7 @@ def vertices(field: str, smooth: int = 0) -> str:
     steps = [s for s in product((-1, 0, 1), repeat=DIM[field]) if min(s) >= 0 or max(s) <= 0]
     rows = ", ".join("(" + ", ".join(map(str, (*s, 0, 0)[:3])) + ")" for s in steps)
     at = f"cast(id % {NX[field]} as bigint) as x, cast(id // {NX[field]} % {NY[field]} as bigint) as y, cast(id // ({NX[field]} * {NY[field]}) as bigint) as z"
-    out = f"steps(dx, dy, dz) as (values {rows}), v0 as (select cast(id as bigint) as id, cast(f as bigint) as f, {at} from ({FIELD[field]}))"
+    out = f"steps(dx, dy, dz) as (values {rows}), v0 as materialized (select cast(id as bigint) as id, cast(f as bigint) as f, {at} from ({FIELD[field]}))"
     for k in range(smooth):
         out += f", v{k + 1} as (select a.id, cast(sum(b.f) as bigint) as f, any_value(a.x) as x, any_value(a.y) as y, any_value(a.z) as z from v{k} a, steps s join v{k} b on b.x = a.x + dx and b.y = a.y + dy and b.z = a.z + dz group by a.id)"
     return out + f", v as materialized (select * from v{smooth})"
