@@ -6,7 +6,8 @@ is dealt to the shards in turn: their counts are one apart at most (law `rows`).
 table of bucket counts.
 
 Nulls are values like any other.  Copies of a record are numbered before they are scattered, after a map-side count, so a
-record that is a third of the table fills no bucket.  The result depends on seed and records, not on their order or partitioning.
+record that is a third of the table fills no bucket.  A bucket is a partition, whose number seeds its shuffle, so the result
+depends on seed, records and number of buckets, and not on the order or partitioning of the input; a lost task gives the same again.
 """
 
 from __future__ import annotations
@@ -18,7 +19,11 @@ from fieldseg.runtime import cut
 
 SHARDS = 16
 SEED = 20_260_801
-BUCKET_BYTES = 32 << 20
+#: Bytes of a bucket, which one task holds; there are MIN_BUCKETS at least.
+BUCKET_BYTES = 64 << 20
+MIN_BUCKETS = 64
+#: Bytes that a key row of `op2` takes in memory.
+KEY_BYTES = 64
 LAW = "rows"
 
 
@@ -33,10 +38,10 @@ def scatter(records: DataFrame, n_buckets: int, seed: int = SEED) -> DataFrame:
     counted = records.groupBy(*cols).agg(F.count("*").alias("_fs_n"))
     one = counted.select(*cols, F.explode(F.sequence(F.lit(1).cast("long"), F.col("_fs_n"))).alias("_fs_copy"))
     dice = F.xxhash64(F.lit(seed), *(F.struct(F.col(c).isNull(), F.col(c)) for c in cols), F.col("_fs_copy"))
-    return one.withColumn("_fs_dice", dice).withColumn("_fs_bucket", F.pmod(F.xxhash64(F.lit(seed + 1), "_fs_dice"), F.lit(n_buckets)))
+    return one.withColumn("_fs_dice", dice).withColumn("_fs_bucket", F.pmod(F.xxhash64(F.lit(seed + 1), "_fs_dice"), F.lit(n_buckets)).cast("int"))
 
 
-def external_shuffle(records: DataFrame, size: str, n_shards: int = SHARDS, seed: int = SEED, bucket_bytes: int = BUCKET_BYTES) -> DataFrame:
+def external_shuffle(records: DataFrame, size: str, n_shards: int = SHARDS, seed: int = SEED, bucket_bytes: int = BUCKET_BYTES, min_buckets: int = MIN_BUCKETS) -> DataFrame:
     """`records` with `shard` (0 to n_shards - 1) and `slot` (gapless in each shard); `size` names their column of bytes.
 
     What is in `records` is moved twice, so give it the columns to be written and no more.
@@ -44,13 +49,14 @@ def external_shuffle(records: DataFrame, size: str, n_shards: int = SHARDS, seed
     if clash := {"shard", "slot"} & set(records.columns):
         raise ValueError(f"records already have {sorted(clash)}")
     total = records.agg(F.sum(size)).first()[0] or 0
-    scattered = cut(scatter(records, 1 + int(total) // bucket_bytes, seed))
+    n_buckets = max(min_buckets, 1 + int(total) // bucket_bytes)
+    scattered = cut(scatter(records, n_buckets, seed))
     counts = scattered.groupBy("_fs_bucket").agg(F.count("*").alias("_fs_rows"))
     before = F.coalesce(F.sum("_fs_rows").over(Window.orderBy("_fs_bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     starts = counts.select("_fs_bucket", before.alias("_fs_start"))
     row = F.struct("_fs_dice", "_fs_copy", *records.columns)
     # sorted by the dice first, so that the permutation doesn't depend on the order of arrival
-    dealt = scattered.groupBy("_fs_bucket").agg(F.shuffle(F.array_sort(F.collect_list(row)), seed).alias("_fs_rows"))
+    dealt = scattered.repartitionById(n_buckets, "_fs_bucket").groupBy("_fs_bucket").agg(F.shuffle(F.array_sort(F.collect_list(row)), seed).alias("_fs_rows"))
     placed = dealt.join(starts, "_fs_bucket").select("_fs_start", F.posexplode("_fs_rows").alias("_fs_i", "_fs_row"))
     at = F.col("_fs_start") + F.col("_fs_i")
     return placed.select("_fs_row.*", F.pmod(at, F.lit(n_shards)).cast("int").alias("shard"), F.expr(f"(_fs_start + _fs_i) div {n_shards}").cast("long").alias("slot")).drop("_fs_dice", "_fs_copy")
@@ -67,5 +73,5 @@ def op2(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     text = F.coalesce("text", F.lit(""))
     keys = docs.select("doc_id", text_size(F.col("text")).alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"))
-    dealt = external_shuffle(keys, "size")
+    dealt = external_shuffle(keys.withColumn("held", F.lit(KEY_BYTES)), "held")
     return dealt.select("doc_id", "size", "text_crc32", F.lit(LAW).alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
