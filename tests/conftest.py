@@ -36,10 +36,3 @@ def duck():
     for t in "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split():
         c.sql(f"create view {t} as select * from '{SF}/{t}.parquet'")
     return c
-
-
-def rows(df):
-    """Rows as sorted text, for DataFrames of either engine."""
-    p = df.toPandas() if hasattr(df, "toPandas") else df
-    cols = sorted(p.columns)
-    return cols, sorted(str(tuple(None if x is None or x != x else x for x in r)) for r in p[cols].astype(object).itertuples(index=False, name=None))
