@@ -10,6 +10,10 @@ Keys are made for distinct fingerprints only.  Keys with few members give pairs,
 `RUN` members links its fingerprints through their one-bit neighbours instead, which joins exactly those within two bits and
 costs 65 rows a member, so no group makes all its pairs.  Components are found by distributed contraction.
 
+`near_dedup` is the wider form for similar texts: two texts whose five-word windows have a similarity of 0.8 differ in more
+bits than a pigeonhole bears, so several independent fingerprints make keys of two Golay indices each, and pairs are verified by
+the distance of 512-bit sketches.
+
 Nulls and texts without words have fingerprint zero, linked like any other.  Repeated rows are returned each.
 """
 
@@ -23,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fieldseg.llm.textkernel import LOWER, blocks
+from fieldseg.llm.textkernel import LOWER, NOT_SPACE, blocks, grams, mix
 from fieldseg.operators.contraction import contract_components
 from fieldseg.runtime import cut
 
@@ -213,18 +217,214 @@ def near_components(prints: DataFrame) -> DataFrame:
     return prints.join(labels.join(least, "label").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
 
 
-def near_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """One document of each component: the smallest id (nulls last), one of its copies; columns unchanged."""
-    body = F.xxhash64(F.coalesce(F.col(text), F.lit("")))
-    prints = cut(fingerprints(docs, doc_id, text, extra={"body": body}))
-    row = F.struct(F.col("doc_id").isNull().alias("n"), "doc_id", "body")
-    # copies of a text share a fingerprint, so the map-side minimum leaves one row a fingerprint and task
-    heads = prints.groupBy("fp").agg(F.min(row).alias("head")).join(component_map(prints), "fp").groupBy("label").agg(F.min("head").alias("head"))
-    heads = heads.select(F.col("head.doc_id").alias("_fs_id"), F.col("head.body").alias("_fs_body"))
-    kept = docs.join(heads, F.col(doc_id).cast("long").eqNullSafe(F.col("_fs_id")) & (body == F.col("_fs_body")), "left_semi")
-    if prints.groupBy("doc_id", "body").count().where("count > 1").isEmpty():
+#: Independent fingerprints of word pairs that make keys, bits of the sketch of long shingles that pairs are verified with.
+TABLES = 3
+SKETCH = 8
+SIMILARITY = 0.8
+#: Estimates of the similarity that are this near to the limit are checked exactly (about three standard errors).
+UNSURE = 0.1
+#: Bits of 64 that candidates of a table may differ in, and bits within which members of a large run share a leader.
+TABLE_BITS = 14
+LEADER_BITS = 4
+
+
+def windows(b, low: np.ndarray, sizes: tuple[int, ...]):
+    """For each size, the hashes of the windows of so many words and their documents; a shorter text is one window."""
+    s, e, d = b.words(NOT_SPACE, low)
+    h = b.hashes(b.prefix(low), s, e)
+    n = np.bincount(d, minlength=b.n)
+    for size in sizes:
+        g, at = grams(h, d, size)
+        own = d[at]
+        short = np.flatnonzero((n > 0) & (n < size))
+        if len(short):
+            first = np.searchsorted(d, short)
+            whole = np.array([int(np.bitwise_xor.reduce(mix(h[f : f + n[i]] + np.arange(n[i], dtype=np.uint64)))) for i, f in zip(short, first)], np.uint64)
+            g, own = np.concatenate([g, whole]), np.concatenate([own, short])
+            order = np.argsort(own, kind="stable")
+            g, own = g[order], own[order]
+        yield g, own
+
+
+def distinct(g: np.ndarray, own: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Each window of a document once."""
+    if not len(g):
+        return g, own
+    order = np.lexsort((g, own))
+    g, own = g[order], own[order]
+    new = np.concatenate([[True], (g[1:] != g[:-1]) | (own[1:] != own[:-1])])
+    return g[new], own[new]
+
+
+def sketches(docs: DataFrame, text: str, node: list, shingle: int = 5) -> DataFrame:
+    """(n1, n2, doc_id, keys array<long>, sketch array<long>): fingerprints of word pairs and of `shingle`-word windows.
+
+    Shorter texts are one window.  Hashes of windows come from the byte kernels, and each further 64 bits from another mix of them.
+    """
+
+    def bits(h, docs_of, n, words, salt):
+        out = []
+        for k in range(words):
+            out.append(majority(mix(h + np.uint64((salt + k) * 0x9E3779B97F4A7C15 & (1 << 64) - 1)), docs_of, n))
+        return np.stack(out, axis=1)
+
+    def run(batches):
+        for rb in batches:
+            keys, sketch = [np.zeros((0, TABLES), np.uint64)], [np.zeros((0, SKETCH), np.uint64)]
+            for b in blocks(rb.column(3)):
+                pairs, long = windows(b, LOWER[b.buf], (2, shingle))
+                keys.append(bits(*pairs, b.n, TABLES, 1))
+                sketch.append(bits(*distinct(*long), b.n, SKETCH, 101))
+            lists = [pa.ListArray.from_arrays(pa.array(np.arange(len(m) + 1, dtype=np.int32) * m.shape[1]), pa.array(m.view(np.int64).ravel())) for m in (np.concatenate(keys), np.concatenate(sketch))]
+            yield pa.RecordBatch.from_arrays([*rb.columns[:3], *lists], ["n1", "n2", "doc_id", "keys", "sketch"])
+
+    own = docs.select(*node, F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
+    return own.mapInArrow(run, "n1 long, n2 long, doc_id long, keys array<long>, sketch array<long>")
+
+
+def pair_keys(nodes: DataFrame) -> DataFrame:
+    """(key, fp, node): for each table and each two of its segments, the Golay indices of both, with the table's fingerprint."""
+
+    def run(batches):
+        code = Golay()
+        for rb in batches:
+            node = rb.column(0).to_numpy()
+            fps = rb.column(1).flatten().to_numpy().reshape(len(node), -1).view(np.uint64)
+            for a in range(0, len(node), 1 << 12):
+                for t in range(TABLES):
+                    fp, own = fps[a : a + (1 << 12), t], node[a : a + (1 << 12)]
+                    got = [code.indices((fp >> np.uint64(at) & np.uint64((1 << n) - 1)).astype(np.int64)) for at, n in SEGMENTS]
+                    for i in range(3):
+                        (r1, x1), (r2, x2) = got[i], got[(i + 1) % 3]
+                        n2 = np.bincount(r2, minlength=len(fp))
+                        first2 = np.cumsum(n2) - n2
+                        each = n2[r1]
+                        row = np.repeat(r1, each)
+                        other = x2[np.repeat(first2[r1], each) + np.arange(len(row)) - np.repeat(np.cumsum(each) - each, each)]
+                        key = (np.int64(3 * t + i) << 24) | (np.repeat(x1, each) << 12) | other
+                        yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(fp[row].view(np.int64)), pa.array(own[row])], ["key", "fp", "node"])
+
+    return nodes.select("node", "keys").mapInArrow(run, "key long, fp long, node long")
+
+
+def _run_pairs(f: np.ndarray, n: np.ndarray):
+    """Candidate pairs of a run with one key: all that are near, or in a large run each with its leader and leaders with leaders."""
+    if len(f) > RUN:
+        left, leaders = np.arange(len(f)), []
+        while len(left):
+            near = np.bitwise_count(f[left] ^ f[left[0]]) <= LEADER_BITS
+            mine = left[near]
+            leaders.append(mine[0])
+            if len(mine) > 1:
+                yield np.repeat(n[mine[0]], len(mine) - 1), n[mine[1:]]
+            left = left[~near]
+        f, n = f[leaders], n[leaders]
+    for d in range(1, len(f)):
+        ok = np.bitwise_count(f[d:] ^ f[:-d]) <= TABLE_BITS
+        if ok.any():
+            yield n[:-d][ok], n[d:][ok]
+
+
+def _candidates(batches):
+    """(a, b) from rows sorted by (key, fp); a key's rows are held until it ends."""
+    held_k, held_f, held_n = np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.int64)
+
+    def made(pairs):
+        a, b = (np.concatenate([p[i] for p in pairs]) for i in (0, 1))
+        both = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], ["a", "b"])
+
+    for rb in (*batches, None):
+        if rb is not None:
+            k = np.concatenate([held_k, rb.column(0).to_numpy()])
+            f = np.concatenate([held_f, rb.column(1).to_numpy().view(np.uint64)])
+            n = np.concatenate([held_n, rb.column(2).to_numpy()])
+        else:
+            k, f, n = held_k, held_f, held_n
+        if not len(k):
+            continue
+        cuts = np.concatenate([[0], np.flatnonzero(k[1:] != k[:-1]) + 1, [len(k)]])
+        last = len(cuts) - 1 if rb is None else len(cuts) - 2
+        whole = int(cuts[last])
+        size = np.diff(cuts[: last + 1])
+        pairs = []
+        small = np.repeat(size <= RUN, size)
+        ks, fs, ns = k[:whole][small], f[:whole][small], n[:whole][small]
+        for d in range(1, RUN):
+            near = np.flatnonzero(ks[d:] == ks[:-d]) if len(ks) > d else np.zeros(0, np.int64)
+            if not len(near):
+                break
+            near = near[np.bitwise_count(fs[near] ^ fs[near + d]) <= TABLE_BITS]
+            pairs.append((ns[near], ns[near + d]))
+        for i in np.flatnonzero(size > RUN):
+            pairs += _run_pairs(f[cuts[i] : cuts[i + 1]], n[cuts[i] : cuts[i + 1]])
+        if sum(len(p[0]) for p in pairs):
+            yield made(pairs)
+        held_k, held_f, held_n = k[whole:], f[whole:], n[whole:]
+
+
+def similar_limit(similarity: float) -> int:
+    """Sketch bits in which texts of this similarity differ: sets of one size with similarity s have the cosine 2s / (1 + s)."""
+    return int(64 * SKETCH * np.arccos(2 * similarity / (1 + similarity)) / np.pi)
+
+
+def window_sets(texts: DataFrame, shingle: int) -> DataFrame:
+    """(node, hashes): the distinct windows of the texts in (node, text)."""
+
+    def run(batches):
+        for rb in batches:
+            for b in blocks(rb.column(1)):
+                (pair,) = windows(b, LOWER[b.buf], (shingle,))
+                g, own = distinct(*pair)
+                off = np.searchsorted(own, np.arange(b.n + 1)).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([rb.column(0).slice(b.first, b.n), pa.ListArray.from_arrays(pa.array(off), pa.array(g.view(np.int64)))], ["node", "hashes"])
+
+    return texts.mapInArrow(run, "node long, hashes array<long>")
+
+
+def similar_pairs(nodes: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """(a, b) of nodes whose windows have the Jaccard similarity, from (node, head, keys, sketch) and (node, doc_id, text).
+
+    Sketches decide the clear cases; pairs within `UNSURE` of the limit are decided by their sets of windows.
+    """
+    keyed = pair_keys(nodes).repartition("key").sortWithinPartitions("key", "fp")
+    pairs = keyed.mapInArrow(_candidates, "a long, b long").distinct()
+    s = nodes.select("node", "sketch")
+    both = pairs.join(s.select(F.col("node").alias("a"), F.col("sketch").alias("sa")), "a").join(s.select(F.col("node").alias("b"), F.col("sketch").alias("sb")), "b")
+    differ = sum((F.bit_count(F.col("sa")[i].bitwiseXOR(F.col("sb")[i])) for i in range(1, SKETCH)), F.bit_count(F.col("sa")[0].bitwiseXOR(F.col("sb")[0])))
+    near = cut(both.select("a", "b", differ.alias("differ")).where(F.col("differ") <= similar_limit(max(0.0, similarity - UNSURE))))
+    clear = F.col("differ") <= similar_limit(min(1.0, similarity + UNSURE))
+    unsure = near.where(~clear)
+    ends = unsure.select(F.col("a").alias("node")).union(unsure.select(F.col("b").alias("node"))).distinct()
+    heads = nodes.join(ends, "node", "left_semi").select("node", F.col("head.doc_id").alias("_fs_head"))
+    wanted = texts.join(heads, "node").where(F.col("doc_id").eqNullSafe(F.col("_fs_head"))).select("node", "text")
+    sets = cut(window_sets(wanted, shingle).dropDuplicates(["node"]))
+    exact = unsure.join(sets.select(F.col("node").alias("a"), F.col("hashes").alias("ha")), "a").join(sets.select(F.col("node").alias("b"), F.col("hashes").alias("hb")), "b")
+    shared, total = F.size(F.array_intersect("ha", "hb")), F.size("ha") + F.size("hb")
+    return near.where(clear).select("a", "b").unionByName(exact.where(shared >= (total - shared) * similarity).select("a", "b"))
+
+
+def near_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = 5, similarity: float = SIMILARITY) -> DataFrame:
+    """One document of each group of near copies: the smallest id (nulls last), one of its copies; columns unchanged.
+
+    Groups are joined by pairs whose `shingle`-word windows have a Jaccard similarity of `similarity` or more.  Candidates come
+    from the Golay keys of word pairs' fingerprints and are verified by sketches of 512 bits, near the limit by the windows
+    themselves.  Copies of a text are one node from the start.
+    """
+    body = F.coalesce(F.col(text), F.lit(""))
+    n1, n2 = F.xxhash64(body), F.xxhash64(F.lit(13), body)
+    prints = cut(sketches(docs.withColumnRenamed(doc_id, "doc_id") if doc_id != "doc_id" else docs, text, [n1.alias("n1"), n2.alias("n2")], shingle))
+    row = F.struct(F.col("doc_id").isNull().alias("n"), "doc_id", "n1", "n2")
+    # copies of a text share their node, so the map-side minimum leaves one row a text and task
+    nodes = cut(prints.groupBy("n1", "n2").agg(F.min(row).alias("head"), F.first("keys").alias("keys"), F.first("sketch").alias("sketch")).withColumnRenamed("n1", "node"))
+    texts = docs.select(n1.alias("node"), F.col(doc_id).cast("long").alias("doc_id"), body.alias("text"))
+    labels = contract_components(similar_pairs(nodes, texts, shingle, similarity), "a", "b")
+    heads = nodes.select("node", "head").join(labels.withColumnRenamed("id", "node"), "node", "left").groupBy(F.coalesce("label", "node").alias("label")).agg(F.min("head").alias("head"))
+    heads = heads.select(F.col("head.doc_id").alias("_fs_id"), F.col("head.n1").alias("_fs_n1"), F.col("head.n2").alias("_fs_n2"))
+    kept = docs.join(heads, F.col(doc_id).cast("long").eqNullSafe(F.col("_fs_id")) & (n1 == F.col("_fs_n1")) & (n2 == F.col("_fs_n2")), "left_semi")
+    if prints.groupBy("doc_id", "n1", "n2").count().where("count > 1").isEmpty():
         return kept
-    return kept.withColumn("_fs_body", body).dropDuplicates([doc_id, "_fs_body"]).drop("_fs_body")
+    return kept.withColumn("_fs_body", n1).dropDuplicates([doc_id, "_fs_body"]).drop("_fs_body")
 
 
 def op6(spark, sf_dir: str) -> DataFrame:
