@@ -142,3 +142,41 @@ def judge(counts: DataFrame, lang: str = "lang", source: str = "source", feature
 def op5(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return judge(cut(base_counts(docs, ["doc_id", "lang", "source"]))).select("doc_id", *BASE, "base_failed", "kept")
+
+
+_F = {k: x.replace(" div ", " // ") for k, (x, _) in FEATURES.items()}
+_SLACK = " ".join(f"when '{k}' then {s}" for k, (_, s) in FEATURES.items())
+_INSIDE = " and ".join(f"coalesce({x} between {k}_low and {k}_high, true)" for k, x in _F.items())
+
+
+def _fences_sql(group: str) -> str:
+    by = f"{group}, " if group else ""
+    part = f"partition by {by}feature"
+    return f"""(select {by}feature, any_value(rows) as rows,
+      min(top) filter (where upto * 4 >= rows) - ({FAR} * (min(top) filter (where upto * 4 >= rows * 3) - min(top) filter (where upto * 4 >= rows)) + any_value(slack)) as low,
+      min(top) filter (where upto * 4 >= rows * 3) + ({FAR} * (min(top) filter (where upto * 4 >= rows * 3) - min(top) filter (where upto * 4 >= rows)) + any_value(slack)) as high
+      from (select *, sum(n) over ({part}) as rows, sum(n) over ({part} order by top) as upto, case feature {_SLACK} end as slack from (select {by}feature, top, sum(n) as n from sk group by {by}feature, top)) group by {by}feature)"""
+
+
+OP5_SQL = rf"""
+with d as (select row_number() over () as r, doc_id, lang, source, coalesce(text, '') as text, regexp_extract_all(coalesce(text, ''), '[^ 	-]+') as w from documents),
+l as (select r, line, row_number() over (partition by r, line order by i) as nth from (select r, unnest(string_split(text, chr(10))) as line, generate_subscripts(string_split(text, chr(10)), 1) as i from d) where regexp_matches(line, '[^ 	-]')),
+dl as (select r, count(*) as n from l where nth > 1 group by r),
+g as (select r, i, count(*) over (partition by r, g) as n from (select r, i, list_slice(w, i, i + 4) as g from (select r, w, unnest(range(1, cast(len(w) as bigint) - 3)) as i from d where len(w) >= 5))),
+rp as (select r, count(distinct p) as n from (select r, unnest(range(i, i + 5)) as p from g where n > 1) group by r),
+c as (
+  select d.r, doc_id, lang, source, cast(len(w) as bigint) as n_words, cast(length(array_to_string(w, '')) as bigint) as word_chars,
+    cast(length(text) - length(regexp_replace(text, '[#*$%&|<>]', '', 'g')) as bigint) as n_symbols, coalesce(dl.n, 0) as n_dup_lines, coalesce(rp.n, 0) as n_repeat_words
+  from d left join dl using (r) left join rp using (r)),
+b as materialized (select *, n_words < 10 or 100 * n_repeat_words > 20 * n_words as base_failed from c),
+v as ({" union all ".join(f"select lang, source, '{k}' as feature, cast({x} as bigint) as v from b where not base_failed" for k, x in _F.items())}),
+sk as materialized (select lang, source, feature, ((((v >> greatest(length(bin(v)) - 7, 0)) + 1) << greatest(length(bin(v)) - 7, 0)) - 1) as top, count(*) as n from v group by all),
+f2 as {_fences_sql("lang, source")}, f1 as {_fences_sql("lang")}, f0 as {_fences_sql("")},
+f as (select f2.lang, f2.source, f2.feature,
+    case when f2.rows >= {GROUP_ROWS} then f2.low when f1.rows >= {GROUP_ROWS} then f1.low else f0.low end as low,
+    case when f2.rows >= {GROUP_ROWS} then f2.high when f1.rows >= {GROUP_ROWS} then f1.high else f0.high end as high
+  from f2 join f1 on f1.lang is not distinct from f2.lang and f1.feature = f2.feature join f0 on f0.feature = f2.feature),
+p as (select lang, source, {", ".join(f"min(low) filter (where feature = '{k}') as {k}_low, min(high) filter (where feature = '{k}') as {k}_high" for k in FEATURES)} from f group by lang, source)
+select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, not base_failed and {_INSIDE} as kept
+from b left join p on p.lang is not distinct from b.lang and p.source is not distinct from b.source
+"""

@@ -20,6 +20,7 @@ QUERIES: dict[str, Callable] = {
 }
 ORACLES: dict[str, str] = {
     "op3_decontamination": decontaminate.OP3_SQL,
+    "op5_quality_rules": quality_rules.OP5_SQL,
     "op7_url_filter": url_filter.OP7_SQL,
     "op9_line_dedup": line_dedup.OP9_SQL,
 }

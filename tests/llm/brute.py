@@ -110,3 +110,19 @@ def line_dedup(rows, min_chars=40, min_docs=5):
         kept = [x for x in lines if len(key(x)) < min_chars or len(where[key(x)]) < min_docs or max(where[key(x)]) == low(i)]
         out.append((i, len(lines), len(lines) - len(kept), "\n".join(kept)))
     return out
+
+
+def near_survivors(rows, shingle=5, similarity=0.8):
+    """One row of each component of texts by Jaccard similarity of their sets of windows: the smallest id, nulls last."""
+    texts = sorted({t or "" for _, t in rows})
+    sets = []
+    for t in texts:
+        w = SPACED.findall(t.translate(LOWER))
+        sets.append({tuple(w[k : k + shingle]) for k in range(max(1, len(w) - shingle + 1))})
+    comp = components(len(texts), lambda a, b: len(sets[a] & sets[b]) >= similarity * len(sets[a] | sets[b]))
+    of, best = dict(zip(texts, comp)), {}
+    for i, t in rows:
+        c = of[t or ""]
+        if c not in best or (i is None, i) < (best[c][0] is None, best[c][0]):
+            best[c] = (i, t)
+    return list(best.values())
