@@ -147,3 +147,8 @@ class Blocks:
         """(id, owner, needed_by): what each block asks for from the owners, known by arithmetic."""
         h = self.halo(df.select("id")).where("is_ghost")
         return h.select("id", self.block().alias("owner"), F.col("block").alias("needed_by"))
+
+    def supply(self, df: DataFrame) -> DataFrame:
+        """(id, owner, needed_by array): the same from the owners' side, who can tell on a grid without being asked."""
+        rows = df.select("id", self.block().alias("owner"), self.needed_by().alias("all"))
+        return rows.where(F.size("all") > 1).select("id", "owner", F.array_except("all", F.array("owner")).alias("needed_by"))

@@ -93,3 +93,15 @@ def extracted_geometry(df: DataFrame, spec: GridSpec, mask: str = "m") -> DataFr
 def stability(timings: DataFrame) -> DataFrame:
     """Median and spread of repeated runs of a configuration."""
     return timings.where("status = 'ok'").groupBy("workload", "method", "blocks", "threads", "n").agg(F.median("seconds").alias("median"), (F.max("seconds") - F.min("seconds")).alias("spread"), F.count("*").alias("repeats"))
+
+
+def communication(df: DataFrame, blocks: Blocks, strategy: str = "auto", id_bytes: int = 8) -> dict[str, int]:
+    """What one segmentation moves between blocks: ghost records, boundary vertices, bytes of the boundary table, rounds."""
+    from fieldseg.operators import exchange, segment
+    from fieldseg.runtime import cut
+
+    local = cut(segment.block_pointers(df, blocks))
+    boundary = local.where("shared").select("id", "max_id", "min_id")
+    _, rounds = exchange.resolve(boundary, ["max_id", "min_id"], strategy)
+    n = boundary.count()
+    return {"ghosts": blocks.requests(df).count(), "boundary": n, "bytes": 3 * id_bytes * n, "exchange_rounds": rounds, "local_rounds": local.agg(F.max("rounds")).first()[0] or 0}

@@ -157,6 +157,8 @@ def build() -> dict[str, str]:
         o[f"components_{q}"] = graph_components(g)
     for b in ("hook_compress_parts", "union_find_parts", "tree_merge_parts", "sampled_components_parts", "local_first_parts", "label_propagation_parts"):
         o[b] = o["components_order_part"]
+    o["graph_blocks_parts"] = o["components_order_part"]
+    o["graph_blocks_sparse"], o["descending_graph_sparse"] = f"{both_sides('sparse')} select id, max_id, min_id from seg", one_sided("sparse", "up")
     o["any_representative_parts"] = f"with recursive {GRAPH['order_part']}, e as materialized (select src, dst from e0 union select dst, src from e0){CC} select size, count(*) as components from (select count(*) as size from c group by label) group by size"
     sweep = "t as (select cast(unnest(range(1, 10)) as bigint) as t)"
     o["percolation_sweep"] = f"""with recursive {vertices("orders")}, {sweep}, n as (select id, x, y, z, {NORM} as norm from v), mt as (select t, id, x, y, z from t, n where norm > t / 10.0),
@@ -188,6 +190,7 @@ def build() -> dict[str, str]:
     o["ghost_counts_blocks"] = f"{GHOSTS} select block, count(*) as ghosts from g group by block"
     o["memory_model_blocks"] = f"{GHOSTS} select cast(16 as bigint) as blocks, (select count(*) from v) as vertices, count(*) as ghosts, (select count(*) from v) * 8 + count(*) * 24 as bytes from g"
     o["cross_edge_pairs"] = f"{GHOSTS} select {block_of('b', _W, NYO, 4, 4)} as owner, g.block as needed_by, count(*) as requests from g join v b on b.id = g.id group by 1, 2"
+    o["supply_counts"] = o["cross_edge_pairs"]
     cells = f"""with {vertices("orders")}, cells as (select a.id * 2 + k as cell_id, a.id as v0, b.id as v1, c.id as v2 from v a, (values (0, 1, 0), (1, 0, 1)) t(k, dx, dy) join v b on b.x = a.x + t.dx and b.y = a.y + t.dy join v c on c.x = a.x + 1 and c.y = a.y + 1)"""
     o["cells_from_grid"] = f"{cells} select cast(cell_id as bigint) as cell_id, v0, v1, v2 from cells"
     o["extracted_cells_by_threshold"] = f"""{cells}, t as (select unnest([9, 5, 1]) as t), n as (select id, {NORM} as norm from v)

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from fieldseg.functions.grid import Blocks
 from fieldseg.operators import baselines as base
 from fieldseg.operators import components as comp
-from fieldseg.operators import critical, extremum_graph, pointers, segment
+from fieldseg.operators import critical, extremum_graph, graph_blocks, pointers, segment
 from fieldseg.operators.order import order_field
 from fieldseg.plans import measures
 from fieldseg.runtime import cut
@@ -222,6 +222,10 @@ def build() -> dict[str, Query]:
     q["tree_merge_parts"], q["sampled_components_parts"] = _graph(parts, base.tree_merge), _graph(parts, base.sampled_components)
     q["local_first_parts"] = _graph(parts, lambda v, e: comp.connected_graph(v, e, local_first=True))
     q["any_representative_parts"] = _graph(parts, _representatives)
+    q["graph_blocks_parts"] = _graph(parts, lambda v, e: graph_blocks.components(graph_blocks.by_hash(v, 4), e))
+    q["graph_blocks_sparse"] = on("sparse", lambda f: graph_blocks.segmentation(graph_blocks.by_hash(f.df, 4), f.spec.edges(f.df)))
+    q["descending_graph_sparse"] = on("sparse", lambda f: segment.graph_segmentation(f.df, f.spec.edges(f.df)))
+    q["supply_counts"] = _orders((4, 4), lambda f, t: t.supply(f.df).select("owner", F.explode("needed_by").alias("needed_by")).groupBy("owner", "needed_by").agg(F.count("*").alias("requests")))
     q["edge_degrees_order_part"] = _graph(parts, lambda v, e: e.select(F.col("src").alias("id")).union(e.select(F.col("dst").alias("id"))).groupBy("id").agg(F.count("*").alias("degree")))
     q["grow_from_extrema_orders"] = on("orders", lambda f: base.grow_from_extrema(pointers.steepest(f.df, spec=f.spec, name="max_id"), "max_id")[0])
     q["percolation_sweep"] = _percolation

@@ -94,3 +94,25 @@ class IncrementalComponents:
         new = old.unionByName(fresh).join(moved, F.col("label") == F.col("_id"), "left").select("id", F.coalesce("_label", "label").alias("label"))
         new.write.mode("overwrite").parquet(f"{self.path}/{self.version + 1}")
         self.version += 1
+
+
+def running_maxima(events: DataFrame, value: str = "value") -> DataFrame:
+    """(user_id, ts, value): events larger than the one before and the one after them, sent when the next one has come.
+
+    Each user's last two events are the state; events of a batch are taken in the order of time.
+    """
+    import pandas as pd
+
+    def step(key, frames, state):
+        rows = pd.concat(list(frames)).sort_values("ts")
+        last = list(state.get) if state.exists else [None, None, None]
+        out = []
+        before, now, at = last
+        for t, v in zip(rows["ts"], rows[value]):
+            if now is not None and now > v and (before is None or now > before):
+                out.append((key[0], pd.Timestamp(at), now))
+            before, now, at = now, float(v), str(t)
+        state.update((before, now, at))
+        yield pd.DataFrame(out, columns=["user_id", "ts", "value"])
+
+    return events.select("user_id", "ts", value).groupBy("user_id").applyInPandasWithState(step, "user_id long, ts timestamp, value double", "before double, now double, at string", "append", "NoTimeout")

@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 from fieldseg.functions.grid import Blocks, GridSpec
 from fieldseg.functions.sql import register
 from fieldseg.model import FieldError, adjacency, check_field, edges_from_cells
-from fieldseg.operators import baselines, components, critical, exchange, kernels, pointers, segment
+from fieldseg.operators import baselines, components, critical, exchange, graph_blocks, kernels, pointers, segment
+from fieldseg.operators.frame import FieldFrame
 from fieldseg.operators.contraction import contract_components
 from fieldseg.operators.order import order_field
 from fieldseg.plans import measures, workloads
@@ -213,3 +214,69 @@ def test_plans(spark, sf):
     o = order_field(f.df)
     plan = pointers.steepest(o, spec=f.spec, by="ord")._jdf.queryExecution().toString()
     assert "Exchange" in plan and pa is not None
+
+
+SPIRAL = {0: "AFGH", 1: "BIJK", 2: "CLMN", 3: "DEOP"}
+
+
+def spiral(spark):
+    v = spark.createDataFrame([(ord(c), ord(c), b) for b, own in SPIRAL.items() for c in own], "id long, f long, block int")
+    path = "ABCDEFGHIJKLMNOP"
+    return v, spark.createDataFrame([(ord(a), ord(b)) for a, b in zip(path, path[1:])], "src long, dst long")
+
+
+def test_spiral_blocks(spark):
+    """Ghosts, local pointers and the result of the worked example."""
+    v, e = spiral(spark)
+    halo, edges = graph_blocks.halo_graph(v, e)
+    ghosts = {}
+    for r in halo.where("is_ghost").collect():
+        ghosts.setdefault(r.block, set()).add(chr(r.id))
+    assert ghosts == {0: set("BEI"), 1: set("ACHL"), 2: set("BDKO"), 3: set("CFN")}
+    local = {chr(r.id): chr(r.max_id) for r in graph_blocks.local_pointers(halo, edges).collect()}
+    assert local == dict(zip("AFGHBIJKCLMNDEOP", "BIIICLLLDOOOFFPP"))
+    for s in exchange.STRATEGIES:
+        assert {r.max_id for r in graph_blocks.segmentation(v, e, exchange=s).collect()} == {ord("P")}
+    asked = {(r.owner, r.needed_by): "".join(map(chr, r.ids)) for r in graph_blocks.requests(halo, v).collect()}
+    assert asked[(1, 0)] == "BI" and asked[(0, 1)] == "AH" and asked[(3, 0)] == "E"
+
+
+def test_graph_blocks_agree(spark):
+    rng = np.random.default_rng(8)
+    e = spark.createDataFrame([(int(a), int(b)) for a, b in rng.integers(0, 80, (90, 2)) if a != b], "src long, dst long")
+    v = spark.range(80).withColumn("f", F.pmod(F.xxhash64("id"), F.lit(9)))
+    want = components.connected_graph(v, e)
+    for n in (1, 3, 80):
+        parts = graph_blocks.by_hash(v, n)
+        assert rows(graph_blocks.components(parts, e)) == rows(want)
+        both = graph_blocks.segmentation(parts, e)
+        up = e.unionByName(e.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
+        assert rows(both.select("id", "max_id")) == rows(segment.graph_segmentation(v, up))
+
+
+def test_requests_and_supply_are_the_same(spark):
+    spec = GridSpec((6, 5))
+    t = Blocks(spec, (3, 2))
+    a = t.requests(spark.range(30))
+    b = t.supply(spark.range(30)).select("id", "owner", F.explode("needed_by").alias("needed_by"))
+    assert rows(a) == rows(b)
+
+
+def test_frame_and_communication(spark, sf):
+    f = fields.lineitem_cube(spark, sf)
+    frame = FieldFrame(f.df, f.spec, 4)
+    assert rows(frame.ends) == rows(segment.blockwise(f.df, f.spec))
+    assert frame.extremum_graph().count() > 0 and frame.separatrices().count() > 0 and frame.components(above=0.5, normalised=True).count() == f.spec.n
+    c = measures.communication(f.df, Blocks.about(f.spec, 4))
+    assert c["ghosts"] >= c["boundary"] > 0 and c["local_rounds"] > 0
+
+
+def test_running_maxima(spark, sf):
+    stream = feeds.running_maxima(feeds.events_stream(spark, feeds.stream_path(sf, "events")))
+    got = {(r.user_id, r.ts) for r in feeds.drained(stream, "append").collect()}
+    ev = spark.read.parquet(f"{sf}/events.parquet").orderBy("user_id", "ts").toPandas()
+    want = set()
+    for u, g in ev.groupby("user_id"):
+        v, t = g["value"].tolist(), g["ts"].tolist()
+        want |= {(u, t[i].to_pydatetime()) for i in range(len(v) - 1) if v[i] > v[i + 1] and (i == 0 or v[i] > v[i - 1])}
+    assert got == want
