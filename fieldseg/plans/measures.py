@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import time
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -57,6 +58,13 @@ def memory_model(df: DataFrame, blocks: Blocks, id_bytes: int = 8) -> DataFrame:
     return h.select(F.lit(blocks.n).cast("long").alias("blocks"), "vertices", "ghosts", (F.col("vertices") * id_bytes + F.col("ghosts") * 3 * id_bytes).alias("bytes"))
 
 
+def _beside(*rows: DataFrame) -> DataFrame:
+    """The columns of one-row tables of counts side by side, without a join."""
+    names = [c for r in rows for c in r.columns]
+    padded = [r.select(*(F.col(c) if c in r.columns else F.lit(0).cast("long").alias(c) for c in names)) for r in rows]
+    return reduce(DataFrame.unionByName, padded).agg(*(F.sum(c).alias(c) for c in names))
+
+
 def partition_diff(a: DataFrame, b: DataFrame) -> DataFrame:
     """(parts_a, parts_b, apart): how many parts two labellings of the same ids have, and how many of b's lie in several of a's."""
     both = a.select("id", F.col("label").alias("la")).join(b.select("id", F.col("label").alias("lb")), "id")
@@ -64,7 +72,7 @@ def partition_diff(a: DataFrame, b: DataFrame) -> DataFrame:
     per_b = pairs.groupBy("lb").agg(F.count("*").alias("n"))
     right = per_b.agg(F.count("*").alias("parts_b"), F.count_if(F.col("n") > 1).alias("apart"))
     left = pairs.agg(F.countDistinct("la").alias("parts_a"))
-    return left.crossJoin(right)  # one row each
+    return _beside(left, right)
 
 
 def selectivity(df: DataFrame, mask: str = "m") -> DataFrame:
@@ -87,7 +95,7 @@ def extracted_geometry(df: DataFrame, spec: GridSpec, mask: str = "m") -> DataFr
     from fieldseg.operators.baselines import to_unstructured
 
     inside = df.where(mask).select("id")
-    return inside.agg(F.count("*").alias("vertices")).crossJoin(to_unstructured(inside, spec).agg(F.count("*").alias("cells")))  # one row each
+    return _beside(inside.agg(F.count("*").alias("vertices")), to_unstructured(inside, spec).agg(F.count("*").alias("cells")))
 
 
 def stability(timings: DataFrame) -> DataFrame:
