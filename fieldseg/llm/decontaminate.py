@@ -166,11 +166,10 @@ def _pass(index, text: str, name: str, keep: list[str], last: bool):
 
 
 def match_items(docs: DataFrame, items: DataFrame, text: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, keep: list[str] | None = None, name: str = "match", index_bytes: int = INDEX_BYTES) -> DataFrame:
-    """The kept columns of `docs` and a struct `match` (n_words, n_hit, spans); one row per document."""
+    """The kept columns of `docs` and a struct `match` (n_words, n_hit, spans), before which a column of its name gives way; one row per document."""
     spark = docs.sparkSession
     keep = list(docs.columns) if keep is None else keep
-    if name in keep:
-        raise ValueError(f"documents already have a column {name}")
+    keep = [c for c in keep if c != name]
     items = items.select(F.coalesce(F.col(item_id).cast("string"), F.lit("null")).alias("i"), F.coalesce(F.col(item_text), F.lit("")).alias("t"))
     size = items.agg(F.sum(F.octet_length("t"))).first()[0] or 0
     parts = 1 + size // index_bytes

@@ -146,8 +146,7 @@ def identify(docs: DataFrame, model: Model, keep: list[str], text: str = "text")
     """The kept columns with `lang_pred` and `score`; one row for each document."""
     from pyspark.sql import types as T
 
-    if clash := {"lang_pred", "score"} & set(keep):
-        raise ValueError(f"documents already have {sorted(clash)}")
+    keep = [c for c in keep if c not in ("lang_pred", "score")]  # columns of the new names give way
 
     def run(batches):
         names = np.array([*model.languages, UNKNOWN], object)

@@ -116,9 +116,8 @@ def dropped_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", m
 
 
 def dedup_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", kept: str = "kept_text", **options) -> DataFrame:
-    """`docs` with `kept` (the lines that stay, joined), `n_lines` (before) and `n_dropped`; a clash with these names raises."""
-    if clash := {kept, "n_lines", "n_dropped", "_fs_id", "_fs_gone"} & set(docs.columns):
-        raise ValueError(f"documents already have {sorted(clash)}")
+    """`docs` with `kept` (the lines that stay, joined), `n_lines` (before) and `n_dropped`; columns of these names give way."""
+    docs = docs.drop(*({kept, "n_lines", "n_dropped"} - {doc_id, text}))
     gone = dropped_lines(docs, doc_id, text, **options).select(F.col("id").alias("_fs_id"), F.col("gone").alias("_fs_gone"))
     joined = docs.join(gone, F.coalesce(F.col(doc_id).cast("long"), F.lit(NO_ID)) == F.col("_fs_id"), "left")
     lines = lines_of(F.col(text))

@@ -62,6 +62,7 @@ def count_block(b) -> dict[str, np.ndarray]:
 
 def base_counts(docs: DataFrame, keep: list[str], text: str = "text") -> DataFrame:
     """The kept columns and the base counts of each row."""
+    keep = [c for c in keep if c not in BASE]  # columns of the new names give way
     schema = [f for f in docs.select(*keep).schema.fields]
 
     def run(batches):
@@ -74,8 +75,6 @@ def base_counts(docs: DataFrame, keep: list[str], text: str = "text") -> DataFra
 
     from pyspark.sql import types as T
 
-    if clash := set(BASE) & set(keep):
-        raise ValueError(f"documents already have {sorted(clash)}")
     return docs.select(*keep, F.col(text).alias("_fs_text")).mapInArrow(run, T.StructType([*schema, *(T.StructField(c, T.LongType()) for c in BASE)]))
 
 
@@ -159,8 +158,10 @@ def _fences_sql(group: str) -> str:
 
 
 OP5_SQL = rf"""
-with d as (select row_number() over () as r, doc_id, lang, source, coalesce(text, '') as text, regexp_extract_all(coalesce(text, ''), '[^ 	-]+') as w from documents),
-l as (select r, line, row_number() over (partition by r, line order by i) as nth from (select r, unnest(string_split(text, chr(10))) as line, generate_subscripts(string_split(text, chr(10)), 1) as i from d) where regexp_matches(line, '[^ 	-]')),
+with d as (select row_number() over () as r, doc_id, lang, source, coalesce(text, '') as text, regexp_extract_all(coalesce(text, ''), '[^ 	-
+]+') as w from documents),
+l as (select r, line, row_number() over (partition by r, line order by i) as nth from (select r, unnest(string_split(text, chr(10))) as line, generate_subscripts(string_split(text, chr(10)), 1) as i from d) where regexp_matches(line, '[^ 	-
+]')),
 dl as (select r, count(*) as n from l where nth > 1 group by r),
 g as (select r, i, count(*) over (partition by r, g) as n from (select r, i, list_slice(w, i, i + 4) as g from (select r, w, unnest(range(1, cast(len(w) as bigint) - 3)) as i from d where len(w) >= 5))),
 rp as (select r, count(distinct p) as n from (select r, unnest(range(i, i + 5)) as p from g where n > 1) group by r),

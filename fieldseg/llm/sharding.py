@@ -44,10 +44,9 @@ def scatter(records: DataFrame, n_buckets: int, seed: int = SEED) -> DataFrame:
 def external_shuffle(records: DataFrame, size: str, n_shards: int = SHARDS, seed: int = SEED, bucket_bytes: int = BUCKET_BYTES, min_buckets: int = MIN_BUCKETS) -> DataFrame:
     """`records` with `shard` (0 to n_shards - 1) and `slot` (gapless in each shard); `size` names their column of bytes.
 
-    What is in `records` is moved twice, so give it the columns to be written and no more.
+    What is in `records` is moved twice, so give it the columns to be written and no more; columns named as the two new ones give way.
     """
-    if clash := {"shard", "slot"} & set(records.columns):
-        raise ValueError(f"records already have {sorted(clash)}")
+    records = records.drop("shard", "slot")
     total = records.agg(F.sum(size)).first()[0] or 0
     n_buckets = max(min_buckets, 1 + int(total) // bucket_bytes)
     scattered = cut(scatter(records, n_buckets, seed))

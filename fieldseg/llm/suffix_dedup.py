@@ -304,8 +304,7 @@ KEPT = "n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept bin
 def remove_repeats(docs: DataFrame, keep: list[str], doc_id: str = "doc_id", text: str = "text", window: int = WINDOW, with_bytes: bool = True, **options) -> DataFrame:
     """The kept columns of every row with `n_bytes`, `n_removed`, `n_spans`, `kept_sha256` and the bytes that stay."""
     names = ["n_bytes", "n_removed", "n_spans", "kept_sha256", *(["kept"] if with_bytes else [])]
-    if clash := set(names) & set(keep):
-        raise ValueError(f"documents already have {sorted(clash)}")
+    keep = [c for c in keep if c not in names]  # columns of the new names give way
     texts = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"), *text_hash(F.col(text)))
     ranges = repeated_ranges(texts, window, **options).groupBy("h1", "h2").agg(F.collect_set(F.struct("a", "z")).alias("_fs_spans"))
     copies = texts.groupBy("h1", "h2").agg((F.count("*") > 1).alias("_fs_copies"))

@@ -86,9 +86,8 @@ def judge_urls(pages: DataFrame, rules: DataFrame, url: str = "url") -> DataFram
 
 
 def filter_pages(pages: DataFrame, rules: DataFrame, url: str = "url", default: str = "allow") -> DataFrame:
-    """`pages` with `rule` (null: none about the host) and `verdict`; a clash with these names raises."""
-    if clash := {"rule", "verdict", "_fs_url"} & set(pages.columns):
-        raise ValueError(f"pages already have {sorted(clash)}")
+    """`pages` with `rule` (null: none about the host) and `verdict`; columns of these names give way."""
+    pages = pages.drop("rule", "verdict")
     judged = judge_urls(pages, rules, url).withColumnRenamed("url", "_fs_url")
     return pages.join(judged, F.col(url) == F.col("_fs_url"), "left").drop("_fs_url").withColumn("verdict", F.coalesce("verdict", F.lit(default)))
 

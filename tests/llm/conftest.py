@@ -37,6 +37,8 @@ def odd(tmp_path_factory):
     docs = table(rows, ["doc_id", "text", "lang", "source", "n_chars"])
     docs["score"], docs["h1"], docs["fp"], docs["a"], docs["block"] = 1.5, "h", 7, None, "b"
     docs["a"] = docs["a"].astype("string")
+    for c in ("n_lines", "n_dropped", "kept_text", "match", "shard", "slot", "size", "keys", "head", "label", "node", "anchor", "n_words", "lang_pred", "kept", "stats", "id", "key", "start", "sequence_id"):
+        docs[c] = range(len(docs))
     docs.to_parquet(d / "documents.parquet")
     items = [(0, " ".join(texts[5].split()[3:20]).upper()), (1, texts[0].split()[0]), (2, None), (3, "..."), (None, prose(rng, 15)), (10, " ".join(texts[5].split()[5:22])), (10, " ".join(texts[5].split()[5:22]))]
     table(items, ["item_id", "text"]).to_parquet(d / "benchmark.parquet")
@@ -44,7 +46,9 @@ def odd(tmp_path_factory):
     table(labels, ["doc_id", "quality", "toxic"]).to_parquet(d / "labels.parquet")
     urls = ["http://Example.NET/en/x?y=1", "https://a.example.net/de/", "http://net", "http://net/", "x.org/fr/", "http://shop.org/fr/a#b", "http://example.com/de", "http://example.com/de/1", "HTTP://A.B.ORG/FR/", "http://a.net:80/", None, "", "://", "ftp://u@net/q", "http://notnet/", "http://a.com/?r=http://b.net/", "http://x.com/a.exe", "http://casino.com/", "http://x.com/?utm_source=spam", "http://x.com/net/\n", "http://é.net/é"]
     pages = [(i, u, "<p>") for i, u in enumerate(urls)] + [(0, urls[0], None), (None, urls[1], "")]
-    table(pages, ["page_id", "url", "html"]).to_parquet(d / "pages.parquet")
+    whole = table(pages, ["page_id", "url", "html"])
+    whole["rule"], whole["verdict"], whole["token"], whole["pattern"] = 1, "x", "y", "z"
+    whole.to_parquet(d / "pages.parquet")
     return str(d)
 
 
