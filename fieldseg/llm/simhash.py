@@ -19,7 +19,7 @@ Nulls and texts without words have fingerprint zero, linked like any other.  Rep
 
 from __future__ import annotations
 
-from itertools import accumulate
+from itertools import accumulate, chain
 
 import numpy as np
 import pyarrow as pa
@@ -159,7 +159,7 @@ def _links(batches):
             if ok.any():
                 yield batch(0, a[ok], b[ok])
 
-    for rb in (*batches, None):
+    for rb in chain(batches, (None,)):
         end = rb is None
         if not end:
             k = np.concatenate([tail_k, rb.column(0).to_numpy(zero_copy_only=False).astype(np.int64)])
@@ -224,8 +224,13 @@ SIMILARITY = 0.8
 #: Estimates of the similarity that are this near to the limit are checked exactly (about three standard errors).
 UNSURE = 0.1
 #: Bits of 64 that candidates of a table may differ in, and bits within which members of a large run share a leader.
-TABLE_BITS = 14
-LEADER_BITS = 4
+TABLE_BITS = 10
+LEADER_BITS = 9
+LEADER_PAIR_BITS = 8
+#: Nodes by which a large component of one table goes on to the next.
+MEMBERS = 512
+#: Members of a run that are compared in pairs; larger runs have leaders.
+PAIR_RUN = 3
 
 
 def windows(b, low: np.ndarray, sizes: tuple[int, ...]):
@@ -273,7 +278,7 @@ def sketches(docs: DataFrame, text: str, node: list, shingle: int = 5) -> DataFr
             keys, sketch = [np.zeros((0, TABLES), np.uint64)], [np.zeros((0, SKETCH), np.uint64)]
             for b in blocks(rb.column(3)):
                 pairs, long = windows(b, LOWER[b.buf], (2, shingle))
-                keys.append(bits(*pairs, b.n, TABLES, 1))
+                keys.append(bits(*distinct(*pairs), b.n, TABLES, 1))
                 sketch.append(bits(*distinct(*long), b.n, SKETCH, 101))
             lists = [pa.ListArray.from_arrays(pa.array(np.arange(len(m) + 1, dtype=np.int32) * m.shape[1]), pa.array(m.view(np.int64).ravel())) for m in (np.concatenate(keys), np.concatenate(sketch))]
             yield pa.RecordBatch.from_arrays([*rb.columns[:3], *lists], ["n1", "n2", "doc_id", "keys", "sketch"])
@@ -282,8 +287,8 @@ def sketches(docs: DataFrame, text: str, node: list, shingle: int = 5) -> DataFr
     return own.mapInArrow(run, "n1 long, n2 long, doc_id long, keys array<long>, sketch array<long>")
 
 
-def pair_keys(nodes: DataFrame) -> DataFrame:
-    """(key, fp, node): for each table and each two of its segments, the Golay indices of both, with the table's fingerprint."""
+def pair_keys(nodes: DataFrame, table: int) -> DataFrame:
+    """(key, fp, node): for each two segments of a table's fingerprint, the Golay indices of both."""
 
     def run(batches):
         code = Golay()
@@ -291,7 +296,7 @@ def pair_keys(nodes: DataFrame) -> DataFrame:
             node = rb.column(0).to_numpy()
             fps = rb.column(1).flatten().to_numpy().reshape(len(node), -1).view(np.uint64)
             for a in range(0, len(node), 1 << 12):
-                for t in range(TABLES):
+                for t in (table,):
                     fp, own = fps[a : a + (1 << 12), t], node[a : a + (1 << 12)]
                     got = [code.indices((fp >> np.uint64(at) & np.uint64((1 << n) - 1)).astype(np.int64)) for at, n in SEGMENTS]
                     for i in range(3):
@@ -308,19 +313,25 @@ def pair_keys(nodes: DataFrame) -> DataFrame:
 
 
 def _run_pairs(f: np.ndarray, n: np.ndarray):
-    """Candidate pairs of a run with one key: all that are near, or in a large run each with its leader and leaders with leaders."""
-    if len(f) > RUN:
-        left, leaders = np.arange(len(f)), []
+    """Candidate pairs of a run with one key: all that are near, or in a large run each with its leader, and leaders with leaders."""
+    near = TABLE_BITS
+    if len(f) > PAIR_RUN:
+        left, leaders = np.argsort(n, kind="stable"), []
         while len(left):
-            near = np.bitwise_count(f[left] ^ f[left[0]]) <= LEADER_BITS
-            mine = left[near]
+            # the member nearest to the majority of those around the first: of all, it is likest to the others, in every run
+            around = left[np.bitwise_count(f[left] ^ f[left[0]]) <= TABLE_BITS]
+            ones = np.unpackbits(f[around].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0)
+            middle = np.packbits(2 * ones > len(around), bitorder="little").view(np.uint64)[0]
+            head = around[np.argmin(np.bitwise_count(f[around] ^ middle))]
+            close = np.bitwise_count(f[left] ^ f[head]) <= LEADER_BITS
+            mine = np.concatenate([[head], left[close & (left != head)]])
             leaders.append(mine[0])
             if len(mine) > 1:
                 yield np.repeat(n[mine[0]], len(mine) - 1), n[mine[1:]]
-            left = left[~near]
-        f, n = f[leaders], n[leaders]
+            left = left[~close & (left != head)]
+        f, n, near = f[leaders], n[leaders], LEADER_PAIR_BITS
     for d in range(1, len(f)):
-        ok = np.bitwise_count(f[d:] ^ f[:-d]) <= TABLE_BITS
+        ok = np.bitwise_count(f[d:] ^ f[:-d]) <= near
         if ok.any():
             yield n[:-d][ok], n[d:][ok]
 
@@ -334,32 +345,34 @@ def _candidates(batches):
         both = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0)
         return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], ["a", "b"])
 
-    for rb in (*batches, None):
+    ready, size_ready = [], 0
+    for rb in chain(batches, (None,)):
         if rb is not None:
             k = np.concatenate([held_k, rb.column(0).to_numpy()])
             f = np.concatenate([held_f, rb.column(1).to_numpy().view(np.uint64)])
             n = np.concatenate([held_n, rb.column(2).to_numpy()])
         else:
             k, f, n = held_k, held_f, held_n
-        if not len(k):
-            continue
-        cuts = np.concatenate([[0], np.flatnonzero(k[1:] != k[:-1]) + 1, [len(k)]])
+        cuts = np.concatenate([[0], np.flatnonzero(k[1:] != k[:-1]) + 1, [len(k)]]) if len(k) else np.zeros(2, np.int64)
         last = len(cuts) - 1 if rb is None else len(cuts) - 2
         whole = int(cuts[last])
         size = np.diff(cuts[: last + 1])
         pairs = []
-        small = np.repeat(size <= RUN, size)
+        small = np.repeat(size <= PAIR_RUN, size)
         ks, fs, ns = k[:whole][small], f[:whole][small], n[:whole][small]
-        for d in range(1, RUN):
+        for d in range(1, PAIR_RUN):
             near = np.flatnonzero(ks[d:] == ks[:-d]) if len(ks) > d else np.zeros(0, np.int64)
             if not len(near):
                 break
             near = near[np.bitwise_count(fs[near] ^ fs[near + d]) <= TABLE_BITS]
             pairs.append((ns[near], ns[near + d]))
-        for i in np.flatnonzero(size > RUN):
+        for i in np.flatnonzero(size > PAIR_RUN):
             pairs += _run_pairs(f[cuts[i] : cuts[i + 1]], n[cuts[i] : cuts[i + 1]])
-        if sum(len(p[0]) for p in pairs):
-            yield made(pairs)
+        ready += pairs
+        size_ready += sum(len(p[0]) for p in pairs)
+        if size_ready > 1_000_000 or rb is None and size_ready:
+            yield made(ready)
+            ready, size_ready = [], 0
         held_k, held_f, held_n = k[whole:], f[whole:], n[whole:]
 
 
@@ -382,18 +395,34 @@ def window_sets(texts: DataFrame, shingle: int) -> DataFrame:
     return texts.mapInArrow(run, "node long, hashes array<long>")
 
 
-def similar_pairs(nodes: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
-    """(a, b) of nodes whose windows have the Jaccard similarity, from (node, head, keys, sketch) and (node, doc_id, text).
-
-    Sketches decide the clear cases; pairs within `UNSURE` of the limit are decided by their sets of windows.
-    """
-    keyed = pair_keys(nodes).repartition("key").sortWithinPartitions("key", "fp")
+def near_pairs(nodes: DataFrame, table: int, similarity: float) -> DataFrame:
+    """(a, b, differ): pairs of one table's candidates whose sketches don't rule the similarity out."""
+    # keys that share their first index lie together, so that a task finds a pair once for all of them
+    keyed = pair_keys(nodes, table).repartition(F.shiftright("key", 12)).sortWithinPartitions("key", "fp")
     pairs = keyed.mapInArrow(_candidates, "a long, b long").distinct()
     s = nodes.select("node", "sketch")
     both = pairs.join(s.select(F.col("node").alias("a"), F.col("sketch").alias("sa")), "a").join(s.select(F.col("node").alias("b"), F.col("sketch").alias("sb")), "b")
     differ = sum((F.bit_count(F.col("sa")[i].bitwiseXOR(F.col("sb")[i])) for i in range(1, SKETCH)), F.bit_count(F.col("sa")[0].bitwiseXOR(F.col("sb")[0])))
-    near = cut(both.select("a", "b", differ.alias("differ")).where(F.col("differ") <= similar_limit(max(0.0, similarity - UNSURE))))
+    return cut(both.select("a", "b", differ.alias("differ")).where(F.col("differ") <= similar_limit(max(0.0, similarity - UNSURE))))
+
+
+def similar_pairs(nodes: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """(a, b) of nodes whose windows have the Jaccard similarity, from (node, head, keys, sketch) and (node, doc_id, text).
+
+    Sketches decide the clear cases; pairs within `UNSURE` of the limit are decided by their sets of windows.  Tables are worked
+    one after another: a component of clear pairs with more than `MEMBERS` nodes goes on with about so many of them, drawn by hash.
+    """
     clear = F.col("differ") <= similar_limit(min(1.0, similarity + UNSURE))
+    live, near = nodes, None
+    for table in range(TABLES):
+        found = near_pairs(live, table, similarity)
+        near = found if near is None else near.unionByName(found)
+        if table + 1 < TABLES:
+            labels = cut(contract_components(near.where(clear), "a", "b"))
+            large = labels.groupBy("label").agg(F.count("*").alias("n")).where(F.col("n") > MEMBERS)
+            gone = labels.join(large, "label").where(F.pmod(F.xxhash64(F.lit(table), "id"), F.col("n")) >= MEMBERS)
+            live = live.join(gone.select(F.col("id").alias("node")), "node", "left_anti")
+    near = cut(near.groupBy("a", "b").agg(F.min("differ").alias("differ")))
     unsure = near.where(~clear)
     ends = unsure.select(F.col("a").alias("node")).union(unsure.select(F.col("b").alias("node"))).distinct()
     heads = nodes.join(ends, "node", "left_semi").select("node", F.col("head.doc_id").alias("_fs_head"))
