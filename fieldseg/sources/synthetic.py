@@ -5,7 +5,7 @@ from __future__ import annotations
 from itertools import product
 from math import prod
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
 from fieldseg.functions.grid import GridSpec
