@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from fieldseg.llm.textkernel import ALNUM, LOWER, Block, blocks, cover, grams, per_doc
+from fieldseg.llm.textkernel import ALNUM, LOWER, Block, blocks, grams, per_doc
 
 WINDOW = 10
 PRUNE = 3
