@@ -17,12 +17,17 @@ from pyspark.sql import functions as F
 
 #: (host, path, verdict): the given rules about hosts and their subdomains.
 HOST_RULES = (("net", "/", "block"), ("example.net", "/en/", "allow"), ("example.com", "/de/", "block"), ("org", "/fr/", "allow"))
-#: (pattern, tokens, verdict): patterns over whole urls, and tokens without which they can't match.
+#: (pattern, tokens, verdict): patterns over whole urls, and whole tokens (never a part of one) that every match holds.
 PATTERN_RULES = (
-    (r"[?&]utm_(?:source|medium)=(?:spam|adult)", ("utm", "spam"), "block"),
-    (r"://(?:[^/?#]*\.)?(?:casino|poker)\.", ("casino",), "block"),
-    (r"/(?:wp-login|xmlrpc)\.php", ("php",), "block"),
-    (r"\.(?:exe|apk|msi)(?:[?#]|$)", ("exe",), "block"),
+    (r"[?&]utm_source=(?:spam|adult)", ("utm", "source"), "block"),
+    (r"[?&]utm_medium=(?:spam|adult)", ("utm", "medium"), "block"),
+    (r"://(?:[^/?#]*\.)?casino\.", ("casino",), "block"),
+    (r"://(?:[^/?#]*\.)?poker\.", ("poker",), "block"),
+    (r"/wp-login\.php", ("wp", "login"), "block"),
+    (r"/xmlrpc\.php", ("xmlrpc",), "block"),
+    (r"\.exe(?:[?#]|$)", ("exe",), "block"),
+    (r"\.apk(?:[?#]|$)", ("apk",), "block"),
+    (r"\.msi(?:[?#]|$)", ("msi",), "block"),
 )
 RULE_FIELDS = "rule_id int, name string, pattern string, tokens array<string>, verdict string, weight int"
 #: Rules of this many rows at most are broadcast; larger lists are joined by shuffle.
