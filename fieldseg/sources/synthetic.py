@@ -41,21 +41,26 @@ def noise_grid(spark: SparkSession, dims: tuple[int, ...], frequency: float = 0.
     return Field(df.select("id", F.round(total * amplitude * SCALE).cast("long").alias("f")), spec)
 
 
-def bump_grid(spark: SparkSession, sf_dir: str, dims: tuple[int, ...] = (32, 32, 32), n_centres: int = 10, width: float = 4.0, connectivity: str = "simplicial") -> Field:
-    """A sum of Gaussians around suppliers: the place of each follows from its key, its height from its balance.
+def bump_grid(spark: SparkSession, sf_dir: str, dims: tuple[int, ...] = (32, 32, 32), n_centres: int | None = None, width: float = 4.0, connectivity: str = "simplicial") -> Field:
+    """A sum of Gaussians around all suppliers: the place of each follows from its key, its height from its balance.
 
-    The centres are `n_centres` at most, by key, and are joined as one array of bounded length.
+    Heights are summed by vertex as integers, then spread along one axis after another, as a Gaussian is the product of those of
+    its axes; each sum runs in the order of its places, so it doesn't depend on the shuffle.  `n_centres` takes the first by key.
     """
     spec = GridSpec(dims, connectivity)
-    s = table(spark, sf_dir, "supplier").orderBy("s_suppkey").limit(n_centres)
-    place = [F.pmod(F.xxhash64(F.lit(7 + a), "s_suppkey"), F.lit(n)).alias("xyz"[a]) for a, n in enumerate(dims)]
-    centres = s.select(*place, F.abs("s_acctbal").alias("h")).collect()
-    df = spec.with_coords(spark.range(spec.n))
-    total = F.lit(0.0)
-    for c in centres:
-        far = sum(((F.col(a) - c[a]) * (F.col(a) - c[a]) for a in "xyz"[1 : spec.d]), (F.col("x") - c["x"]) * (F.col("x") - c["x"]))
-        total = total + F.lit(c["h"]) * F.exp(-far / (2 * width * width))
-    return Field(df.select("id", F.round(total * SCALE).cast("long").alias("f")), spec)
+    axes = ["x", "y", "z"][: spec.d]
+    s = table(spark, sf_dir, "supplier")
+    s = s if n_centres is None else s.orderBy("s_suppkey").limit(n_centres)
+    place = [F.pmod(F.xxhash64(F.lit(7 + i), "s_suppkey"), F.lit(n)).alias(a) for i, (a, n) in enumerate(zip(axes, dims))]
+    heights = s.select(*place, F.round(F.abs("s_acctbal") * 100).cast("long").alias("cents")).groupBy(*axes).agg(F.sum("cents").alias("cents"))
+    sums = heights.select(*axes, (F.col("cents") / 100.0).cast("double").alias("v"))
+    for a, n in zip(axes, dims):
+        far = F.col("_fs_to") - F.col(a)
+        spread = sums.withColumn("_fs_to", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long")))).withColumn("v", F.col("v") * F.exp(-far * far / (2 * width * width)))
+        parts = spread.groupBy("_fs_to", *(o for o in axes if o != a)).agg(F.array_sort(F.collect_list(F.struct(a, "v"))).alias("parts"))
+        sums = parts.withColumn("v", F.aggregate("parts", F.lit(0.0), lambda t, c: t + c["v"])).drop("parts").withColumnRenamed("_fs_to", a)
+    df = spec.with_coords(spark.range(spec.n)).join(sums, axes, "left")
+    return Field(df.select("id", F.round(F.coalesce("v", F.lit(0.0)) * SCALE).cast("long").alias("f")), spec)
 
 
 def resample(field: Field, factor: int) -> Field:
