@@ -174,6 +174,7 @@ def build() -> dict[str, str]:
     o["segments_rollup"] = f"{kinds} select coalesce(block, -1) as block, coalesce(cast(inside as varchar), 'all') as inside, count(*) as vertices, count(distinct max_id) as segments from r group by rollup (block, inside)"
     o["segments_cube"] = f"{kinds} select coalesce(block, -1) as block, coalesce(cast(inside as varchar), 'all') as inside, count(*) as vertices, count(distinct max_id) as segments from r group by cube (block, inside)"
     o["trace_paths_line"] = f"with recursive {pointers('line')}, w(seed, p, path) as (select id, id, cast(id as varchar) from ptr where id % 97 = 0 union all select w.seed, q.up, w.path || ',' || q.up from w join ptr q on w.p = q.id where q.up <> q.id) select seed, path from w join ptr q on w.p = q.id where q.up = q.id"
+    o["trace_all_paths_line"] = f"with recursive {pointers('line')}, w(seed, p, path) as (select id, id, cast(id as varchar) from ptr union all select w.seed, q.up, w.path || ',' || q.up from w join ptr q on w.p = q.id where q.up <> q.id) select seed, path from w join ptr q on w.p = q.id where q.up = q.id"
     o["separatrices_line"] = f"""with recursive {walks("line")}, k as (select a.id, count(*) filter (where row(b.f, b.id) < row(a.f, a.id)) as lo, count(*) filter (where row(b.f, b.id) > row(a.f, a.id)) as hi from {STAR} group by a.id)
         select a.id as saddle, 'down' as side, b.id as seed, e.ext as end_id from {STAR} join k on k.id = a.id join e_down e on e.id = b.id where k.lo > 1 and row(b.f, b.id) < row(a.f, a.id)
         union all select a.id, 'up', b.id, e.ext from {STAR} join k on k.id = a.id join e_up e on e.id = b.id where k.hi > 1 and row(b.f, b.id) > row(a.f, a.id)"""

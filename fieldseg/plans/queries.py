@@ -115,8 +115,8 @@ def _grouped(how: str) -> Query:
     return _masked("orders", run, above=0.5, normalised=True)
 
 
-def _traces(f) -> DataFrame:
-    paths = segment.integral_lines(f.df, f.spec, f.df.where("id % 97 = 0").select("id"))
+def _traces(f, seeds: str = "id % 97 = 0") -> DataFrame:
+    paths = segment.integral_lines(f.df, f.spec, f.df.where(seeds).select("id"))
     return paths.select("seed", F.array_join("path", ",").alias("path"))
 
 
@@ -234,6 +234,7 @@ def build() -> dict[str, Query]:
     q["topk_segments"] = on("orders", _topk)
     q["segments_rollup"], q["segments_cube"] = _grouped("rollup"), _grouped("cube")
     q["trace_paths_line"], q["separatrices_line"] = on("line", _traces), on("line", _separatrices)
+    q["trace_all_paths_line"] = on("line", lambda f: _traces(f, "true"))
     q["extremum_graph_cube"], q["extremum_graph_orders"] = on("cube", _extremum_graph), on("orders", _extremum_graph)
     q["nearest_embeddings"] = lambda s, d: base.nearest(graphs.embedding_points(s, d), 8)
     q["knn_ascent_embeddings"] = lambda s, d: base.knn_ascent(graphs.embedding_points(s, d), 8)
