@@ -11,8 +11,8 @@ Keys are made for distinct fingerprints only.  Keys with few members give pairs,
 costs 65 rows a member, so no group makes all its pairs.  Components are found by distributed contraction.
 
 `near_dedup` is the wider form for similar texts: two texts whose five-word windows have a similarity of 0.8 differ in more
-bits than a pigeonhole bears, so several independent fingerprints make keys of two Golay indices each, and pairs are verified by
-the distance of 512-bit sketches.
+bits than a pigeonhole bears, so windows themselves are the keys: in one order of all windows, rare ones first, similar texts
+share one of their first fifth.  Sketches rule out chance candidates, and sets of windows decide all others.
 
 Nulls and texts without words have fingerprint zero, linked like any other.  Repeated rows are returned each.
 """
@@ -217,20 +217,24 @@ def near_components(prints: DataFrame) -> DataFrame:
     return prints.join(labels.join(least, "label").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
 
 
-#: Independent fingerprints of word pairs that make keys, bits of the sketch of long shingles that pairs are verified with.
-TABLES = 3
-SKETCH = 8
 SIMILARITY = 0.8
-#: Estimates of the similarity that are this near to the limit are checked exactly (about three standard errors).
-UNSURE = 0.1
-#: Bits of 64 that candidates of a table may differ in, and bits within which members of a large run share a leader.
-TABLE_BITS = 10
-LEADER_BITS = 9
-LEADER_PAIR_BITS = 8
-#: Nodes by which a large component of one table goes on to the next.
-MEMBERS = 512
-#: Members of a run that are compared in pairs; larger runs have leaders.
-PAIR_RUN = 3
+#: Least hashes of a text's windows that bring it to a leader before all others are compared.
+LEADERS = 3
+#: 64-bit words of the sketch, and the share of its bits, over what the similarity lets expect, beyond which a pair is ruled out
+#: (some eight standard errors).
+SKETCH = 4
+RULED_OUT = 0.2
+#: Texts (expected) that are asked for common windows, how often such a window is in them, and how many are told to the tasks.
+COMMON_TEXTS = 8000
+COMMON_COUNT = 3
+COMMON_WINDOWS = 50_000
+#: Nodes whose windows are fetched by broadcast; of more, all texts are shuffled.
+BROADCAST_ENDS = 200_000
+#: Bytes of text whose windows a task holds at a time.
+KERNEL_BYTES = 1 << 19
+#: Runs of so many rows are compared together with others; longer ones by themselves, so many rows at a time.
+RUN_ROWS = 64
+BLOCK_ROWS = 1024
 
 
 def windows(b, low: np.ndarray, sizes: tuple[int, ...]):
@@ -261,191 +265,192 @@ def distinct(g: np.ndarray, own: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return g[new], own[new]
 
 
-def sketches(docs: DataFrame, text: str, node: list, shingle: int = 5) -> DataFrame:
-    """(n1, n2, doc_id, keys array<long>, sketch array<long>): fingerprints of word pairs and of `shingle`-word windows.
-
-    Shorter texts are one window.  Hashes of windows come from the byte kernels, and each further 64 bits from another mix of them.
-    """
-
-    def bits(h, docs_of, n, words, salt):
-        out = []
-        for k in range(words):
-            out.append(majority(mix(h + np.uint64((salt + k) * 0x9E3779B97F4A7C15 & (1 << 64) - 1)), docs_of, n))
-        return np.stack(out, axis=1)
+def window_sets(texts: DataFrame, shingle: int) -> DataFrame:
+    """(node, hashes): the distinct windows of the texts in (node, text)."""
 
     def run(batches):
         for rb in batches:
-            keys, sketch = [np.zeros((0, TABLES), np.uint64)], [np.zeros((0, SKETCH), np.uint64)]
-            for b in blocks(rb.column(3)):
-                pairs, long = windows(b, LOWER[b.buf], (2, shingle))
-                keys.append(bits(*distinct(*pairs), b.n, TABLES, 1))
-                sketch.append(bits(*distinct(*long), b.n, SKETCH, 101))
-            lists = [pa.ListArray.from_arrays(pa.array(np.arange(len(m) + 1, dtype=np.int32) * m.shape[1]), pa.array(m.view(np.int64).ravel())) for m in (np.concatenate(keys), np.concatenate(sketch))]
-            yield pa.RecordBatch.from_arrays([*rb.columns[:3], *lists], ["n1", "n2", "doc_id", "keys", "sketch"])
+            for b in blocks(rb.column(1), KERNEL_BYTES):
+                (pair,) = windows(b, LOWER[b.buf], (shingle,))
+                g, own = distinct(*pair)
+                off = np.searchsorted(own, np.arange(b.n + 1)).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([rb.column(0).slice(b.first, b.n), pa.ListArray.from_arrays(pa.array(off), pa.array(g.view(np.int64)))], ["node", "hashes"])
 
-    own = docs.select(*node, F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    return own.mapInArrow(run, "n1 long, n2 long, doc_id long, keys array<long>, sketch array<long>")
+    return texts.mapInArrow(run, "node long, hashes array<long>")
 
 
-def pair_keys(nodes: DataFrame, table: int) -> DataFrame:
-    """(key, fp, node): for each two segments of a table's fingerprint, the Golay indices of both."""
+def common_windows(docs: DataFrame, text: str, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """Windows that many of some texts hold, ascending, and in how many they are.
 
-    def run(batches):
-        code = Golay()
-        for rb in batches:
-            node = rb.column(0).to_numpy()
-            fps = rb.column(1).flatten().to_numpy().reshape(len(node), -1).view(np.uint64)
-            for a in range(0, len(node), 1 << 12):
-                for t in (table,):
-                    fp, own = fps[a : a + (1 << 12), t], node[a : a + (1 << 12)]
-                    got = [code.indices((fp >> np.uint64(at) & np.uint64((1 << n) - 1)).astype(np.int64)) for at, n in SEGMENTS]
-                    for i in range(3):
-                        (r1, x1), (r2, x2) = got[i], got[(i + 1) % 3]
-                        n2 = np.bincount(r2, minlength=len(fp))
-                        first2 = np.cumsum(n2) - n2
-                        each = n2[r1]
-                        row = np.repeat(r1, each)
-                        other = x2[np.repeat(first2[r1], each) + np.arange(len(row)) - np.repeat(np.cumsum(each) - each, each)]
-                        key = (np.int64(3 * t + i) << 24) | (np.repeat(x1, each) << 12) | other
-                        yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(fp[row].view(np.int64)), pa.array(own[row])], ["key", "fp", "node"])
-
-    return nodes.select("node", "keys").mapInArrow(run, "key long, fp long, node long")
-
-
-def _run_pairs(f: np.ndarray, n: np.ndarray):
-    """Candidate pairs of a run with one key: all that are near, or in a large run each with its leader, and leaders with leaders."""
-    near = TABLE_BITS
-    if len(f) > PAIR_RUN:
-        left, leaders = np.argsort(n, kind="stable"), []
-        while len(left):
-            # the member nearest to the majority of those around the first: of all, it is likest to the others, in every run
-            around = left[np.bitwise_count(f[left] ^ f[left[0]]) <= TABLE_BITS]
-            ones = np.unpackbits(f[around].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0)
-            middle = np.packbits(2 * ones > len(around), bitorder="little").view(np.uint64)[0]
-            head = around[np.argmin(np.bitwise_count(f[around] ^ middle))]
-            close = np.bitwise_count(f[left] ^ f[head]) <= LEADER_BITS
-            mine = np.concatenate([[head], left[close & (left != head)]])
-            leaders.append(mine[0])
-            if len(mine) > 1:
-                yield np.repeat(n[mine[0]], len(mine) - 1), n[mine[1:]]
-            left = left[~close & (left != head)]
-        f, n, near = f[leaders], n[leaders], LEADER_PAIR_BITS
-    for d in range(1, len(f)):
-        ok = np.bitwise_count(f[d:] ^ f[:-d]) <= near
-        if ok.any():
-            yield n[:-d][ok], n[d:][ok]
-
-
-def _candidates(batches):
-    """(a, b) from rows sorted by (key, fp); a key's rows are held until it ends."""
-    held_k, held_f, held_n = np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.int64)
-
-    def made(pairs):
-        a, b = (np.concatenate([p[i] for p in pairs]) for i in (0, 1))
-        both = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0)
-        return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], ["a", "b"])
-
-    ready, size_ready = [], 0
-    for rb in chain(batches, (None,)):
-        if rb is not None:
-            k = np.concatenate([held_k, rb.column(0).to_numpy()])
-            f = np.concatenate([held_f, rb.column(1).to_numpy().view(np.uint64)])
-            n = np.concatenate([held_n, rb.column(2).to_numpy()])
-        else:
-            k, f, n = held_k, held_f, held_n
-        cuts = np.concatenate([[0], np.flatnonzero(k[1:] != k[:-1]) + 1, [len(k)]]) if len(k) else np.zeros(2, np.int64)
-        last = len(cuts) - 1 if rb is None else len(cuts) - 2
-        whole = int(cuts[last])
-        size = np.diff(cuts[: last + 1])
-        pairs = []
-        small = np.repeat(size <= PAIR_RUN, size)
-        ks, fs, ns = k[:whole][small], f[:whole][small], n[:whole][small]
-        for d in range(1, PAIR_RUN):
-            near = np.flatnonzero(ks[d:] == ks[:-d]) if len(ks) > d else np.zeros(0, np.int64)
-            if not len(near):
-                break
-            near = near[np.bitwise_count(fs[near] ^ fs[near + d]) <= TABLE_BITS]
-            pairs.append((ns[near], ns[near + d]))
-        for i in np.flatnonzero(size > PAIR_RUN):
-            pairs += _run_pairs(f[cuts[i] : cuts[i + 1]], n[cuts[i] : cuts[i + 1]])
-        ready += pairs
-        size_ready += sum(len(p[0]) for p in pairs)
-        if size_ready > 1_000_000 or rb is None and size_ready:
-            yield made(ready)
-            ready, size_ready = [], 0
-        held_k, held_f, held_n = k[whole:], f[whole:], n[whole:]
+    They come last in the order of windows, so that few prefixes hold them.  The order changes the cost alone: pairs are found by any.
+    """
+    body = F.coalesce(F.col(text), F.lit(""))
+    few = docs.select(F.xxhash64(body).alias("node"), body.alias("text")).where(F.pmod(F.xxhash64(F.lit(5), "text"), F.lit(max(1, docs.count()))) < COMMON_TEXTS)
+    counts = window_sets(few.dropDuplicates(["node"]), shingle).select(F.explode("hashes").alias("h")).groupBy("h").agg(F.count("*").alias("n"))
+    found = counts.where(F.col("n") >= COMMON_COUNT).orderBy(F.desc("n"), "h").limit(COMMON_WINDOWS).toPandas()
+    h, n = found["h"].to_numpy(np.int64).view(np.uint64), found["n"].to_numpy(np.int64)
+    order = np.argsort(h)
+    return h[order], n[order]
 
 
-def similar_limit(similarity: float) -> int:
-    """Sketch bits in which texts of this similarity differ: sets of one size with similarity s have the cosine 2s / (1 + s)."""
-    return int(64 * SKETCH * np.arccos(2 * similarity / (1 + similarity)) / np.pi)
+def digests(docs: DataFrame, text: str, node: list, shingle: int, similarity: float, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
+    """(n1, n2, doc_id, size, score, prefix, least, sketch) of the distinct windows of each text; a text without words has one.
 
+    `prefix`: in the order of (times found common, hash), as many first windows as any text of the similarity shares one with.
+    `least`: least hashes under several mixes.  `score`: common windows in a thousand.  `sketch`: the majority of each bit.
+    """
 
-def window_sets(texts: DataFrame, shingle: int) -> DataFrame:
-    """(node, hashes): the distinct windows of the texts in (node, text)."""
+    def arrays(m):
+        return pa.ListArray.from_arrays(pa.array(np.arange(len(m) + 1, dtype=np.int32) * m.shape[1]), pa.array(m.view(np.int64).ravel()))
+
+    def salted(h, salt):
+        return mix(h + np.uint64(salt * 0x9E3779B97F4A7C15 & (1 << 64) - 1))
 
     def run(batches):
+        names, times = common
         for rb in batches:
-            for b in blocks(rb.column(1)):
+            size, score, taken, prefix = ([np.zeros(0, np.int64)] for _ in range(4))
+            least, sketch = [np.zeros((0, LEADERS), np.uint64)], [np.zeros((0, SKETCH), np.uint64)]
+            for b in blocks(rb.column(3), KERNEL_BYTES):
                 (pair,) = windows(b, LOWER[b.buf], (shingle,))
                 g, own = distinct(*pair)
-                off = np.searchsorted(own, np.arange(b.n + 1)).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([rb.column(0).slice(b.first, b.n), pa.ListArray.from_arrays(pa.array(off), pa.array(g.view(np.int64)))], ["node", "hashes"])
+                bare = np.flatnonzero(np.bincount(own, minlength=b.n) == 0)
+                g, own = np.concatenate([g, np.zeros(len(bare), np.uint64)]), np.concatenate([own, bare])
+                heat = np.zeros(len(g), np.int64)
+                if len(names):
+                    place = np.minimum(np.searchsorted(names, g), len(names) - 1)
+                    heat = np.where(names[place] == g, times[place], 0)
+                order = np.lexsort((g, heat, own))
+                g, own, heat = g[order], own[order], heat[order]
+                n = np.bincount(own, minlength=b.n)
+                first = np.cumsum(n) - n
+                take = n - np.ceil(similarity * n - 1e-9).astype(np.int64) + 1
+                prefix.append(g[np.arange(len(g)) - first[own] < take[own]].view(np.int64))
+                size.append(n)
+                taken.append(take)
+                score.append(np.bincount(own, heat > 0, minlength=b.n).astype(np.int64) * 1000 // n)
+                least.append(np.stack([np.minimum.reduceat(salted(g, 1 + k), first) for k in range(LEADERS)], axis=1))
+                sketch.append(np.stack([majority(salted(g, 101 + k), own, b.n) for k in range(SKETCH)], axis=1))
+            ends = np.concatenate([[0], np.cumsum(np.concatenate(taken))]).astype(np.int32)
+            lists = [pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(prefix))), arrays(np.concatenate(least)), arrays(np.concatenate(sketch))]
+            yield pa.RecordBatch.from_arrays([*rb.columns[:3], pa.array(np.concatenate(size)), pa.array(np.concatenate(score)), *lists], ["n1", "n2", "doc_id", "size", "score", "prefix", "least", "sketch"])
 
-    return texts.mapInArrow(run, "node long, hashes array<long>")
+    own = docs.select(*node, F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
+    return own.mapInArrow(run, "n1 long, n2 long, doc_id long, size long, score long, prefix array<long>, least array<long>, sketch array<long>")
+
+
+def leader_pairs(nodes: DataFrame) -> DataFrame:
+    """(a, b): each node with the one of most common windows among those that share a least hash, which is likely what they derive from."""
+    each = nodes.select("node", "score", F.posexplode("least").alias("k", "h"))
+    leads = each.groupBy("k", "h").agg(F.max(F.struct("score", "node")).alias("lead"), F.count("*").alias("n")).where("n > 1")
+    return each.join(leads, ["k", "h"]).select(F.col("node").alias("a"), F.col("lead.node").alias("b")).where("a <> b").distinct()
+
+
+def _cross_pairs(similarity: float):
+    """Of rows (key, node, label, rest) with `size`, sorted by (key, size): pairs under one key, with two labels, that can be similar."""
+    least = similarity / (1 + similarity)
 
+    def fits(x, i, j):
+        # if no window before this one is shared, no more than the shorter rest is; the first shared window of a pair counts
+        return (x["label"][i] != x["label"][j]) & (np.minimum(x["rest"][i], x["rest"][j]) >= least * (x["size"][i] + x["size"][j]) - 1e-9)
 
-def near_pairs(nodes: DataFrame, table: int, similarity: float) -> DataFrame:
-    """(a, b, differ): pairs of one table's candidates whose sketches don't rule the similarity out."""
-    # keys that share their first index lie together, so that a task finds a pair once for all of them
-    keyed = pair_keys(nodes, table).repartition(F.shiftright("key", 12)).sortWithinPartitions("key", "fp")
-    pairs = keyed.mapInArrow(_candidates, "a long, b long").distinct()
+    def short_runs(x):
+        for d in range(1, RUN_ROWS):
+            at = np.flatnonzero(x["key"][d:] == x["key"][:-d]) if len(x["key"]) > d else np.zeros(0, np.int64)
+            if not len(at):
+                break
+            at = at[fits(x, at, at + d)]
+            yield x["node"][at], x["node"][at + d]
+
+    def long_run(x):
+        n = len(x["node"])
+        for a in range(0, n, BLOCK_ROWS):
+            z = min(n, a + BLOCK_ROWS)
+            top = int(np.searchsorted(x["size"], x["size"][z - 1] / similarity + 1e-6, "right"))
+            for c in range(a, top, BLOCK_ROWS):
+                i, j = np.arange(a, z)[:, None], np.arange(c, min(top, c + BLOCK_ROWS))[None, :]
+                i, j = np.nonzero(fits(x, i, j) & (i < j))
+                yield x["node"][a + i], x["node"][c + j]
+
+    def run(batches):
+        names, held, ready, n_ready = ["key", "node", "label", "size", "rest"], None, [], 0
+        for rb in chain(batches, (None,)):
+            x = None if rb is None else {c: rb.column(i).to_numpy() for i, c in enumerate(names)}
+            if held is not None:
+                x = held if x is None else {c: np.concatenate([held[c], x[c]]) for c in names}
+            if x is None or not len(x["key"]):
+                continue
+            cuts = np.concatenate([[0], np.flatnonzero(x["key"][1:] != x["key"][:-1]) + 1, [len(x["key"])]])
+            last = len(cuts) - 1 if rb is None else len(cuts) - 2
+            whole, size = int(cuts[last]), np.diff(cuts[: last + 1])
+            held = {c: x[c][whole:] for c in names}
+            if last:
+                mixed = np.minimum.reduceat(x["label"][:whole], cuts[:last]) < np.maximum.reduceat(x["label"][:whole], cuts[:last])
+                some = np.repeat(mixed & (size <= RUN_ROWS), size)
+                made = list(short_runs({c: x[c][:whole][some] for c in names}))
+                for i in np.flatnonzero(mixed & (size > RUN_ROWS)):
+                    made += long_run({c: x[c][cuts[i] : cuts[i + 1]] for c in names})
+                ready += [m for m in made if len(m[0])]
+                n_ready += sum(len(m[0]) for m in made)
+            if n_ready > 1_000_000 or rb is None and n_ready:
+                a, b = (np.concatenate([m[i] for m in ready]) for i in (0, 1))
+                both = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0)
+                yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], ["a", "b"])
+                ready, n_ready = [], 0
+
+    return run
+
+
+def prefix_pairs(nodes: DataFrame, labels: DataFrame, similarity: float) -> DataFrame:
+    """(a, b): every pair of nodes with different labels (id, label) whose prefixes let them have the similarity."""
+    own = nodes.select("node", "size", "prefix").join(labels.withColumnRenamed("id", "node"), "node", "left").withColumn("label", F.coalesce("label", "node"))
+    rows = own.select("node", "label", "size", F.posexplode("prefix").alias("pos", "key")).select("key", "node", "label", "size", (F.col("size") - F.col("pos")).alias("rest"))
+    return rows.repartition("key").sortWithinPartitions("key", "size").mapInArrow(_cross_pairs(similarity), "a long, b long").distinct()
+
+
+
+def verified(pairs: DataFrame, nodes: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """(a, b): the pairs whose sets of windows have the similarity, from (node, head, sketch) and (node, doc_id, text)."""
     s = nodes.select("node", "sketch")
     both = pairs.join(s.select(F.col("node").alias("a"), F.col("sketch").alias("sa")), "a").join(s.select(F.col("node").alias("b"), F.col("sketch").alias("sb")), "b")
     differ = sum((F.bit_count(F.col("sa")[i].bitwiseXOR(F.col("sb")[i])) for i in range(1, SKETCH)), F.bit_count(F.col("sa")[0].bitwiseXOR(F.col("sb")[0])))
-    return cut(both.select("a", "b", differ.alias("differ")).where(F.col("differ") <= similar_limit(max(0.0, similarity - UNSURE))))
+    most = 64 * SKETCH * (np.arccos(2 * similarity / (1 + similarity)) / np.pi + RULED_OUT)
+    near = cut(both.where(differ <= F.lit(float(most))).select("a", "b"))
+    ends = near.select(F.col("a").alias("node")).union(near.select(F.col("b").alias("node"))).distinct()
+    heads = cut(nodes.join(ends, "node", "left_semi").select("node", F.col("head.doc_id").alias("_fs_head")))
+    # few ends go to all tasks, so that texts stay where they are
+    heads = F.broadcast(heads) if heads.count() <= BROADCAST_ENDS else heads
+    wanted = texts.join(heads, "node").where(F.col("doc_id").eqNullSafe(F.col("_fs_head"))).select("node", "text")
+    sets = cut(window_sets(wanted, shingle).dropDuplicates(["node"]))
+    exact = near.join(sets.select(F.col("node").alias("a"), F.col("hashes").alias("ha")), "a").join(sets.select(F.col("node").alias("b"), F.col("hashes").alias("hb")), "b")
+    shared, total = F.size(F.array_intersect("ha", "hb")), F.size("ha") + F.size("hb")
+    return cut(exact.where(shared >= (total - shared) * similarity).select("a", "b"))
 
 
 def similar_pairs(nodes: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
-    """(a, b) of nodes whose windows have the Jaccard similarity, from (node, head, keys, sketch) and (node, doc_id, text).
+    """(a, b): pairs of the similarity that join exactly the nodes that all such pairs join.
 
-    Sketches decide the clear cases; pairs within `UNSURE` of the limit are decided by their sets of windows.  Tables are worked
-    one after another: a component of clear pairs with more than `MEMBERS` nodes goes on with about so many of them, drawn by hash.
+    Nodes are linked to leaders first.  Then every node takes part in the search for all other pairs, which leaves out those alone
+    that have one label by then.
     """
-    clear = F.col("differ") <= similar_limit(min(1.0, similarity + UNSURE))
-    live, near = nodes, None
-    for table in range(TABLES):
-        found = near_pairs(live, table, similarity)
-        near = found if near is None else near.unionByName(found)
-        if table + 1 < TABLES:
-            labels = cut(contract_components(near.where(clear), "a", "b"))
-            large = labels.groupBy("label").agg(F.count("*").alias("n")).where(F.col("n") > MEMBERS)
-            gone = labels.join(large, "label").where(F.pmod(F.xxhash64(F.lit(table), "id"), F.col("n")) >= MEMBERS)
-            live = live.join(gone.select(F.col("id").alias("node")), "node", "left_anti")
-    near = cut(near.groupBy("a", "b").agg(F.min("differ").alias("differ")))
-    unsure = near.where(~clear)
-    ends = unsure.select(F.col("a").alias("node")).union(unsure.select(F.col("b").alias("node"))).distinct()
-    heads = nodes.join(ends, "node", "left_semi").select("node", F.col("head.doc_id").alias("_fs_head"))
-    wanted = texts.join(heads, "node").where(F.col("doc_id").eqNullSafe(F.col("_fs_head"))).select("node", "text")
-    sets = cut(window_sets(wanted, shingle).dropDuplicates(["node"]))
-    exact = unsure.join(sets.select(F.col("node").alias("a"), F.col("hashes").alias("ha")), "a").join(sets.select(F.col("node").alias("b"), F.col("hashes").alias("hb")), "b")
-    shared, total = F.size(F.array_intersect("ha", "hb")), F.size("ha") + F.size("hb")
-    return near.where(clear).select("a", "b").unionByName(exact.where(shared >= (total - shared) * similarity).select("a", "b"))
+    stars = verified(leader_pairs(nodes), nodes, texts, shingle, similarity)
+    labels = cut(contract_components(stars, "a", "b"))
+    return stars.unionByName(verified(prefix_pairs(nodes, labels, similarity), nodes, texts, shingle, similarity))
 
 
 def near_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = 5, similarity: float = SIMILARITY) -> DataFrame:
     """One document of each group of near copies: the smallest id (nulls last), one of its copies; columns unchanged.
 
-    Groups are joined by pairs whose `shingle`-word windows have a Jaccard similarity of `similarity` or more.  Candidates come
-    from the Golay keys of word pairs' fingerprints and are verified by sketches of 512 bits, near the limit by the windows
-    themselves.  Copies of a text are one node from the start.
+    Groups are joined by pairs whose `shingle`-word windows have a Jaccard similarity of `similarity` or more.  All such pairs
+    share a window of their prefixes, are candidates by that and verified by their windows.  Copies of a text are one node from the start.
     """
     body = F.coalesce(F.col(text), F.lit(""))
     n1, n2 = F.xxhash64(body), F.xxhash64(F.lit(13), body)
-    prints = cut(sketches(docs.withColumnRenamed(doc_id, "doc_id") if doc_id != "doc_id" else docs, text, [n1.alias("n1"), n2.alias("n2")], shingle))
+    named = docs.withColumnRenamed(doc_id, "doc_id") if doc_id != "doc_id" else docs
+    prints = cut(digests(named, text, [n1.alias("n1"), n2.alias("n2")], shingle, similarity, common_windows(docs, text, shingle)))
     row = F.struct(F.col("doc_id").isNull().alias("n"), "doc_id", "n1", "n2")
     # copies of a text share their node, so the map-side minimum leaves one row a text and task
-    nodes = cut(prints.groupBy("n1", "n2").agg(F.min(row).alias("head"), F.first("keys").alias("keys"), F.first("sketch").alias("sketch")).withColumnRenamed("n1", "node"))
+    nodes = cut(prints.groupBy("n1", "n2").agg(F.min(row).alias("head"), *(F.first(c).alias(c) for c in ("size", "score", "prefix", "least", "sketch"))).withColumnRenamed("n1", "node"))
     texts = docs.select(n1.alias("node"), F.col(doc_id).cast("long").alias("doc_id"), body.alias("text"))
     labels = contract_components(similar_pairs(nodes, texts, shingle, similarity), "a", "b")
     heads = nodes.select("node", "head").join(labels.withColumnRenamed("id", "node"), "node", "left").groupBy(F.coalesce("label", "node").alias("label")).agg(F.min("head").alias("head"))
@@ -455,7 +460,6 @@ def near_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shin
         return kept
     return kept.withColumn("_fs_body", n1).dropDuplicates([doc_id, "_fs_body"]).drop("_fs_body")
 
-
 def op6(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return near_components(fingerprints(docs)).select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
