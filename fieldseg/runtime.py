@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import shutil
 import tempfile
 import uuid
@@ -33,10 +34,13 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The shared checkpoint folder; a private one is set only where the session names none (tests)."""
+    """The shared checkpoint folder.  Where the session names none, a local session gets a private one; on a cluster that is an error."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="fieldseg-"))
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if named is None and not re.fullmatch(r"local(\[.*\])?", sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="fieldseg-"))
     return sc.getCheckpointDir()
 
 
@@ -63,10 +67,11 @@ def shuffle_width(spark: SparkSession) -> int:
 class Scratch:
     """A table written to the shared folder as parquet, compact and splittable, until `drop` removes it."""
 
-    def __init__(self, df: DataFrame, name: str = "scratch"):
+    def __init__(self, df: DataFrame, name: str = "scratch", partition_by: str | None = None):
         self.spark = df.sparkSession
         self.path = f"{shared_dir(self.spark)}/{name}-{uuid.uuid4().hex}"
-        df.write.option("compression", "zstd").parquet(self.path)
+        out = df.write.option("compression", "zstd")
+        (out.partitionBy(partition_by) if partition_by else out).parquet(self.path)
         self.table = self.spark.read.schema(df.schema).parquet(self.path)
 
     def drop(self) -> None:
