@@ -1,9 +1,10 @@
 """Line dedup with levelled sorted runs of line hashes.
 
-A run is a parquet table sorted by the 128-bit hash of a line key, with the number of documents that hold the line and the
-largest (and smallest) of their ids.  Each batch of documents becomes a new run at level 0: its hashes are merge-anti-joined
-with the runs to tell new lines from known ones, and `fan` runs of a level are compacted into one of the next level,
-counts added, so a hash is rewritten once a level.  A line's key is the line without white space at its ends, A-Z lower-cased.
+A run is a table bucketed and sorted by the 128-bit hash of a line key, with the number of documents that hold the line and the
+largest (and smallest) of their ids.  Each batch of documents is merge-anti-joined with the runs: lines that no run holds are
+`fresh` rows of the new run, so each line is fresh in one run alone; lines that are known add their counts beside.  `fan` runs
+of a level are compacted into one of the next level, counts added, so a hash is rewritten once a level.  Runs share their
+buckets, so the anti-join does not shuffle them.  A line's key is the line without white space at its ends, A-Z lower-cased.
 
 Null and empty texts are one empty line.  A null document id counts as one document smaller than all others.  Repeated rows
 of a document hold its lines once and keep or lose them alike.  Extra columns pass through.
@@ -16,13 +17,16 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fieldseg.runtime import cut, shared_dir
+from fieldseg.runtime import Scratch, cut, shared_dir, shuffle_width
 
 MIN_CHARS = 40
 MIN_DOCS = 5
 SPACES = " \t\n\x0b\x0c\r"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 NO_ID = -(1 << 63)
+#: A line in more than this share of all entries is hot; so many lines at most can be.
+HOT_LINES = 10_000
+RUN_FIELDS = "h1 long, h2 long, n_docs long, max_id long, min_id long, fresh boolean"
 
 
 def line_key(line: Column) -> Column:
@@ -46,72 +50,99 @@ def line_entries(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", mi
 
 
 class LineRuns:
-    """The levelled store; runs live in the shared folder and levels in `self.levels` (paths)."""
+    """The levelled store; runs live in the shared folder, as bucketed tables whose names `self.levels` holds."""
 
-    def __init__(self, spark: SparkSession, path: str | None = None, fan: int = 4):
+    def __init__(self, spark: SparkSession, path: str | None = None, fan: int = 4, buckets: int | None = None):
         self.spark, self.fan, self.n = spark, fan, 0
-        self.path = path or f"{shared_dir(spark)}/line-runs-{uuid.uuid4().hex}"
+        self.name = f"line_runs_{uuid.uuid4().hex}"
+        self.path = path or f"{shared_dir(spark)}/{self.name}"
+        self.buckets = buckets or shuffle_width(spark)
         self.levels: list[list[str]] = [[]]
 
     def _write(self, run: DataFrame, level: int) -> str:
-        path = f"{self.path}/level{level}-{self.n}"
+        name = f"{self.name}_{self.n}"
         self.n += 1
-        # runs come from an aggregation by the hash, so equal hashes are in one partition already
-        run.sortWithinPartitions("h1", "h2").write.option("compression", "zstd").parquet(path)
-        return path
+        out = run.write.bucketBy(self.buckets, "h1", "h2").sortBy("h1", "h2").option("compression", "zstd")
+        out.option("path", f"{self.path}/{name}").saveAsTable(name)
+        return name
 
     @staticmethod
     def _merge(runs: DataFrame) -> DataFrame:
-        return runs.groupBy("h1", "h2").agg(F.sum("n_docs").alias("n_docs"), F.max("max_id").alias("max_id"), F.min("min_id").alias("min_id"))
+        return runs.groupBy("h1", "h2").agg(F.sum("n_docs").alias("n_docs"), F.max("max_id").alias("max_id"), F.min("min_id").alias("min_id"), F.bool_or("fresh").alias("fresh"))
 
-    def runs(self) -> DataFrame | None:
-        paths = [p for level in self.levels for p in level]
-        return self.spark.read.parquet(*paths) if paths else None
+    def _files(self, names: list[str]) -> DataFrame:
+        # not a union of the tables: Spark 4.1 takes that for bucketed even where it reads the files without their buckets
+        return self.spark.read.schema(RUN_FIELDS).parquet(*(f"{self.path}/{name}" for name in names))
+
+    def _all(self) -> list[DataFrame]:
+        return [self.spark.table(name) for level in self.levels for name in level]
+
+    def _marked(self, rows: DataFrame) -> DataFrame:
+        """`rows` (h1, h2, ...) with `fresh`: no run holds the line."""
+        rows = rows.withColumn("fresh", F.lit(True))
+        for run in self._all():
+            held = run.where("fresh").select("h1", "h2", F.lit(True).alias("_held"))
+            rows = rows.join(held.hint("merge"), ["h1", "h2"], "left").withColumn("fresh", F.col("fresh") & F.col("_held").isNull()).drop("_held")
+        return rows
 
     def add(self, entries: DataFrame) -> None:
         """Add a batch of (id, h1, h2) whose documents are in no earlier batch."""
         one = entries.groupBy("h1", "h2", "id").agg(F.lit(1).alias("one"))
-        run = one.groupBy("h1", "h2").agg(F.count("*").alias("n_docs"), F.max("id").alias("max_id"), F.min("id").alias("min_id"))
-        self.levels[0].append(self._write(run, 0))
+        lines = one.groupBy("h1", "h2").agg(F.count("*").alias("n_docs"), F.max("id").alias("max_id"), F.min("id").alias("min_id"))
+        self.levels[0].append(self._write(self._marked(lines), 0))
         level = 0
         while len(self.levels[level]) >= self.fan:
             old, self.levels[level] = self.levels[level], []
             if level + 1 == len(self.levels):
                 self.levels.append([])
-            self.levels[level + 1].append(self._write(self._merge(self.spark.read.parquet(*old)), level + 1))
+            self.levels[level + 1].append(self._write(self._merge(self._files(old)), level + 1))
             self._drop(old)
             level += 1
 
     def new_lines(self, entries: DataFrame) -> DataFrame:
-        """The entries whose line is in no run yet (the merge anti-join of a batch with the runs)."""
-        known = self.runs()
-        return entries if known is None else entries.join(known.select("h1", "h2").hint("merge"), ["h1", "h2"], "left_anti")
+        """The entries whose line is in no run yet."""
+        return self._marked(entries).where("fresh").drop("fresh")
 
     def counts(self) -> DataFrame | None:
-        known = self.runs()
-        return None if known is None else self._merge(known)
-
-    def _drop(self, paths: list[str]) -> None:
-        jvm = self.spark.sparkContext._jvm
-        for p in paths:
-            at = jvm.org.apache.hadoop.fs.Path(p)
-            at.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+        """(h1, h2, n_docs, max_id, min_id) of every line: its fresh row, and what later batches added to it."""
+        names = [name for level in self.levels for name in level]
+        if not names:
+            return None
+        # after a compaction of all, every line has its one row
+        return (self.spark.table(names[0]) if len(names) == 1 else self._merge(self._files(names))).drop("fresh")
+
+    def _drop(self, names: list[str]) -> None:
+        sc = self.spark.sparkContext
+        for name in names:
+            self.spark.sql(f"drop table if exists {name}")
+            at = sc._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}")
+            at.getFileSystem(sc._jsc.hadoopConfiguration()).delete(at, True)
 
     def close(self) -> None:
-        self._drop([self.path])
+        self._drop([name for level in self.levels for name in level])
+        sc = self.spark.sparkContext
+        at = sc._jvm.org.apache.hadoop.fs.Path(self.path)
+        at.getFileSystem(sc._jsc.hadoopConfiguration()).delete(at, True)
 
 
-def dropped_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min_chars: int = MIN_CHARS, min_docs: int = MIN_DOCS, batches: int = 4, fan: int = 4) -> DataFrame:
+def dropped_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min_chars: int = MIN_CHARS, min_docs: int = MIN_DOCS, batches: int = 4, fan: int = 4, hot_lines: int = HOT_LINES) -> DataFrame:
     """(id, gone array<struct<h1,h2>>): line hashes that a document loses; documents that lose none are absent."""
     spark = docs.sparkSession
-    entries = cut(line_entries(docs, doc_id, text, min_chars))
+    # a folder for each batch, which reads no other
+    batch = F.pmod(F.xxhash64(F.lit(7), "id"), F.lit(batches)).cast("int").alias("batch")
+    entries = Scratch(line_entries(docs, doc_id, text, min_chars).select("id", "h1", "h2", batch), "line-entries", partition_by="batch")
     store = LineRuns(spark, fan=fan)
     for k in range(batches):
-        store.add(entries.where(F.pmod(F.xxhash64(F.lit(7), "id"), F.lit(batches)) == k))
-    often = store.counts().where(F.col("n_docs") >= min_docs).select("h1", "h2", "max_id")
-    gone = entries.join(often, ["h1", "h2"]).where("id <> max_id")
+        store.add(entries.table.where(F.col("batch") == k).drop("batch"))
+    often = store.counts().where(F.col("n_docs") >= min_docs).select("h1", "h2", "n_docs", "max_id")
+    rows, total = entries.table.select("id", "h1", "h2"), store.counts().agg(F.sum("n_docs")).first()[0] or 0
+    # lines that hold a large share of all entries are few, whatever the table: they go to all tasks, the rest are dealt by hash
+    is_hot = F.col("n_docs") * hot_lines > F.lit(total)
+    hot, rest = (often.where(x).drop("n_docs") for x in (is_hot, ~is_hot))
+    gone = rows.join(F.broadcast(hot), ["h1", "h2"]).unionByName(rows.join(rest, ["h1", "h2"])).where("id <> max_id")
     out = cut(gone.groupBy("id").agg(F.collect_set(F.struct("h1", "h2")).alias("gone")))
     store.close()
+    entries.drop()
     return out
 
 

@@ -191,6 +191,21 @@ def test_line_runs(spark):
     store.close()
 
 
+def test_every_line_is_fresh_in_one_run(spark, sf):
+    """Batches are merge-anti-joined with the runs: no line is new twice, and a hot line goes another way with the same result."""
+    store = line_dedup.LineRuns(spark, fan=100)
+    entries = line_dedup.line_entries(spark.read.parquet(f"{sf}/documents.parquet")).cache()
+    for k in range(3):
+        store.add(entries.where(f"pmod(id, 3) = {k}"))
+    fresh = [{(r.h1, r.h2) for r in t.where("fresh").collect()} for t in store._all()]
+    assert sum(map(len, fresh)) == len(set.union(*fresh)) == entries.select("h1", "h2").distinct().count()
+    assert store.new_lines(entries).count() == 0
+    store.close()
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    one, other = (line_dedup.dropped_lines(docs, hot_lines=n).selectExpr("id", "to_json(array_sort(gone)) g") for n in (1, 1 << 40))
+    assert one.count() > 0 and rows(one) == rows(other)
+
+
 def test_sharding(spark, odd, odd_rows):
     got = sharding.op2(spark, odd).toPandas()
     assert got["shard"].value_counts().reindex(range(16)).between(len(odd_rows) // 16, len(odd_rows) // 16 + 1).all()
