@@ -250,7 +250,7 @@ def test_url_rules(spark, odd):
         fits = [(len(h + p), h + p, v) for h, p, v in url_filter.HOST_RULES if (host == h or host.endswith("." + h)) and path.startswith(p)]
         if fits:
             return host, path, *max(fits)[1:]
-        return host, path, None, "block" if url and any(re.search(p, url) for p, _, _ in url_filter.PATTERN_RULES) else "allow"
+        return host, path, None, "block" if url and any(re.search(p, url) for p, _ in url_filter.PATTERN_RULES) else "allow"
 
     pages = pd.read_parquet(f"{odd}/pages.parquet")
     want = [(None if pd.isna(i) else int(i), *verdict(None if pd.isna(u) else u)) for i, u in zip(pages.page_id, pages.url)]
