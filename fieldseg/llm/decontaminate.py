@@ -2,16 +2,22 @@
 
 Each block of documents is a shard: its suffixes that begin with a word gram that some test window begins with are
 sorted into a suffix array (no other suffix can be reached by a search), and every distinct test suffix of one window
-is binary-searched in it.  Consecutive hits of an item join into its longest verbatim stretches, with their locations.
+whose gram the shard holds is binary-searched in it.  Consecutive hits of an item join into its longest verbatim
+stretches, with their locations.
+
+The benchmark is dealt into blocks of bounded bytes.  Executors turn each into an index of flat arrays (word hashes, word
+places, the distinct windows in suffix order, their items), which passes the driver one at a time on its way to being
+broadcast; a pass over the documents takes `PASS_BLOCKS` of them, so neither the driver nor a worker holds more.
 
 Nulls and empty texts have no words and no hits.  Items without words find nothing; a null item id counts as "null".
 Repeated documents and items are judged each for itself (equal item ids count once).  No row of the documents is dropped
-by `match_items`; `remove_contaminated` drops those with a hit.  The benchmark is read in blocks of bounded bytes, each
-broadcast by itself, so a benchmark of any size passes over the documents block by block.
+by `match_items`; `remove_contaminated` drops those with a hit.
 """
 
 from __future__ import annotations
 
+import pickle
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -22,14 +28,20 @@ from fieldseg.llm.textkernel import ALNUM, LOWER, Block, blocks, grams, per_doc
 
 WINDOW = 10
 PRUNE = 3
-#: Bytes of benchmark text that one index may hold.
-INDEX_BYTES = 16 << 20
+#: Bytes of one index, the bytes it takes for each word beside the text, and the indexes of one pass over the documents.
+INDEX_BYTES = 64 << 20
+WORD_BYTES = 44
+PASS_BLOCKS = 4
+#: Most bits of the table that is asked before the sorted grams are.
+SEEN_BITS = 25
 MATCH = T.StructType([
     T.StructField("n_words", T.LongType()),
     T.StructField("n_hit", T.LongType()),
     T.StructField("spans", T.ArrayType(T.StructType([T.StructField("item_id", T.StringType()), T.StructField("doc_word", T.LongType()), T.StructField("n_words", T.LongType())]))),
 ])
 _SPAN = pa.struct([("item_id", pa.string()), ("doc_word", pa.int64()), ("n_words", pa.int64())])
+#: Words before A-Z are lower-cased.
+WORDS = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 
 
 def word_hashes(b: Block) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -39,79 +51,141 @@ def word_hashes(b: Block) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarra
     return b.hashes(b.prefix(low), s, e), d, s, e
 
 
+def _ranges(lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The numbers lo to hi - 1 of each row, and the row of each."""
+    n = np.maximum(hi - lo, 0)
+    row = np.repeat(np.arange(len(n)), n)
+    return np.arange(len(row)) - np.repeat(np.cumsum(n) - n, n) + lo[row], row
+
+
+class Windows:
+    """Distinct windows of the items whose first `gram` words are told apart, in suffix order, and the items of each."""
+
+    def __init__(self, h: np.ndarray, start: np.ndarray, length: np.ndarray, item: np.ndarray, width: int, gram: int):
+        cols = [np.where(length > j, h[np.minimum(start + j, len(h) - 1)], np.uint64(0)) for j in range(width)]
+        order = np.lexsort((item, length, *cols[::-1]))
+        start, length, item = start[order], length[order], item[order]
+        apart = np.ones((2, len(order)), bool)
+        for k, c in enumerate(cols):
+            c = c[order]
+            apart[1, 1:] = apart[1, 1:] & (c[1:] == c[:-1]) if k else c[1:] == c[:-1]
+            if k == gram - 1:
+                apart[0, 1:] = ~apart[1, 1:]
+        new = np.concatenate([[True], ~apart[1, 1:] | (length[1:] != length[:-1])])
+        fresh = new.copy()
+        fresh[1:] |= item[1:] != item[:-1]
+        self.gram = gram
+        self.start, self.length = start[new].astype(np.int32), length[new].astype(np.int16)
+        self.item, self.item_at = item[fresh].astype(np.int32), np.append(np.flatnonzero(new[fresh]), fresh.sum()).astype(np.int32)
+        # windows that begin alike lie together
+        first = np.flatnonzero(apart[0][new])
+        flat = h[self.start[first][:, None] + np.arange(gram)]
+        known, _ = grams(flat.reshape(-1), np.repeat(np.arange(len(first)), gram), gram)
+        by = np.argsort(known, kind="stable")
+        self.known, self.lo, self.hi = known[by], first[by].astype(np.int32), np.append(first[1:], len(self.start))[by].astype(np.int32)
+
+
 class TestIndex:
-    """Distinct windows of the items: suffix keys for the search, grams for pruning, and the items of each window."""
+    """Flat arrays over the words of some items, for searches in blocks of documents."""
 
     __test__ = False
 
-    def __init__(self, items: list[tuple[str, str]], window: int = WINDOW):
-        self.window, self.ids = window, [i for i, _ in items]
-        found: dict[tuple, set[int]] = {}
-        words: dict[tuple, list[bytes]] = {}
-        for b in blocks(pa.array([t for _, t in items], pa.string())):
-            h, d, s, e = word_hashes(b)
-            low = LOWER[b.buf].tobytes()
-            first = np.searchsorted(d, np.arange(b.n + 1))
-            for k in range(b.n):
-                a, z = int(first[k]), int(first[k + 1])
-                w = min(window, z - a)
-                for p in range(a, z - w + 1) if w else ():
-                    key = tuple(h[p : p + w].tolist())
-                    found.setdefault(key, set()).add(b.first + k)
-                    words.setdefault(key, [low[s[q] : e[q]] for q in range(p, p + w)])
-        keys = sorted(found)
-        self.length = np.array([len(k) for k in keys], np.int64)
-        self.items = [sorted(found[k]) for k in keys]
-        self.words = [b" ".join(words[k]) for k in keys]
-        table = np.zeros((len(keys), window), ">u8")
-        top = np.full((len(keys), window), (1 << 64) - 1, ">u8")
-        for i, k in enumerate(keys):
-            table[i, : len(k)] = top[i, : len(k)] = k
-        self.low, self.high = _keys(table), _keys(top)
-        self.grams = []
+    def __init__(self, ids: pa.Array, texts: pa.Array, window: int = WINDOW):
+        self.window, self.ids = window, ids
+        none = np.zeros(0, np.int64)
+        h, s, e, d, low, base = [none.astype(np.uint64)], [none], [none], [none], [], 0
+        for b in blocks(texts):
+            bh, bd, bs, be = word_hashes(b)
+            h.append(bh)
+            s.append(bs + base)
+            e.append(be + base)
+            d.append(bd + b.first)
+            low.append(LOWER[b.buf].tobytes())
+            base += len(b.buf)
+        self.h, self.low, d = np.concatenate(h), b"".join(low), np.concatenate(d)
+        kind = np.int32 if base < 1 << 31 else np.int64
+        self.s, self.e = np.concatenate(s).astype(kind), np.concatenate(e).astype(kind)
+        n, first = np.bincount(d, minlength=len(ids)), np.searchsorted(d, np.arange(len(ids)))
+        w = np.minimum(window, n)
+        start, item = _ranges(first, first + np.where(n > 0, n - w + 1, 0))
+        self.parts = []
         for g in range(1, PRUNE + 1):
-            firsts = [k[:g] for k in keys if min(PRUNE, len(k)) == g]
-            if firsts:
-                flat = np.array(sorted(set(firsts)), np.uint64)
-                got, _ = grams(flat.reshape(-1), np.repeat(np.arange(len(flat)), g), g)
-                got = np.sort(got)
-                bits = max(16, min(27, int(len(got) * 32).bit_length()))
-                seen = np.zeros(1 << bits, bool)
-                seen[got & np.uint64((1 << bits) - 1)] = True
-                self.grams.append((g, got, seen))
-
-    def candidates(self, h: np.ndarray, d: np.ndarray) -> np.ndarray:
-        out = [np.zeros(0, np.int64)]
-        for g, known, seen in self.grams:
-            got, at = grams(h, d, g)
+            mine = np.flatnonzero(np.minimum(PRUNE, w[item]) == g)
+            if len(mine):
+                self.parts.append(Windows(self.h, start[mine], w[item[mine]], item[mine], window, g))
+        self.seen: list[np.ndarray] | None = None
+
+    def n_bytes(self) -> int:
+        arrays = [self.h, self.s, self.e, *(x for p in self.parts for x in vars(p).values() if isinstance(x, np.ndarray))]
+        return len(self.low) + self.ids.nbytes + sum(x.nbytes for x in arrays)
+
+    def words(self, p: int, n: int) -> bytes:
+        return b" ".join([self.low[self.s[q] : self.e[q]] for q in range(p, p + n)])
+
+    def _tables(self) -> list[np.ndarray]:
+        if self.seen is None:
+            self.seen = []
+            for p in self.parts:
+                t = np.zeros(1 << max(16, min(SEEN_BITS, int(len(p.known) * 32).bit_length())), bool)
+                t[p.known & np.uint64(len(t) - 1)] = True
+                self.seen.append(t)
+        return self.seen
+
+    def search(self, b: Block, words: tuple, found_grams: dict) -> list[tuple[int, int, int, int]]:
+        """(word position, number of words, part, window) of each verbatim occurrence of a window in the block."""
+        h, d, s, e = words
+        out, low = [], None
+        for k, (p, seen) in enumerate(zip(self.parts, self._tables())):
+            if p.gram not in found_grams:
+                found_grams[p.gram] = grams(h, d, p.gram)
+            got, at = found_grams[p.gram]
             maybe = np.flatnonzero(seen[got & np.uint64(len(seen) - 1)])
             got, at = got[maybe], at[maybe]
-            k = np.minimum(np.searchsorted(known, got), len(known) - 1)
-            out.append(at[known[k] == got])
-        return np.unique(np.concatenate(out))
+            near = np.minimum(np.searchsorted(p.known, got), len(p.known) - 1)
+            hit = p.known[near] == got
+            if not hit.any():
+                continue
+            got, at = np.unique(got[hit]), at[hit]
+            gram, _ = _ranges(np.searchsorted(p.known, got, "left"), np.searchsorted(p.known, got, "right"))
+            wanted, _ = _ranges(p.lo[gram], p.hi[gram])
+            table = np.zeros((len(at), self.window), ">u8")
+            for j in range(self.window):
+                ok = at + j < len(h)
+                ok[ok] = d[at[ok] + j] == d[at[ok]]
+                table[ok, j] = h[at[ok] + j]
+            keys = _keys(table)
+            order = np.argsort(keys, kind="stable")
+            sa, keys = at[order], keys[order]
+            least, most = (np.full((len(wanted), self.window), x, ">u8") for x in (0, (1 << 64) - 1))
+            for j in range(self.window):
+                ok = p.length[wanted] > j
+                least[ok, j] = most[ok, j] = self.h[p.start[wanted[ok]] + j]
+            here, row = _ranges(np.searchsorted(keys, _keys(least), "left"), np.searchsorted(keys, _keys(most), "right"))
+            if low is None:
+                low = LOWER[b.buf].tobytes()
+            for x, w in zip(sa[here].tolist(), wanted[row].tolist()):
+                n = int(p.length[w])
+                # a range of keys takes in suffixes that end early, so words are compared themselves
+                if x + n <= len(h) and d[x + n - 1] == d[x] and b" ".join([low[s[q] : e[q]] for q in range(x, x + n)]) == self.words(int(p.start[w]), n):
+                    out.append((x, n, k, w))
+        return out
 
-    def search(self, b: Block) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """Documents of all words; then word position and window number of each verbatim occurrence."""
-        h, d, s, e = word_hashes(b)
-        none = np.zeros(0, np.int64)
-        at = self.candidates(h, d) if len(self.length) else none
-        if not len(at):
-            return d, none, none, none
-        table = np.zeros((len(at), self.window), ">u8")
-        for j in range(self.window):
-            ok = at + j < len(h)
-            ok[ok] = d[at[ok] + j] == d[at[ok]]
-            table[ok, j] = h[at[ok] + j]
-        keys = _keys(table)
-        order = np.argsort(keys, kind="stable")
-        sa, keys = at[order], keys[order]
-        lo, hi = np.searchsorted(keys, self.low, "left"), np.searchsorted(keys, self.high, "right")
-        n = np.maximum(hi - lo, 0)
-        win = np.repeat(np.arange(len(n)), n)
-        pos = sa[np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(lo, n)]
-        low = LOWER[b.buf].tobytes()
-        exact = np.fromiter((b" ".join([low[s[q] : e[q]] for q in range(p, p + self.length[w])]) == self.words[w] for p, w in zip(pos, win)), bool, len(pos))
-        return d, pos[exact], win[exact], self.length[win[exact]]
+
+def index_blocks(items: DataFrame, window: int, index_bytes: int):
+    """The indexes of (i, t), one after another; executors build them."""
+    size = items.agg(F.sum(F.octet_length("t")), F.sum(F.regexp_count("t", F.lit(WORDS)))).first()
+    parts = int(1 + ((size[0] or 0) + WORD_BYTES * (size[1] or 0)) // index_bytes)
+
+    def build(table):
+        table = table.combine_chunks()
+        column = lambda c: table[c].combine_chunks() if table.num_rows else pa.array([], pa.string())
+        index = TestIndex(column("i").cast(pa.string()), column("t").cast(pa.string()), window)
+        return pa.table({"pickled": pa.array([pickle.dumps(index, 5)], pa.binary())})
+
+    dealt = items.withColumn("k", F.pmod(F.xxhash64("i", "t"), F.lit(parts)).cast("int"))
+    # each pickle is a partition of its own, fetched by itself
+    for r in dealt.repartitionById(parts, "k").groupBy("k").applyInArrow(build, "pickled binary").toLocalIterator():
+        yield pickle.loads(r.pickled)
 
 
 def _keys(table: np.ndarray) -> np.ndarray:
@@ -119,26 +193,28 @@ def _keys(table: np.ndarray) -> np.ndarray:
     return np.ascontiguousarray(table).view(f"S{8 * table.shape[1]}").ravel() if table.size else np.zeros(0, f"S{8 * max(1, table.shape[1])}")
 
 
-def _match_block(b: Block, index: TestIndex, before: list) -> list[dict]:
-    d, pos, win, length = index.search(b)
+def _match_block(b: Block, indexes: list[TestIndex], before: list) -> list[dict]:
+    words = word_hashes(b)
+    d, found_grams = words[1], {}
     n_words, first = per_doc(d, b.n), np.searchsorted(d, np.arange(b.n + 1))
     out = [{"n_words": int(n), "n_hit": 0, "spans": []} for n in n_words]
-    by_doc: dict[int, dict[int, list]] = {}
-    for p, w, n in zip(pos.tolist(), win.tolist(), length.tolist()):
-        items = by_doc.setdefault(int(d[p]), {})
-        for i in index.items[w]:
-            items.setdefault(i, []).append((p, p + n))
+    by_doc: dict[int, dict[tuple, list]] = {}
+    for at, index in enumerate(indexes):
+        for p, n, part, w in index.search(b, words, found_grams):
+            items, own = by_doc.setdefault(int(d[p]), {}), index.parts[part]
+            for i in own.item[own.item_at[w] : own.item_at[w + 1]].tolist():
+                items.setdefault((at, i), []).append((p, p + n))
     for k in {*by_doc, *(i for i in range(b.n) if before[i])}:
         runs = {(x["item_id"], x["doc_word"], x["n_words"]) for x in before[k] or []}
-        for i, spans in by_doc.get(k, {}).items():
+        for (at, i), spans in by_doc.get(k, {}).items():
             spans.sort()
-            start, end = spans[0]
+            name, (start, end) = indexes[at].ids[i].as_py(), spans[0]
             for a, z in spans[1:]:
                 if a > end:
-                    runs.add((index.ids[i], start - int(first[k]), end - start))
+                    runs.add((name, start - int(first[k]), end - start))
                     start, end = a, z
                 end = max(end, z)
-            runs.add((index.ids[i], start - int(first[k]), end - start))
+            runs.add((name, start - int(first[k]), end - start))
         hit = np.zeros(out[k]["n_words"] + 1, np.int64)
         for _, a, n in runs:
             hit[a] += 1
@@ -148,11 +224,11 @@ def _match_block(b: Block, index: TestIndex, before: list) -> list[dict]:
     return out
 
 
-def _pass(index, text: str, name: str, keep: list[str], last: bool):
+def _pass(indexes, text: str, name: str, keep: list[str], last: bool):
     kind = pa.struct([("n_words", pa.int64()), ("n_hit", pa.int64()), ("spans", pa.list_(_SPAN))])
 
     def run(batches):
-        own = index.value
+        own = [x.value for x in indexes]
         for rb in batches:
             before = rb.column(rb.schema.get_field_index(name)) if name in rb.schema.names else None
             found: list[dict] = []
@@ -171,15 +247,13 @@ def match_items(docs: DataFrame, items: DataFrame, text: str = "text", item_id:
     keep = list(docs.columns) if keep is None else keep
     keep = [c for c in keep if c != name]
     items = items.select(F.coalesce(F.col(item_id).cast("string"), F.lit("null")).alias("i"), F.coalesce(F.col(item_text), F.lit("")).alias("t"))
-    size = items.agg(F.sum(F.octet_length("t"))).first()[0] or 0
-    parts = 1 + size // index_bytes
+    held = [spark.sparkContext.broadcast(x) for x in index_blocks(items, window, index_bytes)]
+    passes = [held[k : k + PASS_BLOCKS] for k in range(0, len(held), PASS_BLOCKS)] or [[]]
     out = docs.select(*dict.fromkeys([*keep, text]))
-    for k in range(parts):
-        part = items.where(F.pmod(F.xxhash64("i", "t"), F.lit(parts)) == k) if parts > 1 else items
-        index = TestIndex([(r.i, r.t) for r in part.toLocalIterator()], window)
-        last = k == parts - 1
+    for k, indexes in enumerate(passes):
+        last = k == len(passes) - 1
         cols = [f for f in out.schema.fields if f.name != name and (not last or f.name in keep)]
-        out = out.mapInArrow(_pass(spark.sparkContext.broadcast(index), text, name, keep, last), T.StructType([*cols, T.StructField(name, MATCH)]))
+        out = out.mapInArrow(_pass(indexes, text, name, keep, last), T.StructType([*cols, T.StructField(name, MATCH)]))
     return out
 
 

@@ -59,6 +59,28 @@ def test_decontamination(spark, odd, odd_rows):
     assert rows(one) == rows(many)
 
 
+def test_index_blocks_are_bounded(spark):
+    """Blocks of the benchmark keep to the bytes they may have, also where words are short, and hold all windows between them."""
+    rng = random.Random(3)
+    items = [(str(i), " ".join(f"{rng.randrange(36 ** n):x}" for _ in range(60))) for n in (1, 6) for i in range(3000)]
+    df = spark.createDataFrame(items, "i string, t string")
+    limit = 2 << 20
+    indexes = list(decontaminate.index_blocks(df, 10, limit))
+    assert len(indexes) > 5 and max(x.n_bytes() for x in indexes) < 1.3 * limit
+    assert sum(len(x.ids) for x in indexes) == len(items)
+    assert sum(len(p.start) for x in indexes for p in x.parts) == 51 * len({t for _, t in items})
+
+
+def test_one_window_of_many_items(spark):
+    """A window that all items share is searched once and told for each."""
+    head = " ".join(f"h{i}" for i in range(12))
+    items = spark.createDataFrame([(i, f"{head} own{i}") for i in range(300)] + [(300, "h1 h2"), (301, "h5")], "item_id long, text string")
+    docs = spark.createDataFrame([(1, f"x {head} own7"), (2, "h5 h1"), (3, "h1 h2 h1")], "doc_id long, text string")
+    got = {r.doc_id: (r.match.n_hit, {(x.item_id, x.doc_word, x.n_words) for x in r.match.spans}) for r in decontaminate.match_items(docs, items).collect()}
+    assert got[1] == (13, {(str(i), 1, 13 if i == 7 else 12) for i in range(300)} | {("300", 2, 2), ("301", 6, 1)})
+    assert got[2] == (1, {("301", 0, 1)}) and got[3] == (2, {("300", 0, 2)})
+
+
 def test_spans_are_longest_matches(spark):
     docs = spark.createDataFrame([(1, "zz a b c d e f g h i j k l yy a b c d e f g h i j")], "doc_id long, text string")
     items = spark.createDataFrame([(7, "A, b c d e f g h i j k l m")], "item_id long, text string")
