@@ -218,12 +218,16 @@ def near_components(prints: DataFrame) -> DataFrame:
 
 
 SIMILARITY = 0.8
-#: Least hashes of a text's windows that bring it to a leader before all others are compared.
+#: Least hashes of a text's windows that bring it to leaders before all others are compared, and the leaders drawn by lot
+#: for each least hash.
 LEADERS = 3
+DRAWN = 2
 #: 64-bit words of the sketch, and the share of its bits, over what the similarity lets expect, beyond which a pair is ruled out
 #: (some eight standard errors).
 SKETCH = 4
 RULED_OUT = 0.2
+#: 64-bit words of the parities: each differing bit is a window that one text alone has, so this bound is exact.
+PARITY = 4
 #: Texts (expected) that are asked for common windows, how often such a window is in them, and how many are told to the tasks.
 COMMON_TEXTS = 8000
 COMMON_COUNT = 3
@@ -294,10 +298,11 @@ def common_windows(docs: DataFrame, text: str, shingle: int) -> tuple[np.ndarray
 
 
 def digests(docs: DataFrame, text: str, node: list, shingle: int, similarity: float, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
-    """(n1, n2, doc_id, size, score, prefix, least, sketch) of the distinct windows of each text; a text without words has one.
+    """(n1, n2, doc_id, size, score, prefix, least, sketch, parity) of the distinct windows of each text; a text without words has one.
 
     `prefix`: in the order of (times found common, hash), as many first windows as any text of the similarity shares one with.
     `least`: least hashes under several mixes.  `score`: common windows in a thousand.  `sketch`: the majority of each bit.
+    `parity`: for each of 256 classes of windows, whether an odd number is there.
     """
 
     def arrays(m):
@@ -310,7 +315,7 @@ def digests(docs: DataFrame, text: str, node: list, shingle: int, similarity: fl
         names, times = common
         for rb in batches:
             size, score, taken, prefix = ([np.zeros(0, np.int64)] for _ in range(4))
-            least, sketch = [np.zeros((0, LEADERS), np.uint64)], [np.zeros((0, SKETCH), np.uint64)]
+            least, sketch, parity = ([np.zeros((0, k), np.uint64)] for k in (LEADERS, SKETCH, PARITY))
             for b in blocks(rb.column(3), KERNEL_BYTES):
                 (pair,) = windows(b, LOWER[b.buf], (shingle,))
                 g, own = distinct(*pair)
@@ -331,19 +336,28 @@ def digests(docs: DataFrame, text: str, node: list, shingle: int, similarity: fl
                 score.append(np.bincount(own, heat > 0, minlength=b.n).astype(np.int64) * 1000 // n)
                 least.append(np.stack([np.minimum.reduceat(salted(g, 1 + k), first) for k in range(LEADERS)], axis=1))
                 sketch.append(np.stack([majority(salted(g, 101 + k), own, b.n) for k in range(SKETCH)], axis=1))
+                place = salted(g, 201)
+                bit, word = np.uint64(1) << (place & np.uint64(63)), (place >> np.uint64(6)) % np.uint64(PARITY)
+                parity.append(np.stack([np.bitwise_xor.reduceat(np.where(word == k, bit, np.uint64(0)), first) for k in range(PARITY)], axis=1))
             ends = np.concatenate([[0], np.cumsum(np.concatenate(taken))]).astype(np.int32)
-            lists = [pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(prefix))), arrays(np.concatenate(least)), arrays(np.concatenate(sketch))]
-            yield pa.RecordBatch.from_arrays([*rb.columns[:3], pa.array(np.concatenate(size)), pa.array(np.concatenate(score)), *lists], ["n1", "n2", "doc_id", "size", "score", "prefix", "least", "sketch"])
+            lists = [pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(prefix))), arrays(np.concatenate(least)), arrays(np.concatenate(sketch)), arrays(np.concatenate(parity))]
+            yield pa.RecordBatch.from_arrays([*rb.columns[:3], pa.array(np.concatenate(size)), pa.array(np.concatenate(score)), *lists], ["n1", "n2", "doc_id", "size", "score", "prefix", "least", "sketch", "parity"])
 
     own = docs.select(*node, F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    return own.mapInArrow(run, "n1 long, n2 long, doc_id long, size long, score long, prefix array<long>, least array<long>, sketch array<long>")
+    return own.mapInArrow(run, "n1 long, n2 long, doc_id long, size long, score long, prefix array<long>, least array<long>, sketch array<long>, parity array<long>")
 
 
 def leader_pairs(nodes: DataFrame) -> DataFrame:
-    """(a, b): each node with the one of most common windows among those that share a least hash, which is likely what they derive from."""
+    """(a, b): each node with some that share a least hash.
+
+    These are the one of most common windows, which is likely what the others derive from, and some drawn by lot, so that one text
+    that isn't like the others leads few astray.
+    """
     each = nodes.select("node", "score", F.posexplode("least").alias("k", "h"))
-    leads = each.groupBy("k", "h").agg(F.max(F.struct("score", "node")).alias("lead"), F.count("*").alias("n")).where("n > 1")
-    return each.join(leads, ["k", "h"]).select(F.col("node").alias("a"), F.col("lead.node").alias("b")).where("a <> b").distinct()
+    leads = [F.max(F.struct("score", "node"))["node"], *(F.max(F.struct(F.xxhash64(F.lit(i), "node").alias("o"), "node"))["node"] for i in range(DRAWN))]
+    led = each.groupBy("k", "h").agg(F.array(*leads).alias("leads"), F.count("*").alias("n")).where("n > 1")
+    pairs = each.join(led, ["k", "h"]).select(F.col("node").alias("a"), F.explode(F.array_distinct("leads")).alias("b")).where("a <> b")
+    return pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
 
 
 def _cross_pairs(similarity: float):
@@ -408,14 +422,21 @@ def prefix_pairs(nodes: DataFrame, labels: DataFrame, similarity: float) -> Data
     return rows.repartition("key").sortWithinPartitions("key", "size").mapInArrow(_cross_pairs(similarity), "a long, b long").distinct()
 
 
-
 def verified(pairs: DataFrame, nodes: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
-    """(a, b): the pairs whose sets of windows have the similarity, from (node, head, sketch) and (node, doc_id, text)."""
-    s = nodes.select("node", "sketch")
-    both = pairs.join(s.select(F.col("node").alias("a"), F.col("sketch").alias("sa")), "a").join(s.select(F.col("node").alias("b"), F.col("sketch").alias("sb")), "b")
-    differ = sum((F.bit_count(F.col("sa")[i].bitwiseXOR(F.col("sb")[i])) for i in range(1, SKETCH)), F.bit_count(F.col("sa")[0].bitwiseXOR(F.col("sb")[0])))
+    """(a, b): the pairs whose sets of windows have the similarity, from (node, head, size, sketch, parity) and (node, doc_id, text).
+
+    Parities that differ in more bits than the similarity allows windows of one text alone rule a pair out for certain (short texts
+    mostly), sketches with the margin of `RULED_OUT` (long ones).
+    """
+
+    def differ(column, n):
+        return sum((F.bit_count(F.col(f"{column}_a")[i].bitwiseXOR(F.col(f"{column}_b")[i])) for i in range(1, n)), F.bit_count(F.col(f"{column}_a")[0].bitwiseXOR(F.col(f"{column}_b")[0])))
+
+    a, b = (nodes.select(F.col("node").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in ("size", "sketch", "parity"))) for x in "ab")
+    both = pairs.join(a, "a").join(b, "b")
     most = 64 * SKETCH * (np.arccos(2 * similarity / (1 + similarity)) / np.pi + RULED_OUT)
-    near = cut(both.where(differ <= F.lit(float(most))).select("a", "b"))
+    apart = (F.col("size_a") + F.col("size_b")) * ((1 - similarity) / (1 + similarity)) + 1e-6
+    near = cut(both.where((differ("parity", PARITY) <= apart) & (differ("sketch", SKETCH) <= F.lit(float(most)))).select("a", "b"))
     ends = near.select(F.col("a").alias("node")).union(near.select(F.col("b").alias("node"))).distinct()
     heads = cut(nodes.join(ends, "node", "left_semi").select("node", F.col("head.doc_id").alias("_fs_head")))
     # few ends go to all tasks, so that texts stay where they are
@@ -450,7 +471,7 @@ def near_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shin
     prints = cut(digests(named, text, [n1.alias("n1"), n2.alias("n2")], shingle, similarity, common_windows(docs, text, shingle)))
     row = F.struct(F.col("doc_id").isNull().alias("n"), "doc_id", "n1", "n2")
     # copies of a text share their node, so the map-side minimum leaves one row a text and task
-    nodes = cut(prints.groupBy("n1", "n2").agg(F.min(row).alias("head"), *(F.first(c).alias(c) for c in ("size", "score", "prefix", "least", "sketch"))).withColumnRenamed("n1", "node"))
+    nodes = cut(prints.groupBy("n1", "n2").agg(F.min(row).alias("head"), *(F.first(c).alias(c) for c in ("size", "score", "prefix", "least", "sketch", "parity"))).withColumnRenamed("n1", "node"))
     texts = docs.select(n1.alias("node"), F.col(doc_id).cast("long").alias("doc_id"), body.alias("text"))
     labels = contract_components(similar_pairs(nodes, texts, shingle, similarity), "a", "b")
     heads = nodes.select("node", "head").join(labels.withColumnRenamed("id", "node"), "node", "left").groupBy(F.coalesce("label", "node").alias("label")).agg(F.min("head").alias("head"))
@@ -460,6 +481,7 @@ def near_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shin
         return kept
     return kept.withColumn("_fs_body", n1).dropDuplicates([doc_id, "_fs_body"]).drop("_fs_body")
 
+
 def op6(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return near_components(fingerprints(docs)).select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")

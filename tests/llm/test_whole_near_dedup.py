@@ -89,3 +89,19 @@ def test_many_ends_are_fetched_by_shuffle(spark, sf, monkeypatch):
     got = sorted(r.doc_id for r in simhash.near_dedup(docs).select("doc_id").collect())
     monkeypatch.setattr(simhash, "BROADCAST_ENDS", -1)
     assert sorted(r.doc_id for r in simhash.near_dedup(docs).select("doc_id").collect()) == got
+
+
+def test_parity_rules_out_no_similar_pair(spark):
+    """The bits that differ are no more than the windows that one text alone has."""
+    rng = random.Random(6)
+    pairs = []
+    for i in range(200):
+        a = text(rng, rng.randint(1, 400))
+        b = [x if rng.random() > 0.03 else "changed" for x in a] + text(rng, rng.randrange(5))
+        pairs += [(2 * i, " ".join(a)), (2 * i + 1, " ".join(b))]
+    docs = spark.createDataFrame(pairs, "doc_id long, text string")
+    none = (simhash.np.zeros(0, simhash.np.uint64), simhash.np.zeros(0, simhash.np.int64))
+    got = {r.doc_id: r.parity for r in simhash.digests(docs, "text", [docs.doc_id.alias("n1"), docs.doc_id.alias("n2")], 5, 0.8, none).collect()}
+    for i in range(200):
+        a, b = ({tuple(t.split()[k : k + 5]) for k in range(max(1, len(t.split()) - 4))} for _, t in pairs[2 * i : 2 * i + 2])
+        assert sum(((x ^ y) & (1 << 64) - 1).bit_count() for x, y in zip(got[2 * i], got[2 * i + 1])) <= len(a ^ b)
