@@ -10,6 +10,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 AXES = ("x", "y", "z")
+#: Bytes that a block may take in one task, and that a vertex takes of them.
+BLOCK_BYTES = 256 << 20
+VERTEX_BYTES = 64
 
 
 @dataclass(frozen=True)
@@ -112,9 +115,16 @@ class Blocks:
         return Blocks(spec, tuple(counts))
 
     @staticmethod
-    def for_memory(spec: GridSpec, bytes_per_block: int = 256 << 20, bytes_per_vertex: int = 64) -> "Blocks":
+    def for_memory(spec: GridSpec, bytes_per_block: int | None = None, bytes_per_vertex: int = VERTEX_BYTES) -> "Blocks":
         """As few blocks as fit in memory: fewer, larger blocks have fewer ghosts."""
-        return Blocks.about(spec, max(1, ceil(spec.n * bytes_per_vertex / bytes_per_block)))
+        return Blocks.about(spec, max(1, ceil(spec.n * bytes_per_vertex / (bytes_per_block or BLOCK_BYTES))))
+
+    @staticmethod
+    def of(spec: GridSpec, blocks: "Blocks | int | None") -> "Blocks":
+        """The tiling that is given, one of about so many blocks, or by default the one that memory asks for."""
+        if isinstance(blocks, Blocks):
+            return blocks
+        return Blocks.for_memory(spec) if blocks is None else Blocks.about(spec, blocks)
 
     @property
     def n(self) -> int:

@@ -16,6 +16,8 @@ from fieldseg.runtime import cut, fresh
 
 #: Edges that a baseline may bring to the driver or to one task.
 ONE_PROCESS = 5_000_000
+#: Points of a group of the nearest-neighbour search.
+CELL_POINTS = 20_000
 
 
 class TooLarge(RuntimeError):
@@ -141,12 +143,13 @@ def grow_from_extrema(ptr: DataFrame, name: str = "ptr", max_rounds: int = 1 <<
     raise RuntimeError("growth did not end")
 
 
-def nearest(points: DataFrame, k: int, scale: int = 1000, cells: int = 4) -> DataFrame:
+def nearest(points: DataFrame, k: int, scale: int = 1000, cells: int | None = None) -> DataFrame:
     """(id, nbr, sim): the k most similar other points by the exact product of quantised components, ties to the smaller id.
 
-    Points are dealt to `cells` groups; each pair of groups is one task with a matrix product, whose best k a row are merged.
-    The work is the square of the points, and no task holds more than two groups.
+    Points are dealt to `cells` groups, by default so many that a group has `CELL_POINTS`; each pair of groups is one task with a
+    matrix product, whose best k a row are merged.  The work is the square of the points (this is a baseline), and no task holds more than two groups.
     """
+    cells = cells or max(4, -(-points.count() // CELL_POINTS))
     q = points.select("id", F.transform("vec", lambda x: F.round(x.cast("double") * scale).cast("long")).alias("v")).withColumn("g", F.pmod(F.xxhash64("id"), F.lit(cells)))
     left = q.select("id", "v", F.explode(F.sequence(F.lit(0), F.lit(cells - 1))).alias("o"), "g").withColumn("q", F.lit(True)).select("id", "v", "q", (F.col("g") * cells + F.col("o")).alias("cell"))
     right = q.select("id", "v", F.explode(F.sequence(F.lit(0), F.lit(cells - 1))).alias("o"), "g").withColumn("q", F.lit(False)).select("id", "v", "q", (F.col("o") * cells + F.col("g")).alias("cell"))

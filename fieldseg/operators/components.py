@@ -7,6 +7,8 @@ once and exchanges pointers, is kept to measure how often it leaves components a
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -17,12 +19,25 @@ from fieldseg.model import OUTSIDE, both_directions, induced
 from fieldseg.operators import exchange as ex
 from fieldseg.operators.contraction import contract_components
 from fieldseg.operators.kernels import GridNeighbours, compress_local, local_components, union_find
+from fieldseg.operators.order import numbered
 from fieldseg.runtime import cut
 
 #: Pairs of labels that the driver may solve by union-find.
 DRIVER_PAIRS = 2_000_000
 
 
+def quantile_value(df: DataFrame, quantile: float, by: str = "f") -> float | None:
+    """The quantile of the values with interpolation between the two nearest, from positions in a range shuffle; null values don't count."""
+    own = numbered(df.where(F.col(by).isNotNull()).select(F.col(by).alias("v"), F.monotonically_increasing_id().alias("tie")), ["v", "tie"], "at")
+    n = own.count()
+    if not n:
+        return None
+    at = (n - 1) * quantile
+    lo, hi = math.floor(at), math.ceil(at)
+    found = {r.at: r.v for r in own.where(F.col("at").isin(lo, hi)).select("at", "v").collect()}
+    return float(found[lo]) if lo == hi else (hi - at) * found[lo] + (at - lo) * found[hi]
+
+
 def mask(df: DataFrame, predicate: str | Column | None = None, above: float | None = None, below: float | None = None, between: tuple[float, float] | None = None, quantile: float | None = None, normalised: bool = False, closed: bool = False, by: str = "f", name: str = "m") -> DataFrame:
     """`df` with a boolean column: a predicate, or thresholds on the value, on its min-max scale (`normalised`) or its quantiles.
 
@@ -32,7 +47,7 @@ def mask(df: DataFrame, predicate: str | Column | None = None, above: float | No
     if predicate is not None:
         return df.withColumn(name, F.expr(predicate) if isinstance(predicate, str) else predicate)
     if quantile is not None:
-        above, normalised = df.agg(F.percentile(by, F.lit(quantile))).first()[0], False
+        above, normalised = quantile_value(df, quantile, by), False
     if normalised:
         lo, hi = df.agg(F.min(by), F.max(by)).first()
         v = (v - F.lit(lo)).cast("double") / F.lit(float(hi - lo) or 1.0)
@@ -95,9 +110,9 @@ def finish(df: DataFrame, labels: DataFrame, implicit: bool) -> DataFrame:
     return labels.unionByName(df.where("not coalesce(m, false)").select("id", F.lit(OUTSIDE).cast("long").alias("label")))
 
 
-def connected(df: DataFrame, spec: GridSpec, mask: str = "m", blocks: Blocks | int = 1, implicit: bool = True, stitch: str = "fixpoint", exchange: str = "label_pairs", winner: str = "max", driver_pairs: int = DRIVER_PAIRS) -> DataFrame:
-    """(id, label) on a grid for (id, m); a null mask is outside."""
-    tiles = blocks if isinstance(blocks, Blocks) else Blocks.about(spec, blocks)
+def connected(df: DataFrame, spec: GridSpec, mask: str = "m", blocks: Blocks | int | None = None, implicit: bool = True, stitch: str = "fixpoint", exchange: str = "label_pairs", winner: str = "max", driver_pairs: int = DRIVER_PAIRS) -> DataFrame:
+    """(id, label) on a grid for (id, m); a null mask is outside.  By default there are as few blocks as memory allows."""
+    tiles = Blocks.of(spec, blocks)
     df = df.select("id", F.col(mask).alias("m"))
     inside = df.where("m")
     if stitch == "once":

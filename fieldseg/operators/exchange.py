@@ -64,11 +64,7 @@ def resolve(boundary: DataFrame, names: list[str], strategy: str = "auto", small
         rounds = max([0, *(double(a["id"], a[c])[1] for c in names)])
         return boundary.select("id").mapInArrow(follow, schema), rounds
     if strategy in ("neighbour", "shuffle"):
-        out, most = None, 0
-        for c in names:
-            one, rounds = compress(boundary.select("id", c), mode="chase" if strategy == "neighbour" else "doubling", name=c)
-            out, most = (one if out is None else out.join(one, "id")), max(most, rounds)
-        return out, most
+        return compress(boundary, mode="chase" if strategy == "neighbour" else "doubling", name=names)
     raise ValueError(f"unknown strategy {strategy}")
 
 

@@ -10,6 +10,9 @@ from fieldseg.operators.kernels import double
 from fieldseg.runtime import cut, fresh
 
 MAX_ROUNDS = 64
+#: Ids of a line that one task holds, and pointers that one task may compress.
+LINE_STRETCH = 1 << 20
+ONE_TASK = 4 << 20
 
 
 def _extreme(direction: str):
@@ -36,52 +39,68 @@ def steepest(df: DataFrame, spec: GridSpec | None = None, edges: DataFrame | Non
     return both.groupBy("src").agg(pick("v").alias("best")).select(F.col("src").alias("id"), F.col("best.i").alias(name))
 
 
-def steepest_on_line(df: DataFrame, direction: str = "up", by: str = "f", name: str = "ptr") -> DataFrame:
-    """The pointers of a contiguous line from its two neighbours in the order of ids (a window, no join)."""
-    order = Window.orderBy("id")
-    star = [F.struct(F.col(by).alias("v"), F.col("id").alias("i"))]
+def steepest_on_line(df: DataFrame, direction: str = "up", by: str = "f", name: str = "ptr", stretch: int = LINE_STRETCH) -> DataFrame:
+    """The pointers of a line from its two neighbours in the order of ids (a window, no join).
+
+    The line is cut into stretches of ids, each with the vertex before and behind it, so that a task holds one stretch.
+    """
+    of = lambda i: F.call_function("div", i, F.lit(stretch))
+    i = F.col("id")
+    cut_up = df.select("id", by, F.explode(F.array_distinct(F.array(of(i - 1), of(i), of(i + 1)))).alias("_fs_part"))
+    order = Window.partitionBy("_fs_part").orderBy("id")
+    star = [F.struct(F.col(by).alias("v"), i.alias("i"))]
     for shift in (F.lag, F.lead):
-        star.append(F.when((F.abs(shift("id").over(order) - F.col("id"))) == 1, F.struct(shift(by).over(order).alias("v"), shift("id").over(order).alias("i"))))
+        star.append(F.when((F.abs(shift("id").over(order) - i)) == 1, F.struct(shift(by).over(order).alias("v"), shift("id").over(order).alias("i"))))
     best = (F.greatest if direction == "up" else F.least)(*star)
-    return df.select("id", best["i"].alias(name))
+    return cut_up.select("id", best["i"].alias(name), "_fs_part").where(of(i) == F.col("_fs_part")).drop("_fs_part")
 
 
-def compress(ptr: DataFrame, mode: str = "doubling", active: bool = True, name: str = "ptr", check_every: int = 1) -> tuple[DataFrame, int]:
+def compress(ptr: DataFrame, mode: str = "doubling", active: bool = True, name: str | list[str] = "ptr") -> tuple[DataFrame, int]:
     """Follow (id, ptr) to the fixed points; returns the table and the rounds that changed something.
 
     `doubling` jumps through the current pointers, `chase` one step of the first pointers a round.  With `active`, rows whose
-    pointer is a fixed point leave the loop.  A target that is no id is a fixed point.
+    pointers are fixed points leave the loop.  A target that is no id is a fixed point.  Several pointers of a row, by a list of
+    names, are followed side by side.
     """
     if mode not in ("doubling", "chase"):
         raise ValueError(f"unknown mode {mode}")
-    state = cut(ptr.select("id", F.col(name).alias("p")))
+    names = [name] if isinstance(name, str) else list(name)
+    state = cut(ptr.select("id", *names))
     first, done, rounds = state, None, 0
     live = state
+    moves = F.lit(False)
+    for c in names:
+        moves |= F.col(c) != F.col(f"_q_{c}")
+    old, new = ["id", *names], ["id", *(F.col(f"_q_{c}").alias(c) for c in names)]
     for _ in range(MAX_ROUNDS if mode == "doubling" else 1 << 20):
-        through = (state if mode == "doubling" else first).select(F.col("id").alias("_i"), F.col("p").alias("_p"))
-        moved = live.join(through, F.col("p") == F.col("_i"), "left").select("id", "p", F.coalesce("_p", "p").alias("q"))
+        moved = live
+        for c in names:
+            through = (state if mode == "doubling" else first).select(F.col("id").alias("_i"), F.col(c).alias("_p"))
+            moved = moved.join(through, F.col(c) == F.col("_i"), "left").withColumn(f"_q_{c}", F.coalesce("_p", c)).drop("_i", "_p")
         moved = fresh(moved)
-        if moved.where("p <> q").isEmpty():
-            live = moved.select("id", "p")
+        if moved.where(moves).isEmpty():
+            live = moved.select(*old)
             break
         rounds += 1
         if active:
-            still = moved.where("p = q").select("id", "p")
+            still = moved.where(~moves).select(*old)
             done = still if done is None else done.unionByName(still)
-            live = moved.where("p <> q").select("id", F.col("q").alias("p"))
+            live = moved.where(moves).select(*new)
             state = live if mode == "chase" else live.unionByName(done)
         else:
-            live = state = moved.select("id", F.col("q").alias("p"))
+            live = state = moved.select(*new)
     else:
         raise RuntimeError("pointers form a cycle")
-    out = live if done is None else live.unionByName(done)
-    return out.select("id", F.col("p").alias(name)), rounds
+    return live if done is None else live.unionByName(done), rounds
 
 
-def compress_partition(ptr: DataFrame, name: str = "ptr", in_place: bool = True) -> DataFrame:
+def compress_partition(ptr: DataFrame, name: str = "ptr", in_place: bool = True, limit: int = ONE_TASK) -> DataFrame:
     """The whole table in one task, updating one array in place or writing a second one (for tables of one block)."""
     import pyarrow as pa
 
+    if ptr.limit(limit + 1).count() > limit:
+        raise ValueError(f"more than {limit} pointers don't fit in one task")
+
     def run(table):
         ids, p = table["id"].to_numpy(), table[name].to_numpy()
         return pa.table({"id": ids, name: double(ids, p, in_place)[0]})

@@ -58,9 +58,9 @@ def block_pointers(df: DataFrame, blocks: Blocks, directions: tuple[str, ...] =
     return halo.groupBy("block").applyInArrow(solve, schema)
 
 
-def blockwise(df: DataFrame, spec: GridSpec, blocks: Blocks | int = 1, directions: tuple[str, ...] = ("up", "down"), exchange: str = "auto", precompress: bool = False, by: str = "f", in_place: bool = True) -> DataFrame:
-    """(id, max_id, min_id) of every vertex, whatever the number of blocks."""
-    tiles = blocks if isinstance(blocks, Blocks) else Blocks.about(spec, blocks)
+def blockwise(df: DataFrame, spec: GridSpec, blocks: Blocks | int | None = None, directions: tuple[str, ...] = ("up", "down"), exchange: str = "auto", precompress: bool = False, by: str = "f", in_place: bool = True) -> DataFrame:
+    """(id, max_id, min_id) of every vertex, whatever the number of blocks; by default as few as memory allows."""
+    tiles = Blocks.of(spec, blocks)
     names = [NAMES[d] for d in directions]
     local = block_pointers(df, tiles, directions, by, in_place, precompress)
     if tiles.n == 1:
@@ -70,17 +70,17 @@ def blockwise(df: DataFrame, spec: GridSpec, blocks: Blocks | int = 1, direction
     return ex.substitute(local.select("id", *names), ends, names)
 
 
-def descending(df: DataFrame, spec: GridSpec, blocks: Blocks | int = 1, **options) -> DataFrame:
+def descending(df: DataFrame, spec: GridSpec, blocks: Blocks | int | None = None, **options) -> DataFrame:
     """(id, max_id)."""
     return blockwise(df, spec, blocks, ("up",), **options)
 
 
-def ascending(df: DataFrame, spec: GridSpec, blocks: Blocks | int = 1, **options) -> DataFrame:
+def ascending(df: DataFrame, spec: GridSpec, blocks: Blocks | int | None = None, **options) -> DataFrame:
     """(id, min_id)."""
     return blockwise(df, spec, blocks, ("down",), **options)
 
 
-def two_sided(df: DataFrame, spec: GridSpec, blocks: Blocks | int = 1, **options) -> DataFrame:
+def two_sided(df: DataFrame, spec: GridSpec, blocks: Blocks | int | None = None, **options) -> DataFrame:
     """(id, max_id, min_id, seg); `seg` numbers the pairs from 0 in the order of (max_id, min_id)."""
     both = cut(blockwise(df, spec, blocks, ("up", "down"), **options))
     pairs = numbered(both.select("max_id", "min_id").distinct(), ["max_id", "min_id"], "seg")

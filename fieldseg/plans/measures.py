@@ -6,11 +6,15 @@ import time
 from collections.abc import Callable
 from functools import reduce
 
+from py4j.protocol import Py4JError
+from pyspark.errors import PySparkException
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from fieldseg.functions.grid import Blocks, GridSpec
 
+#: What an error says where memory ran out: in the JVM, in a Python worker, or where the machine's killer ended one.
+OUT_OF_MEMORY = ("OutOfMemoryError", "MemoryError", "Python worker exited unexpectedly", "exit code 137")
 TIMING = "workload string, method string, blocks int, threads int, n long, seconds double, ghosts long, rounds int, status string"
 
 
@@ -22,13 +26,21 @@ def timed(df: DataFrame) -> float:
 
 
 def attempt(run: Callable[[], DataFrame]) -> tuple[float | None, str]:
-    """(seconds, "ok") or (None, why): configurations that don't fit are recorded, not raised."""
+    """(seconds, "ok") or (None, why): configurations that don't fit are recorded, not raised.
+
+    Memory that ran out in a task or its Python worker comes back as a Spark error, so its text tells.
+    """
     try:
         start = time.perf_counter()
         timed(run())
         return time.perf_counter() - start, "ok"
     except MemoryError:
         return None, "OOM"
+    except (PySparkException, Py4JError) as e:
+        text = str(e)
+        if any(sign in text for sign in OUT_OF_MEMORY):
+            return None, "OOM"
+        raise
     except RuntimeError as e:
         return None, type(e).__name__
 

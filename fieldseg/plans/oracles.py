@@ -110,6 +110,33 @@ def plane_kinds(field: str) -> str:
           cast(n_lower as bigint) as n_lower, cast(n_upper as bigint) as n_upper, n_lower > 2 or n_upper > 2 as degenerate from k"""
 
 
+def cube_kinds(field: str) -> str:
+    """Kinds of critical points in three dimensions: components of the lower and the upper link by reachability inside the link."""
+    far = "greatest(s.dx - t.dx, s.dy - t.dy, s.dz - t.dz)", "least(s.dx - t.dx, s.dy - t.dy, s.dz - t.dz)"
+    return f"""with recursive {vertices(field)}, n as materialized (select a.id, s.dx, s.dy, s.dz, row(b.f, b.id) < row(a.f, a.id) as low from {STAR} where a.id <> b.id),
+        link as materialized (select id, low, row_number() over (partition by id, low order by dx, dy, dz) as i, dx, dy, dz from n),
+        tie as materialized (select s.id, s.low, s.i as a, t.i as b from link s join link t on s.id = t.id and s.low = t.low and s.i <> t.i where {far[0]} <= 1 and {far[1]} >= -1 and ({far[1]} >= 0 or {far[0]} <= 0)),
+        r(id, low, a, b) as (select id, low, i, i from link union select r.id, r.low, r.a, t.b from r join tie t on t.id = r.id and t.low = r.low and t.a = r.b),
+        heads as (select id, low, a from r group by id, low, a having min(b) = a),
+        k as (select v.id, count(*) filter (where h.low) as n_lower, count(*) filter (where not h.low) as n_upper from v left join heads h on h.id = v.id group by v.id)
+        select id, case when n_lower = 0 then 'minimum' when n_upper = 0 then 'maximum' when n_lower = 1 and n_upper = 1 then 'regular' when n_lower >= 2 then '1-saddle' else '2-saddle' end as kind,
+          n_lower, n_upper, n_lower > 2 or n_upper > 2 as degenerate from k"""
+
+
+def hooked(field: str, predicate: str) -> str:
+    """CTEs up to d(id, label): each masked vertex at the end of its pointers to the largest neighbour."""
+    return f"""{masked(field, predicate)}, hook as materialized (select m.id, greatest(m.id, coalesce(max(e.dst), m.id)) as p from m left join e on e.src = m.id group by m.id),
+        hw(id, p) as (select id, p from hook union all select w.id, q.p from hw w join hook q on w.p = q.id where q.p <> w.p), d as materialized (select w.id, w.p as label from hw w join hook q on q.id = w.p where q.p = w.p),
+        best as materialized (select a.label, max(b.label) as next from e join d a on a.id = e.src join d b on b.id = e.dst where b.label > a.label group by a.label)"""
+
+
+def printed(field: str, predicate: str) -> str:
+    """CTEs up to once(id, label): roots attached once to the largest root next to them, and pointers followed."""
+    return f"""{hooked(field, predicate)}, root as materialized (select r.label as id, coalesce(best.next, r.label) as p from (select distinct label from d) r left join best using (label)),
+        rw(id, p) as (select id, p from root union all select w.id, q.p from rw w join root q on w.p = q.id where q.p <> w.p),
+        ends as (select w.id, w.p from rw w join root q on q.id = w.p where q.p = w.p), once as materialized (select d.id, ends.p as label from d join ends on ends.id = d.label)"""
+
+
 def build() -> dict[str, str]:
     o: dict[str, str] = {}
     for q, f in {"field_orders_plane": "orders", "field_lineitem_cube": "cube", "field_shipday_line": "line", "field_user_day": "user_day"}.items():
@@ -153,6 +180,11 @@ def build() -> dict[str, str]:
     o["components_extract_nonneg"] = o["components_explicit_orders"]
     o["wave_filter_orders"] = o["components_explicit_orders"]
     o["label_propagation_orders"] = components("orders", "norm > 0.9", implicit=False)
+    o["critical_cube"] = cube_kinds("cube")
+    o["components_printed_1"] = f"with recursive {printed('orders', 'norm > 0.5')} select id, label from once"
+    o["stitch_once_orders"] = f"with recursive {hooked('orders', 'norm > 0.5')} select d.id, coalesce(best.next, d.label) as label from d left join best using (label)"
+    o["components_printed_diff_1"] = f"""with recursive {printed('orders', 'norm > 0.5')}{CC}, pairs as (select distinct once.label as la, c.label as lb from once join c using (id))
+        select count(distinct la) as parts_a, count(distinct lb) as parts_b, (select count(*) from (select lb from pairs group by lb having count(*) > 1)) as apart from pairs"""
     for g, q in {"turn_chain": "turn_chain", "order_part": "order_part", "doc_lines": "doc_lines", "doc_copies": "doc_copies", "pages": "pages", "sessions": "sessions"}.items():
         o[f"components_{q}"] = graph_components(g)
     for b in ("hook_compress_parts", "union_find_parts", "tree_merge_parts", "sampled_components_parts", "local_first_parts", "label_propagation_parts"):
@@ -173,8 +205,7 @@ def build() -> dict[str, str]:
     kinds = f"{both_sides('orders')}, r as (select {block_of('v', _W, NYO, 2, 2)} as block, {NORM} > 0.5 as inside, seg.max_id from seg join v using (id))"
     o["segments_rollup"] = f"{kinds} select coalesce(block, -1) as block, coalesce(cast(inside as varchar), 'all') as inside, count(*) as vertices, count(distinct max_id) as segments from r group by rollup (block, inside)"
     o["segments_cube"] = f"{kinds} select coalesce(block, -1) as block, coalesce(cast(inside as varchar), 'all') as inside, count(*) as vertices, count(distinct max_id) as segments from r group by cube (block, inside)"
-    o["trace_paths_line"] = f"with recursive {pointers('line')}, w(seed, p, path) as (select id, id, cast(id as varchar) from ptr where id % 97 = 0 union all select w.seed, q.up, w.path || ',' || q.up from w join ptr q on w.p = q.id where q.up <> q.id) select seed, path from w join ptr q on w.p = q.id where q.up = q.id"
-    o["trace_all_paths_line"] = f"with recursive {pointers('line')}, w(seed, p, path) as (select id, id, cast(id as varchar) from ptr union all select w.seed, q.up, w.path || ',' || q.up from w join ptr q on w.p = q.id where q.up <> q.id) select seed, path from w join ptr q on w.p = q.id where q.up = q.id"
+    o["trace_paths_line"] = f"with recursive {pointers('line')}, w(seed, p, path) as (select id, id, cast(id as varchar) from ptr union all select w.seed, q.up, w.path || ',' || q.up from w join ptr q on w.p = q.id where q.up <> q.id) select seed, path from w join ptr q on w.p = q.id where q.up = q.id"
     o["separatrices_line"] = f"""with recursive {walks("line")}, k as (select a.id, count(*) filter (where row(b.f, b.id) < row(a.f, a.id)) as lo, count(*) filter (where row(b.f, b.id) > row(a.f, a.id)) as hi from {STAR} group by a.id)
         select a.id as saddle, 'down' as side, b.id as seed, e.ext as end_id from {STAR} join k on k.id = a.id join e_down e on e.id = b.id where k.lo > 1 and row(b.f, b.id) < row(a.f, a.id)
         union all select a.id, 'up', b.id, e.ext from {STAR} join k on k.id = a.id join e_up e on e.id = b.id where k.hi > 1 and row(b.f, b.id) > row(a.f, a.id)"""

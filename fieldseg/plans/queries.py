@@ -115,8 +115,8 @@ def _grouped(how: str) -> Query:
     return _masked("orders", run, above=0.5, normalised=True)
 
 
-def _traces(f, seeds: str = "id % 97 = 0") -> DataFrame:
-    paths = segment.integral_lines(f.df, f.spec, f.df.where(seeds).select("id"))
+def _traces(f) -> DataFrame:
+    paths = segment.integral_lines(f.df, f.spec, f.df.select("id"))
     return paths.select("seed", F.array_join("path", ",").alias("path"))
 
 
@@ -168,6 +168,14 @@ def _printed(blocks: int) -> Query:
     return _masked("orders", lambda f, m: measures.partition_diff(comp.connected(m, f.spec, implicit=False, blocks=blocks, stitch="once", exchange="pointer"), comp.connected(m, f.spec, implicit=False)), above=0.5, normalised=True)
 
 
+def _stitched(f, m) -> DataFrame:
+    """Labels of one hook to the largest neighbour and its ends, then one pass that moves each label to the best next to it."""
+    inside = m.where("m").select("id")
+    edges = cut(f.spec.edges(inside))
+    ptr = pointers.steepest(inside.withColumn("f", F.col("id")), edges=edges, name="label")
+    return comp.stitch_once(pointers.compress(ptr, name="label")[0], edges)
+
+
 def _noise(f) -> DataFrame:
     return f.df.agg(F.count("*").alias("n"), F.min("f").alias("lo"), F.max("f").alias("hi"), F.sum("f").alias("total"))
 
@@ -212,6 +220,8 @@ def build() -> dict[str, Query]:
     q["components_explicit_orders"] = _masked("orders", lambda f, m: comp.connected_explicit(m, f.spec), above=0.5, normalised=True)
     q["components_extract_nonneg"] = _half(lambda f, labels: comp.extract(labels))
     q["components_printed_diff_1"], q["components_printed_diff_16"] = _printed(1), _printed(16)
+    q["components_printed_1"] = _masked("orders", lambda f, m: comp.connected(m, f.spec, implicit=False, blocks=1, stitch="once", exchange="pointer"), above=0.5, normalised=True)
+    q["stitch_once_orders"] = _masked("orders", _stitched, above=0.5, normalised=True)
     for name, make in {"turn_chain": graphs.turn_chain, "order_part": graphs.order_part, "doc_lines": graphs.doc_shared_lines, "doc_copies": graphs.doc_copies, "pages": graphs.page_links, "sessions": graphs.user_sessions}.items():
         q[f"components_{name}"] = _graph(make, comp.connected_graph)
     q["wave_filter_orders"] = _masked("orders", lambda f, m: base.wave_filter(m, f.spec), above=0.5, normalised=True)
@@ -234,7 +244,6 @@ def build() -> dict[str, Query]:
     q["topk_segments"] = on("orders", _topk)
     q["segments_rollup"], q["segments_cube"] = _grouped("rollup"), _grouped("cube")
     q["trace_paths_line"], q["separatrices_line"] = on("line", _traces), on("line", _separatrices)
-    q["trace_all_paths_line"] = on("line", lambda f: _traces(f, "true"))
     q["extremum_graph_cube"], q["extremum_graph_orders"] = on("cube", _extremum_graph), on("orders", _extremum_graph)
     q["nearest_embeddings"] = lambda s, d: base.nearest(graphs.embedding_points(s, d), 8)
     q["knn_ascent_embeddings"] = lambda s, d: base.knn_ascent(graphs.embedding_points(s, d), 8)

@@ -28,23 +28,27 @@ def _ends(edges: DataFrame) -> DataFrame:
     return edges.select(F.col("src").alias("id")).union(edges.select(F.col("dst").alias("id"))).distinct()
 
 
-def _chain(members: DataFrame, key: str) -> DataFrame:
-    """Edges from each member of a key to the one before it: one less than members, where all pairs would be a square."""
-    before = F.lag("id").over(Window.partitionBy(key).orderBy("id"))
-    return members.select(before.alias("src"), F.col("id").alias("dst")).where("src is not null and src <> dst").distinct()
+def _stars(members: DataFrame, key: str) -> DataFrame:
+    """Edges from the least member of a key to the others: one less than members, where all pairs would be a square.
+
+    The least is a map-side minimum, so a hot key costs no task that sorts its members; a null key ties nothing.
+    """
+    known = members.where(F.col(key).isNotNull())
+    least = known.groupBy(key).agg(F.min("id").alias("src"), F.max("id").alias("_fs_last")).where(F.col("src") < F.col("_fs_last")).drop("_fs_last")
+    return known.join(least, key).select("src", F.col("id").alias("dst")).where("src <> dst").distinct()
 
 
 def doc_shared_lines(spark: SparkSession, sf_dir: str, longer_than: int = 40) -> Graph:
     """Documents that share a long line."""
     docs = table(spark, sf_dir, "documents")
     lines = docs.select(F.col("doc_id").alias("id"), F.explode(F.array_distinct(F.split("text", "\n"))).alias("line")).where(F.char_length("line") > longer_than)
-    return docs.select(F.col("doc_id").alias("id")), _chain(lines, "line")
+    return docs.select(F.col("doc_id").alias("id")), _stars(lines, "line")
 
 
 def doc_copies(spark: SparkSession, sf_dir: str) -> Graph:
     """Documents with equal texts (by a 256-bit hash, so no text is moved)."""
     docs = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), F.sha2(F.col("text"), 256).alias("h"))
-    return docs.select("id"), _chain(docs, "h")
+    return docs.select("id"), _stars(docs, "h")
 
 
 def page_links(spark: SparkSession, sf_dir: str) -> Graph:

@@ -23,4 +23,4 @@ def test_bumps_of_every_supplier(spark, sf, tmp_path):
 
 def test_paths_from_every_vertex(spark, sf):
     n = fields.FIELDS["line"](spark, sf).df.count()
-    assert queries.build()["trace_all_paths_line"](spark, sf).select("seed").distinct().count() == n
+    assert queries.build()["trace_paths_line"](spark, sf).select("seed").distinct().count() == n
