@@ -11,6 +11,7 @@ import pytest
 from helpers import rows
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from fieldseg.llm import decontaminate, language_id, line_dedup, packing, quality_classifier, quality_rules, sharding, simhash, suffix_dedup, textkernel, url_filter
@@ -234,7 +235,8 @@ def test_sharding(spark, odd, odd_rows):
     for _, g in got.groupby("shard"):
         assert sorted(g["slot"]) == list(range(len(g)))
     size = lambda t: len((t or "").encode())
-    assert Counter(zip(got["size"], got["text_crc32"])) == Counter((size(t) + 1, zlib.crc32((t or "").encode())) for _, t in odd_rows)
+    ids = got["doc_id"].astype(object).where(got["doc_id"].notna(), None)
+    assert Counter(zip(ids, got["size"], got["text_crc32"])) == Counter((i, size(t) + 1, zlib.crc32((t or "").encode())) for i, t in odd_rows)
     again = sharding.op2(spark, odd)
     assert rows(again.repartition(3)) == rows(again)
 
@@ -251,14 +253,30 @@ def test_shuffle_is_uniform_and_seeded(spark):
 
 def test_a_hot_record_fills_no_bucket(spark):
     df = spark.range(3000).selectExpr("0L as id", "1L as size")
-    buckets = sharding.scatter(df, 10).groupBy("_fs_bucket").count().toPandas()["count"]
-    assert len(buckets) == 10 and buckets.max() < 400
+    rows_, counts = sharding.scatter(df, 10)
+    buckets = rows_.groupBy("_fs_bucket").count().toPandas()["count"]
+    assert len(buckets) == 10 and buckets.max() < 400 and sorted(buckets) == sorted(r._fs_rows for r in counts.collect())
+
+
+@pytest.mark.parametrize("limit", [100_000, 1])
+def test_copies_broadcast_or_shuffled(spark, monkeypatch, limit):
+    """Repeated records of several kinds, more than one row spreads, next to records that occur once."""
+    monkeypatch.setattr(sharding, "BROADCAST_COPIES", limit)
+    monkeypatch.setattr(sharding, "COPIES_A_ROW", 7)
+    df = spark.range(900).selectExpr("case when id % 3 = 0 then 0 when id % 3 = 1 then id % 12 else id end as id", "if(id % 5 = 0, null, 'x') as t")
+    got = sharding.external_shuffle(df, F.lit(1), 7, min_buckets=5).toPandas()
+    assert sorted(map(str, zip(got["id"], got["t"]))) == sorted(map(str, zip(*df.toPandas().values.T)))
+    for k, g in got.groupby("shard"):
+        assert sorted(g["slot"]) == list(range(len(g))) and len(g) in (128, 129)
+    assert got["shard"].nunique() == 7
 
 
 def test_write_shards(spark, odd, odd_rows, tmp_path):
     sharding.write_shards(spark.read.parquet(f"{odd}/documents.parquet"), str(tmp_path / "s"), n_shards=3)
     back = spark.read.parquet(str(tmp_path / "s"))
     assert back.count() == len(odd_rows) and back.select("shard").distinct().count() == 3
+    size = lambda t: -1 if t is None else len(t)
+    assert sorted((str(r.doc_id), size(r.text)) for r in back.collect()) == sorted((str(i), size(t)) for i, t in odd_rows)
 
 
 def test_url_rules(spark, odd):
