@@ -7,8 +7,8 @@ contexts; each task holds whole anchor groups.  This loses no repeat, and leaves
 
 How they are compared.  A task joins its contexts to one string and sorts its suffixes by the difference cover {1, 2} modulo 3:
 the sampled triples are sorted and named, the string of names is sorted by recursion (deep enough for a whole window), the
-remaining suffixes are sorted by first symbol and rank and merged in.  Adjacent suffixes whose prefixes of `WINDOW` bytes are equal are
-repeats.  Windows that repeat within one text are found where the anchors are made, and one of each goes on, so periodic
+remaining suffixes are sorted by first symbol and rank and merged in.  Adjacent suffixes whose prefixes of `WINDOW` bytes are equal,
+byte by byte, are repeats.  Windows that repeat within one text are found where the anchors are made, and one of each goes on, so periodic
 text stays small.  Anchors at more than `HOT_ANCHORS` places are compared by hashes of their windows in an aggregation.
 
 Texts are known by a 128-bit hash; a text that has copies repeats as a whole.  Null and empty texts have no bytes; texts
@@ -34,6 +34,8 @@ HOT_ANCHORS = 20_000
 #: Bytes of contexts that are sorted at a time (a larger anchor group is sorted by itself), and of a stretch of text.
 SORT_BYTES = 3 << 19
 STRETCH = 2 << 20
+#: Bytes that are compared at a time.
+COMPARE_BYTES = 1 << 20
 _LOW = (1 << 24) - 1
 
 
@@ -216,6 +218,42 @@ def suffix_order(t: np.ndarray, covered: int = 1, enough: int = WINDOW + 2) -> n
     return out
 
 
+def equal_prefixes(data: np.ndarray, order: np.ndarray, window: int) -> np.ndarray:
+    """Whether each suffix in an order and the next have equal first `window` bytes, by the bytes themselves.
+
+    Hashes pick the pairs to compare.  Pairs at one distance whose starts follow each other share their bytes, so each
+    stretch of them is compared once.
+    """
+    b = Block(data, np.array([0, len(data)]), 0)
+    h = b.hashes(b.prefix(data), order, order + window)
+    same = h[1:] == h[:-1]
+    at = np.flatnonzero(same)
+    p, far = order[at], order[at + 1] - order[at]
+    by = np.lexsort((p, far))
+    at, p, far = at[by], p[by], far[by]
+    first = np.flatnonzero(np.concatenate([[True], (far[1:] != far[:-1]) | (p[1:] != p[:-1] + 1)])) if len(p) else at
+    n = np.diff(np.concatenate([first, [len(p)]]))
+    for a, z in _spans(n + window, COMPARE_BYTES):
+        size = n[a:z] + window - 1
+        base = np.cumsum(size) - size
+        place = np.arange(size.sum()) - np.repeat(base - p[first[a:z]], size)
+        wrong = np.concatenate([[0], np.cumsum(data[place] != data[place + np.repeat(far[first[a:z]], size)])])
+        if wrong[-1]:
+            rows = np.arange(first[a], first[z - 1] + n[z - 1])
+            start = rows - first[a] - np.repeat(np.cumsum(n[a:z]) - n[a:z], n[a:z]) + np.repeat(base, n[a:z])
+            same[at[rows]] = wrong[start + window] == wrong[start]
+    return same
+
+
+def _spans(sizes: np.ndarray, limit: int):
+    """Ranges of items whose sizes add up to about `limit`."""
+    ends, a = np.cumsum(sizes), 0
+    while a < len(sizes):
+        z = max(a + 1, int(np.searchsorted(ends, (ends[a - 1] if a else 0) + limit, "right")))
+        yield a, z
+        a = z
+
+
 def repeated_starts(parts: list[bytes], counts: np.ndarray, window: int = WINDOW) -> tuple[np.ndarray, np.ndarray]:
     """(part, start in it) of the windows that occur at two places or more among the parts."""
     size = np.array([len(p) for p in parts], np.int64)
@@ -226,9 +264,7 @@ def repeated_starts(parts: list[bytes], counts: np.ndarray, window: int = WINDOW
     start = order - base[part]
     valid = start < counts[part]
     order, part, start = order[valid], part[valid], start[valid]
-    b = Block(data, np.array([0, len(data)]), 0)
-    h = b.hashes(b.prefix(data), order, order + window)
-    same = h[1:] == h[:-1]
+    same = equal_prefixes(data, order, window)
     twice = np.concatenate([same, [False]]) | np.concatenate([[False], same]) if len(order) else np.zeros(0, bool)
     return part[twice], start[twice]
 

@@ -181,6 +181,23 @@ def test_shallow_suffix_order_groups_prefixes(symbols, width):
     assert [p for p in prefixes] == sorted(prefixes)
 
 
+@pytest.mark.parametrize("honest", [True, False])
+def test_prefixes_are_compared_by_bytes(monkeypatch, honest):
+    """Also where every hash is equal, so that bytes alone tell."""
+    if not honest:
+        monkeypatch.setattr(suffix_dedup.Block, "hashes", staticmethod(lambda s, a, b: np.zeros(len(a), np.uint64)))
+    monkeypatch.setattr(suffix_dedup, "COMPARE_BYTES", 50)
+    rng = random.Random(5)
+    for _ in range(60):
+        text = bytes(rng.choice(b"ab") for _ in range(rng.randint(12, 90)))
+        text += text[: rng.randint(5, 40)]
+        window = rng.randint(2, 9)
+        data = np.frombuffer(text, np.uint8)
+        order = np.array(sorted(range(len(text) - window + 1), key=lambda i: (text[i : i + window], rng.random())))
+        want = [text[i : i + window] == text[j : j + window] for i, j in zip(order, order[1:])]
+        assert suffix_dedup.equal_prefixes(data, order, window).tolist() == want
+
+
 def test_long_text_in_stretches(spark, monkeypatch):
     monkeypatch.setattr(suffix_dedup, "STRETCH", 3000)
     monkeypatch.setattr(suffix_dedup, "SORT_BYTES", 2000)
