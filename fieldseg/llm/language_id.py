@@ -6,7 +6,8 @@ them (Nystroem), one language against the rest, is solved from sums that tasks m
 them, by products of presence matrices with the landmarks' combined weights, and its scores are the means by length.
 
 The fit uses `FIT_ROWS` training texts at most in expectation, as many of each language; scoring covers every text.  Null
-texts and texts without a letter are `und` with score 0, as is everything where there is no training row.
+texts and texts without a letter are `und` with score 0, as is everything where there is no training row.  A language is a
+column of the model, so more than `MOST_LANGUAGES` distinct values of `lang` are an error and not a larger model.
 """
 
 from __future__ import annotations
@@ -24,6 +25,7 @@ WIDTH = 1 << 14
 PIECE = 2000
 LANDMARKS = 160
 FIT_ROWS = 6000
+MOST_LANGUAGES = 500
 RIDGE = 1e-3
 _LETTER = np.zeros(256, bool)
 _LETTER[65:91] = _LETTER[97:123] = True
@@ -90,7 +92,9 @@ class Model:
 def fit(rows: DataFrame, seed: int = 5) -> Model:
     """The model from (doc_id, text, lang) training rows; rows without a language are ignored."""
     rows = rows.where("lang is not null and text is not null and text <> ''")
-    counts = {r.lang: r["count"] for r in rows.groupBy("lang").count().collect()}
+    counts = {r.lang: r["count"] for r in rows.groupBy("lang").count().limit(MOST_LANGUAGES + 1).collect()}
+    if len(counts) > MOST_LANGUAGES:
+        raise ValueError(f"more than {MOST_LANGUAGES} languages")
     languages = sorted(counts)
     if not languages:
         return Model([], np.zeros((WIDTH, 0)))
