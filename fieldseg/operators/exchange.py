@@ -5,7 +5,7 @@ has reached its end.  All strategies give the same rows:
 
 * `replicate`: the raw table goes to every task, and each follows its own copy;
 * `coordinator`: the driver follows the table once and sends the result;
-* `neighbour`: one hop a round, from block to block;
+* `neighbour`: each round a block hears from the blocks it touches alone, so an end travels one block a round;
 * `shuffle`: pointer doubling on the distributed table, for boundaries of any size;
 * `auto`: the driver where the counted boundary is small, else `shuffle`.
 """
@@ -19,10 +19,13 @@ from pyspark.sql import functions as F
 
 from fieldseg.operators.kernels import double
 from fieldseg.operators.pointers import compress
+from fieldseg.runtime import cut, fresh
 
 STRATEGIES = ("replicate", "coordinator", "neighbour", "shuffle")
 #: Rows of a boundary that the driver or a broadcast may hold.
 SMALL_BOUNDARY = 2_000_000
+#: Blocks that a path may cross, one after another, in the exchange between neighbours.
+MOST_BLOCKS_CROSSED = 1 << 20
 
 
 class BoundaryTooLarge(RuntimeError):
@@ -63,11 +66,41 @@ def resolve(boundary: DataFrame, names: list[str], strategy: str = "auto", small
 
         rounds = max([0, *(double(a["id"], a[c])[1] for c in names)])
         return boundary.select("id").mapInArrow(follow, schema), rounds
-    if strategy in ("neighbour", "shuffle"):
-        return compress(boundary, mode="chase" if strategy == "neighbour" else "doubling", name=names)
+    if strategy == "neighbour":
+        out, messages = by_neighbours(boundary, names)
+        return out, len(messages)
+    if strategy == "shuffle":
+        return compress(boundary, name=names)
     raise ValueError(f"unknown strategy {strategy}")
 
 
+def by_neighbours(boundary: DataFrame, names: list[str]) -> tuple[DataFrame, list[int]]:
+    """(id, names...) with every pointer at its end, and the vertices that had news in each round.
+
+    A pointer of the table leads to a ghost, whose owner touches the block.  All that a vertex is told, round by round, is where
+    that ghost has got to, so no block asks one that it doesn't touch.
+    """
+    firsts = [f"_first_{c}" for c in names]
+    state = cut(boundary.select("id", *(F.col(c).alias(f) for c, f in zip(names, firsts)), *names))
+    news = F.lit(False)
+    for c in names:
+        news |= F.col(c) != F.col(f"_q_{c}")
+    messages: list[int] = []
+    while True:
+        moved = state
+        for c, first in zip(names, firsts):
+            heard = state.select(F.col("id").alias("_i"), F.col(c).alias("_p"))
+            moved = moved.join(heard, F.col(first) == F.col("_i"), "left").withColumn(f"_q_{c}", F.coalesce("_p", c)).drop("_i", "_p")
+        moved = fresh(moved)
+        changed = moved.where(news).count()
+        if not changed:
+            return state.select("id", *names), messages
+        messages.append(changed)
+        if len(messages) > MOST_BLOCKS_CROSSED:
+            raise RuntimeError("pointers form a cycle")
+        state = moved.select("id", *firsts, *(F.col(f"_q_{c}").alias(c) for c in names))
+
+
 def substitute(owned: DataFrame, boundary: DataFrame, names: list[str], small: int = SMALL_BOUNDARY) -> DataFrame:
     """`owned` with each pointer that ends at a boundary vertex moved on to that one's end; one sweep."""
     fits = boundary.limit(small + 1).count() <= small

@@ -21,13 +21,8 @@ from fieldseg.runtime import cut
 NAMES = {"up": "max_id", "down": "min_id"}
 
 
-def block_pointers(df: DataFrame, blocks: Blocks, directions: tuple[str, ...] = ("up", "down"), by: str = "f", in_place: bool = True, precompress: bool = False) -> DataFrame:
-    """(id, max_id, min_id, shared, rounds) of the owned vertices after the local compression.
-
-    Pointers end at an extremum of the block or at a ghost.  `shared` marks vertices that other blocks hold as ghosts; with
-    `precompress`, only those whose pointer leaves the block (others are ends for whoever points there).
-    """
-    spec = blocks.spec
+def solver(spec: GridSpec, directions: tuple[str, ...] = ("up", "down"), in_place: bool = True, precompress: bool = False):
+    """The kernel of one block: its halo table (id, f, is_ghost, shared) to (id, max_id, min_id, shared, rounds)."""
     neighbours = GridNeighbours(spec.dims, spec.stencil())
     names = [NAMES[d] for d in directions]
 
@@ -52,10 +47,24 @@ def block_pointers(df: DataFrame, blocks: Blocks, directions: tuple[str, ...] =
             shared = shared & leaves
         return pa.table({"id": ids[own], **cols, "shared": shared[own], "rounds": np.full(int(own.sum()), rounds)})
 
+    return solve
+
+
+def block_tables(df: DataFrame, blocks: Blocks, by: str = "f") -> DataFrame:
+    """(id, f, block, is_ghost, shared): what the blocks hold."""
     halo = blocks.halo(df.select("id", F.col(by).alias("f")))
-    halo = halo.withColumn("shared", F.size(blocks.needed_by()) > 1 if blocks.n > 1 else F.lit(False))
+    return halo.withColumn("shared", F.size(blocks.needed_by()) > 1 if blocks.n > 1 else F.lit(False))
+
+
+def block_pointers(df: DataFrame, blocks: Blocks, directions: tuple[str, ...] = ("up", "down"), by: str = "f", in_place: bool = True, precompress: bool = False) -> DataFrame:
+    """(id, max_id, min_id, shared, rounds) of the owned vertices after the local compression.
+
+    Pointers end at an extremum of the block or at a ghost.  `shared` marks vertices that other blocks hold as ghosts; with
+    `precompress`, only those whose pointer leaves the block (others are ends for whoever points there).
+    """
+    names = [NAMES[d] for d in directions]
     schema = "id long, " + ", ".join(f"{n} long" for n in names) + ", shared boolean, rounds long"
-    return halo.groupBy("block").applyInArrow(solve, schema)
+    return block_tables(df, blocks, by).groupBy("block").applyInArrow(solver(blocks.spec, directions, in_place, precompress), schema)
 
 
 def blockwise(df: DataFrame, spec: GridSpec, blocks: Blocks | int | None = None, directions: tuple[str, ...] = ("up", "down"), exchange: str = "auto", precompress: bool = False, by: str = "f", in_place: bool = True) -> DataFrame:

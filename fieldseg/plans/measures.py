@@ -70,6 +70,34 @@ def memory_model(df: DataFrame, blocks: Blocks, id_bytes: int = 8) -> DataFrame:
     return h.select(F.lit(blocks.n).cast("long").alias("blocks"), "vertices", "ghosts", (F.col("vertices") * id_bytes + F.col("ghosts") * 3 * id_bytes).alias("bytes"))
 
 
+def observed_memory(df: DataFrame, blocks: Blocks) -> DataFrame:
+    """(block, vertices, ghosts, model, peak): bytes of the model, and the most that the kernel of each block held at a time.
+
+    The peak is what Python and NumPy allocate while the block is solved, without its input table.
+    """
+    import tracemalloc
+
+    import numpy as np
+    import pyarrow as pa
+
+    from fieldseg.operators.segment import block_tables, solver
+
+    solve = solver(blocks.spec)
+
+    def run(key, table):
+        tracemalloc.start()
+        try:
+            solve(table.drop_columns(["block"]))
+            peak = tracemalloc.get_traced_memory()[1]
+        finally:
+            tracemalloc.stop()
+        ghosts = int(np.sum(table["is_ghost"].to_numpy(zero_copy_only=False)))
+        vertices = table.num_rows - ghosts
+        return pa.table({"block": [key[0].as_py()], "vertices": [vertices], "ghosts": [ghosts], "model": [8 * vertices + 24 * ghosts], "peak": [peak]})
+
+    return block_tables(df, blocks).groupBy("block").applyInArrow(run, "block long, vertices long, ghosts long, model long, peak long")
+
+
 def _beside(*rows: DataFrame) -> DataFrame:
     """The columns of one-row tables of counts side by side, without a join."""
     names = [c for r in rows for c in r.columns]
@@ -116,12 +144,19 @@ def stability(timings: DataFrame) -> DataFrame:
 
 
 def communication(df: DataFrame, blocks: Blocks, strategy: str = "auto", id_bytes: int = 8) -> dict[str, int]:
-    """What one segmentation moves between blocks: ghost records, boundary vertices, bytes of the boundary table, rounds."""
+    """What one segmentation moves between blocks: ghost records, boundary vertices, bytes of the boundary table, rounds.
+
+    `neighbour_rounds` and `neighbour_bytes` are those of the exchange between touching blocks, in which a vertex with news sends
+    its id and two pointers to each block that holds it; the others gather the boundary once and hand it out once.
+    """
     from fieldseg.operators import exchange, segment
     from fieldseg.runtime import cut
 
     local = cut(segment.block_pointers(df, blocks))
     boundary = local.where("shared").select("id", "max_id", "min_id")
     _, rounds = exchange.resolve(boundary, ["max_id", "min_id"], strategy)
-    n = boundary.count()
-    return {"ghosts": blocks.requests(df).count(), "boundary": n, "bytes": 3 * id_bytes * n, "exchange_rounds": rounds, "local_rounds": local.agg(F.max("rounds")).first()[0] or 0}
+    _, messages = exchange.by_neighbours(boundary, ["max_id", "min_id"])
+    n, ghosts = boundary.count(), blocks.requests(df).count()
+    copies = ghosts / max(1, n)
+    near = {"neighbour_rounds": len(messages), "neighbour_bytes": round(3 * id_bytes * copies * (n + sum(messages)))}
+    return {"ghosts": ghosts, "boundary": n, "bytes": 3 * id_bytes * n, "exchange_rounds": rounds, **near, "local_rounds": local.agg(F.max("rounds")).first()[0] or 0}

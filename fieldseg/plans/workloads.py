@@ -9,7 +9,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from fieldseg.functions.grid import Blocks
+from fieldseg.functions.grid import VERTEX_BYTES, Blocks
 from fieldseg.operators import baselines, components, pointers, segment
 from fieldseg.operators.order import order_field
 from fieldseg.plans import measures
@@ -75,14 +75,18 @@ def strong_components(spark: SparkSession, sf_dir: str, blocks=(1, 4, 16), repea
 
 
 def largest_that_fits(spark: SparkSession, sf_dir: str, blocks=(8, 64), start: int = 32, memory: int = 64 << 20, repeats: int = 1) -> DataFrame:
-    """The largest noise cube whose blocks stay within a memory budget, on the two largest tilings."""
-    rows = []
+    """Noise cubes of doubling sides on the two largest tilings, as long as a block stays within its memory; the first beyond is told and not run."""
+    rows, threads = [], spark.sparkContext.defaultParallelism
     for b in blocks:
         side = start
-        while (2 * side) ** 3 * 64 <= memory * b and side < 128:
+        while side**3 * VERTEX_BYTES <= memory * b:
+            f = _noise(spark, (side,) * 3)
+            rows += _run(spark, "largest", [("pointer doubling", b, lambda f=f, b=b: segment.blockwise(f.df, f.spec, b), 0)], f.spec.n, repeats)
+            if rows[-1][-1] != "ok":
+                break
             side *= 2
-        f = _noise(spark, (side,) * 3)
-        rows += _run(spark, "largest", [("pointer doubling", b, lambda f=f, b=b: segment.blockwise(f.df, f.spec, b), 0)], f.spec.n, repeats)
+        else:
+            rows.append(("largest", "pointer doubling", b, threads, side**3, None, 0, None, "beyond memory"))
     return _table(spark, rows)
 
 

@@ -115,3 +115,20 @@ def test_resampled_by_loops(spark, sf):
     for i, v in fine.items():
         x, y, z = i % 15 // 3, i // 15 % 12 // 3, i // 180 // 3
         assert v == coarse[x + 5 * (y + 4 * z)]
+
+
+def test_neighbours_hear_from_blocks_they_touch(spark):
+    """A ramp over eight blocks: an end travels one block a round, and fewer vertices have news from round to round."""
+    spec = GridSpec((32, 2))
+    df = spark.range(spec.n).select("id", (F.col("id") % 32).alias("f"))
+    local = segment.block_pointers(df, Blocks(spec, (8, 1))).where("shared").select("id", "max_id", "min_id")
+    ends, messages = exchange.by_neighbours(local, ["max_id", "min_id"])
+    assert rows(ends) == rows(exchange.resolve(local, ["max_id", "min_id"], "coordinator")[0])
+    assert len(messages) >= 6 and messages == sorted(messages, reverse=True)
+    assert len(messages) > exchange.resolve(local, ["max_id", "min_id"], "shuffle")[1]
+
+
+def test_observed_memory(spark, sf):
+    f = fields.lineitem_cube(spark, sf)
+    got = measures.observed_memory(f.df, Blocks.about(f.spec, 4)).collect()
+    assert sum(r.vertices for r in got) == f.spec.n and all(r.peak > r.model > 0 for r in got)
