@@ -77,8 +77,10 @@ def smoothed(field: Field, rounds: int = 1) -> Field:
     """Sums over the closed star, `rounds` times; integers, so no rounding."""
     df = field.df
     for _ in range(rounds):
-        spread = df.select(F.explode(field.spec.neighbours(closed=True)).alias("id"), "f")
-        df = spread.join(df.select("id"), "id", "left_semi").groupBy("id").agg(F.sum("f").alias("f"))
+        # vertices that don't exist never hear from themselves and are left out
+        spread = df.select(F.explode(field.spec.neighbours(closed=True)).alias("_fs_to"), "f", F.col("id").alias("_fs_from"))
+        sums = spread.groupBy("_fs_to").agg(F.sum("f").alias("f"), F.bool_or(F.col("_fs_to") == F.col("_fs_from")).alias("_fs_own"))
+        df = sums.where("_fs_own").select(F.col("_fs_to").alias("id"), "f")
     return Field(df, field.spec)
 
 
