@@ -13,7 +13,7 @@ import numpy as np
 import pyarrow as pa
 
 #: Texts are worked on in blocks of about so many bytes; one longer text is one block.
-BLOCK_BYTES = 4 << 20
+BLOCK_BYTES = 1 << 19
 _BASE = 0x9E3779B97F4A7C15 | 1
 _MASK = (1 << 64) - 1
 _INV = pow(_BASE, -1, 1 << 64)
