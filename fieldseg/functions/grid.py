@@ -10,9 +10,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 AXES = ("x", "y", "z")
-#: Bytes that a block may take in one task, and that a vertex takes of them.
-BLOCK_BYTES = 256 << 20
-VERTEX_BYTES = 64
+#: Bytes that a block may take in one task, and that a vertex takes of them (the kernel's observed peak and the input table).
+BLOCK_BYTES = 512 << 20
+VERTEX_BYTES = 192
 
 
 @dataclass(frozen=True)
