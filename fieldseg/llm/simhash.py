@@ -238,7 +238,9 @@ BROADCAST_ENDS = 200_000
 KERNEL_BYTES = 1 << 19
 #: Runs of so many rows are compared together with others; longer ones by themselves, so many rows at a time.
 RUN_ROWS = 64
-BLOCK_ROWS = 1024
+BLOCK_ROWS = 512
+#: Pairs that a task holds before it sends them on.
+PAIR_ROWS = 250_000
 
 
 def windows(b, low: np.ndarray, sizes: tuple[int, ...]):
@@ -360,66 +362,130 @@ def leader_pairs(nodes: DataFrame) -> DataFrame:
     return pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
 
 
-def _cross_pairs(similarity: float):
-    """Of rows (key, node, label, rest) with `size`, sorted by (key, size): pairs under one key, with two labels, that can be similar."""
-    least = similarity / (1 + similarity)
+def _whole_runs(batches):
+    """(columns, cuts) of the rows of whole runs of equal keys, from batches sorted by `key`; arrays of words stay matrices."""
 
-    def fits(x, i, j):
-        # if no window before this one is shared, no more than the shorter rest is; the first shared window of a pair counts
-        return (x["label"][i] != x["label"][j]) & (np.minimum(x["rest"][i], x["rest"][j]) >= least * (x["size"][i] + x["size"][j]) - 1e-9)
+    def arrays(rb):
+        return {c: rb.column(c).flatten().to_numpy().reshape(rb.num_rows, -1) if pa.types.is_list(rb.schema.field(c).type) else rb.column(c).to_numpy() for c in rb.schema.names}
 
-    def short_runs(x):
-        for d in range(1, RUN_ROWS):
-            at = np.flatnonzero(x["key"][d:] == x["key"][:-d]) if len(x["key"]) > d else np.zeros(0, np.int64)
-            if not len(at):
-                break
-            at = at[fits(x, at, at + d)]
-            yield x["node"][at], x["node"][at + d]
-
-    def long_run(x):
-        n = len(x["node"])
-        for a in range(0, n, BLOCK_ROWS):
-            z = min(n, a + BLOCK_ROWS)
-            top = int(np.searchsorted(x["size"], x["size"][z - 1] / similarity + 1e-6, "right"))
-            for c in range(a, top, BLOCK_ROWS):
-                i, j = np.arange(a, z)[:, None], np.arange(c, min(top, c + BLOCK_ROWS))[None, :]
-                i, j = np.nonzero(fits(x, i, j) & (i < j))
-                yield x["node"][a + i], x["node"][c + j]
+    held = None
+    for rb in chain(batches, (None,)):
+        if rb is not None and not rb.num_rows:
+            continue
+        x = None if rb is None else arrays(rb)
+        if held is not None:
+            x = held if x is None else {c: np.concatenate([held[c], x[c]]) for c in held}
+        if x is None or not len(x["key"]):
+            continue
+        cuts = np.concatenate([[0], np.flatnonzero(x["key"][1:] != x["key"][:-1]) + 1, [len(x["key"])]])
+        last = len(cuts) - 1 if rb is None else len(cuts) - 2
+        whole = int(cuts[last])
+        held = {c: v[whole:] for c, v in x.items()}
+        if last:
+            yield {c: v[:whole] for c, v in x.items()}, cuts[: last + 1]
+
+
+def _fits(x, i, j, similarity: float):
+    """Whether rows i and j of one run have two labels and can be similar by what is left of them behind their key."""
+    # if no window before this one is shared, no more than the shorter rest is; the first shared window of a pair counts
+    return (x["label"][i] != x["label"][j]) & (np.minimum(x["rest"][i], x["rest"][j]) >= similarity / (1 + similarity) * (x["size"][i] + x["size"][j]) - 1e-9)
+
+
+class _Pairs:
+    """Pairs of nodes, each once as long as they are held; `full` are sent on."""
+
+    def __init__(self):
+        self.parts, self.n = [np.zeros((0, 2), np.int64)], 0
+
+    def add(self, a, b):
+        if len(a):
+            self.parts.append(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1))
+            self.n += len(a)
+
+    def full(self, most: int = PAIR_ROWS):
+        if self.n <= most:
+            return np.zeros((0, 2), np.int64)
+        both = np.unique(np.concatenate(self.parts), axis=0)
+        # what is held is sent when it takes half of the room even so
+        out, keep = (both, both[:0]) if len(both) > most // 2 else (both[:0], both)
+        self.parts, self.n = [keep], len(keep)
+        return out
+
+
+def _short_runs(similarity: float):
+    """From rows (key, node, label, size, rest), sorted by (key, size): pairs (a, b) of runs of `RUN_ROWS` at most, and the rows of longer ones."""
+
+    def rows(**cols):
+        n = len(next(iter(cols.values())))
+        return pa.RecordBatch.from_arrays([pa.array(cols.get(c, np.zeros(n, np.int64))) for c in ("a", "b", "key", "label", "size", "rest")], ["a", "b", "key", "label", "size", "rest"])
 
     def run(batches):
-        names, held, ready, n_ready = ["key", "node", "label", "size", "rest"], None, [], 0
-        for rb in chain(batches, (None,)):
-            x = None if rb is None else {c: rb.column(i).to_numpy() for i, c in enumerate(names)}
-            if held is not None:
-                x = held if x is None else {c: np.concatenate([held[c], x[c]]) for c in names}
-            if x is None or not len(x["key"]):
-                continue
-            cuts = np.concatenate([[0], np.flatnonzero(x["key"][1:] != x["key"][:-1]) + 1, [len(x["key"])]])
-            last = len(cuts) - 1 if rb is None else len(cuts) - 2
-            whole, size = int(cuts[last]), np.diff(cuts[: last + 1])
-            held = {c: x[c][whole:] for c in names}
-            if last:
-                mixed = np.minimum.reduceat(x["label"][:whole], cuts[:last]) < np.maximum.reduceat(x["label"][:whole], cuts[:last])
-                some = np.repeat(mixed & (size <= RUN_ROWS), size)
-                made = list(short_runs({c: x[c][:whole][some] for c in names}))
-                for i in np.flatnonzero(mixed & (size > RUN_ROWS)):
-                    made += long_run({c: x[c][cuts[i] : cuts[i + 1]] for c in names})
-                ready += [m for m in made if len(m[0])]
-                n_ready += sum(len(m[0]) for m in made)
-            if n_ready > 1_000_000 or rb is None and n_ready:
-                a, b = (np.concatenate([m[i] for m in ready]) for i in (0, 1))
-                both = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0)
-                yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], ["a", "b"])
-                ready, n_ready = [], 0
+        ready = _Pairs()
+        for x, cuts in _whole_runs(batches):
+            size = np.diff(cuts)
+            mixed = np.minimum.reduceat(x["label"], cuts[:-1]) < np.maximum.reduceat(x["label"], cuts[:-1])
+            some = np.repeat(mixed & (size <= RUN_ROWS), size)
+            y = {c: v[some] for c, v in x.items()}
+            for d in range(1, RUN_ROWS):
+                at = np.flatnonzero(y["key"][d:] == y["key"][:-d]) if len(y["key"]) > d else np.zeros(0, np.int64)
+                if not len(at):
+                    break
+                at = at[_fits(y, at, at + d, similarity)]
+                ready.add(y["node"][at], y["node"][at + d])
+            many = np.repeat(mixed & (size > RUN_ROWS), size)
+            if many.any():
+                y = {c: v[many] for c, v in x.items()}
+                yield rows(a=y["node"], b=y["node"], key=y["key"], label=y["label"], size=y["size"], rest=y["rest"])
+            if len(out := ready.full()):
+                yield rows(a=out[:, 0], b=out[:, 1])
+        if len(out := ready.full(-1)):
+            yield rows(a=out[:, 0], b=out[:, 1])
+
+    return run
+
+
+def _long_runs(similarity: float):
+    """From rows (key, node, label, size, rest, parity), sorted by (key, size): pairs (a, b) that parities don't rule out, block by block."""
+
+    def run(batches):
+        ready = _Pairs()
+        for x, cuts in _whole_runs(batches):
+            for first, last in zip(cuts[:-1], cuts[1:]):
+                y = {c: v[first:last] for c, v in x.items()}
+                n = len(y["node"])
+                for a in range(0, n, BLOCK_ROWS):
+                    z = min(n, a + BLOCK_ROWS)
+                    top = int(np.searchsorted(y["size"], y["size"][z - 1] / similarity + 1e-6, "right"))
+                    for c in range(a, top, BLOCK_ROWS):
+                        i, j = np.arange(a, z)[:, None], np.arange(c, min(top, c + BLOCK_ROWS))[None, :]
+                        i, j = np.nonzero(_fits(y, i, j, similarity) & (i < j))
+                        i, j = a + i, c + j
+                        apart = np.bitwise_count((y["parity"][i] ^ y["parity"][j]).view(np.uint64)).sum(axis=1)
+                        ok = apart <= (y["size"][i] + y["size"][j]) * ((1 - similarity) / (1 + similarity)) + 1e-6
+                        ready.add(y["node"][i[ok]], y["node"][j[ok]])
+                        if len(out := ready.full()):
+                            yield pa.RecordBatch.from_arrays([pa.array(out[:, 0]), pa.array(out[:, 1])], ["a", "b"])
+        if len(out := ready.full(-1)):
+            yield pa.RecordBatch.from_arrays([pa.array(out[:, 0]), pa.array(out[:, 1])], ["a", "b"])
 
     return run
 
 
 def prefix_pairs(nodes: DataFrame, labels: DataFrame, similarity: float) -> DataFrame:
-    """(a, b): every pair of nodes with different labels (id, label) whose prefixes let them have the similarity."""
+    """(a, b): every pair of nodes with different labels (id, label) whose prefixes let them have the similarity.
+
+    The rows of long runs fetch their parities and are compared in a second step, so that a large group whose members are all
+    just below the similarity sends few of its pairs on.
+    """
     own = nodes.select("node", "size", "prefix").join(labels.withColumnRenamed("id", "node"), "node", "left").withColumn("label", F.coalesce("label", "node"))
     rows = own.select("node", "label", "size", F.posexplode("prefix").alias("pos", "key")).select("key", "node", "label", "size", (F.col("size") - F.col("pos")).alias("rest"))
-    return rows.repartition("key").sortWithinPartitions("key", "size").mapInArrow(_cross_pairs(similarity), "a long, b long").distinct()
+    found = cut(rows.repartition("key").sortWithinPartitions("key", "size").mapInArrow(_short_runs(similarity), "a long, b long, key long, label long, size long, rest long"))
+    pairs = found.where("a <> b").select("a", "b")
+    members = found.where("a = b").select("key", F.col("a").alias("node"), "label", "size", "rest")
+    if not members.isEmpty():
+        members = members.join(nodes.select("node", "parity"), "node").select("key", "node", "label", "size", "rest", "parity")
+        pairs = pairs.unionByName(members.repartition("key").sortWithinPartitions("key", "size").mapInArrow(_long_runs(similarity), "a long, b long"))
+    return pairs.distinct()
 
 
 def verified(pairs: DataFrame, nodes: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:

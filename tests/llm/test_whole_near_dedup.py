@@ -105,3 +105,18 @@ def test_parity_rules_out_no_similar_pair(spark):
     for i in range(200):
         a, b = ({tuple(t.split()[k : k + 5]) for k in range(max(1, len(t.split()) - 4))} for _, t in pairs[2 * i : 2 * i + 2])
         assert sum(((x ^ y) & (1 << 64) - 1).bit_count() for x, y in zip(got[2 * i], got[2 * i + 1])) <= len(a ^ b)
+
+
+def test_held_pairs_are_all_sent():
+    """Each pair comes out at least once, and one that repeats while it is held comes out once."""
+    rng = random.Random(8)
+    held, sent, put = simhash._Pairs(), [], set()
+    for _ in range(60):
+        a, b = ([rng.randrange(40) for _ in range(30)] for _ in range(2))
+        held.add(simhash.np.array(a), simhash.np.array(b))
+        put |= {(min(p), max(p)) for p in zip(a, b)}
+        sent += map(tuple, held.full(200).tolist())
+    sent += map(tuple, held.full(-1).tolist())
+    assert set(sent) == put
+    held.add(simhash.np.array([1, 2, 1]), simhash.np.array([2, 1, 2]))
+    assert held.full(-1).tolist() == [[1, 2]] and not len(held.full(-1))
