@@ -139,7 +139,9 @@ def dropped_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", m
     # lines that hold a large share of all entries are few, whatever the table: they go to all tasks, the rest are dealt by hash
     is_hot = F.col("n_docs") * hot_lines > F.lit(total)
     hot, rest = (often.where(x).drop("n_docs") for x in (is_hot, ~is_hot))
-    gone = rows.join(F.broadcast(hot), ["h1", "h2"]).unionByName(rows.join(rest, ["h1", "h2"])).where("id <> max_id")
+    hot = F.broadcast(hot)
+    cold = rows.join(hot, ["h1", "h2"], "left_anti").join(rest, ["h1", "h2"])
+    gone = rows.join(hot, ["h1", "h2"]).unionByName(cold).where("id <> max_id")
     out = cut(gone.groupBy("id").agg(F.collect_set(F.struct("h1", "h2")).alias("gone")))
     store.close()
     entries.drop()
