@@ -176,8 +176,8 @@ def _stitched(f, m) -> DataFrame:
     return comp.stitch_once(pointers.compress(ptr, name="label")[0], edges)
 
 
-def _noise(f) -> DataFrame:
-    return f.df.agg(F.count("*").alias("n"), F.min("f").alias("lo"), F.max("f").alias("hi"), F.sum("f").alias("total"))
+def _noise(df) -> DataFrame:
+    return df.agg(F.count("*").alias("n"), F.min("f").alias("lo"), F.max("f").alias("hi"), F.sum("f").alias("total"))
 
 
 def build() -> dict[str, Query]:
@@ -251,9 +251,9 @@ def build() -> dict[str, Query]:
     q["memory_model_blocks"] = _orders((4, 4), lambda f, t: measures.memory_model(f.df, t))
     q["cross_edge_pairs"] = _orders((4, 4), lambda f, t: t.requests(f.df).groupBy("owner", "needed_by").agg(F.count("*").alias("requests")))
     q["cells_from_grid"], q["extracted_cells_by_threshold"] = on("orders", _cells), _cells_by_threshold
-    q["noise_grid_stats"] = lambda s, d: _noise(synthetic.noise_grid(s, (32, 32, 32)))
-    q["bump_grid_stats"] = lambda s, d: _noise(synthetic.bump_grid(s, d))
-    q["resample_grid"] = lambda s, d: _noise(synthetic.resample(synthetic.bump_grid(s, d, (16, 16, 16)), 2))
+    q["noise_grid_stats"] = lambda s, d: _noise(synthetic.line_noise(s, d))
+    q["bump_grid_stats"] = lambda s, d: _noise(synthetic.bump_grid(s, d).df)
+    q["resample_grid"] = lambda s, d: _noise(synthetic.resample(synthetic.bump_grid(s, d, (16, 16, 16)), 2).df)
     q["stream_sessions"] = lambda s, d: feeds.drained(feeds.sessions(feeds.events_stream(s, feeds.stream_path(d, "events")), "6 hours")).withColumn("first_ts", F.col("first_ts").cast("timestamp_ntz"))
     q["stream_window_field"] = lambda s, d: feeds.drained(feeds.windowed_field(feeds.events_stream(s, feeds.stream_path(d, "events")))).withColumn("day", F.col("day").cast("timestamp_ntz"))
     q["stream_incremental_components"] = _incremental

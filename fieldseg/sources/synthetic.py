@@ -1,11 +1,11 @@
-"""Generated fields of any size, made in place from `spark.range` by column maths."""
+"""Generated fields by column maths: on grids of any size, made in place from `spark.range`, and at the rows of a given table."""
 
 from __future__ import annotations
 
 from itertools import product
 from math import prod
 
-from pyspark.sql import Column, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fieldseg.functions.grid import GridSpec
@@ -19,26 +19,37 @@ def _fade(t: Column) -> Column:
     return t * t * t * (t * (t * 6 - 15) + 10)
 
 
-def noise_grid(spark: SparkSession, dims: tuple[int, ...], frequency: float = 0.1, amplitude: float = 1.0, seed: int = 42, connectivity: str = "simplicial") -> Field:
-    """One layer of gradient noise: zero at lattice corners, blended between pseudo-random gradients.
+def _with_noise(df: DataFrame, axes: list[str], frequency: float, amplitude: float, seed: int) -> DataFrame:
+    """`df` with the noise `f` at the places that its columns `axes` tell.
 
-    Gradients are unit steps along the axes, chosen by a hash of the corner, so no table is kept.
+    Gradients are unit steps along the axes, chosen by a hash of the corner, so no table of them is kept.
     """
-    spec = GridSpec(dims, connectivity)
-    df = spec.with_coords(spark.range(spec.n))
-    axes = ["x", "y", "z"][: spec.d]
     at = {a: F.col(a) * F.lit(frequency) for a in axes}
     df = df.withColumns({f"{a}0": F.floor(at[a]).cast("long") for a in axes} | {f"{a}t": at[a] - F.floor(at[a]) for a in axes})
     total = F.lit(0.0)
-    for corner in product((0, 1), repeat=spec.d):
-        pick = F.pmod(F.xxhash64(F.lit(seed), *(F.col(f"{a}0") + c for a, c in zip(axes, corner))), F.lit(2 * spec.d))
+    for corner in product((0, 1), repeat=len(axes)):
+        pick = F.pmod(F.xxhash64(F.lit(seed), *(F.col(f"{a}0") + c for a, c in zip(axes, corner))), F.lit(2 * len(axes)))
         steps = [F.when(pick == 2 * i, F.col(f"{a}t") - c).when(pick == 2 * i + 1, c - F.col(f"{a}t")).otherwise(0.0) for i, (a, c) in enumerate(zip(axes, corner))]
         weight = F.lit(1.0)
         for a, c in zip(axes, corner):
             fade = _fade(F.col(f"{a}t"))
             weight = weight * (fade if c else 1 - fade)
         total = total + weight * sum(steps[1:], steps[0])
-    return Field(df.select("id", F.round(total * amplitude * SCALE).cast("long").alias("f")), spec)
+    return df.withColumn("f", F.round(total * amplitude * SCALE).cast("long")).drop(*(f"{a}{k}" for a in axes for k in "0t"))
+
+
+def noise_grid(spark: SparkSession, dims: tuple[int, ...], frequency: float = 0.1, amplitude: float = 1.0, seed: int = 42, connectivity: str = "simplicial") -> Field:
+    """One layer of gradient noise: zero at lattice corners, blended between pseudo-random gradients."""
+    spec = GridSpec(dims, connectivity)
+    df = spec.with_coords(spark.range(spec.n))
+    return Field(_with_noise(df, ["x", "y", "z"][: spec.d], frequency, amplitude, seed).select("id", "f"), spec)
+
+
+def line_noise(spark: SparkSession, sf_dir: str, frequency: float = 0.1, amplitude: float = 1.0, seed: int = 42) -> DataFrame:
+    """(x, y, z, f): the same noise at the vertex of each line, which is its ship day, part and supplier."""
+    line = table(spark, sf_dir, "lineitem")
+    places = line.select(F.unix_date(F.to_date("l_shipdate")).cast("long").alias("x"), F.col("l_partkey").cast("long").alias("y"), F.col("l_suppkey").cast("long").alias("z"))
+    return _with_noise(places, ["x", "y", "z"], frequency, amplitude, seed)
 
 
 def bump_grid(spark: SparkSession, sf_dir: str, dims: tuple[int, ...] = (32, 32, 32), n_centres: int | None = None, width: float = 4.0, connectivity: str = "simplicial") -> Field:

@@ -1,6 +1,7 @@
 """What holds at any size: blocks from memory, stretches of a line, quantiles by position, measures of runs that don't fit; and generated fields by plain loops."""
 
 import math
+from itertools import product
 
 import pytest
 from helpers import rows
@@ -107,6 +108,27 @@ def test_noise_by_loops(spark):
         assert abs(got[i] - total * synthetic.SCALE) <= 1, i
 
 
+def test_noise_of_lines_by_loops(spark, sf):
+    """The noise statistics come from the lines: each line's ship day, part and supplier is a vertex of its own lattice cell."""
+    import duckdb
+
+    places = duckdb.sql(f"select cast(l_shipdate as date) - date '1970-01-01', l_partkey, l_suppkey from '{sf}/lineitem.parquet'").fetchall()
+    cells = {tuple(math.floor(c * 0.1) + s for c, s in zip(p, d)) for p in places for d in product((0, 1), repeat=3)}
+    corner = spark.createDataFrame(sorted(cells), "x long, y long, z long")
+    pick = {(r.x, r.y, r.z): r.p for r in corner.withColumn("p", F.pmod(F.xxhash64(F.lit(42), "x", "y", "z"), F.lit(6))).collect()}
+    want = []
+    for p in places:
+        base, t = [math.floor(c * 0.1) for c in p], [c * 0.1 - math.floor(c * 0.1) for c in p]
+        fade, total = [x * x * x * (x * (x * 6 - 15) + 10) for x in t], 0.0
+        for d in product((0, 1), repeat=3):
+            g = pick[tuple(b + s for b, s in zip(base, d))]
+            step = (t[g // 2] - d[g // 2]) * (1 if g % 2 == 0 else -1)
+            total += math.prod(x if s else 1 - x for x, s in zip(fade, d)) * step
+        want.append(total * synthetic.SCALE)
+    r = queries.build()["noise_grid_stats"](spark, sf).first()
+    assert r.n == len(places) and abs(r.lo - min(want)) <= 1 and abs(r.hi - max(want)) <= 1 and abs(r.total - sum(want)) <= len(want)
+
+
 def test_resampled_by_loops(spark, sf):
     f = synthetic.bump_grid(spark, sf, (5, 4, 3))
     coarse = {r.id: r.f for r in f.df.collect()}
