@@ -10,9 +10,10 @@ Keys are made for distinct fingerprints only.  Keys with few members give pairs,
 `RUN` members links its fingerprints through their one-bit neighbours instead, which joins exactly those within two bits and
 costs 65 rows a member, so no group makes all its pairs.  Components are found by distributed contraction.
 
-`near_dedup` is the wider form for similar texts: two texts whose five-word windows have a similarity of 0.8 differ in more
-bits than a pigeonhole bears, so windows themselves are the keys: in one order of all windows, rare ones first, similar texts
-share one of their first fifth.  Sketches rule out chance candidates, and sets of windows decide all others.
+`near_dedup` drops similar texts.  The fingerprints, their Golay keys and links are those above; each linked pair is checked
+by its sets of five-word windows.  Texts of a similarity of 0.8 may differ in more bits than a pigeonhole bears, so an exact way
+follows for the pairs of those that are still apart: in one order of all windows, rare ones first, similar texts share one of their
+first fifth.  Sketches rule out chance candidates, and sets of windows decide all others.
 
 Nulls and texts without words have fingerprint zero, linked like any other.  Repeated rows are returned each.
 """
@@ -349,6 +350,19 @@ def digests(docs: DataFrame, text: str, node: list, shingle: int, similarity: fl
     return own.mapInArrow(run, "n1 long, n2 long, doc_id long, size long, score long, prefix array<long>, least array<long>, sketch array<long>, parity array<long>")
 
 
+def simhash_pairs(prints: DataFrame) -> DataFrame:
+    """(a, b): links that join exactly the nodes of (node, fp) whose fingerprints are equal or within two bits, by Golay keys.
+
+    Nodes of one fingerprint are tied to the least of them, which stands for them in the links between fingerprints.
+    """
+    prints = cut(prints)
+    hubs = cut(prints.groupBy("fp").agg(F.min("node").alias("hub")))
+    same = prints.join(hubs, "fp").where("node <> hub").select(F.col("node").alias("a"), F.col("hub").alias("b"))
+    a, b = (hubs.select(F.col("fp").alias(x), F.col("hub").alias(f"hub_{x}")) for x in "ab")
+    links = near_links(hubs.select("fp")).join(a, "a").join(b, "b").select(F.col("hub_a").alias("a"), F.col("hub_b").alias("b"))
+    return same.unionByName(links).select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+
+
 def leader_pairs(nodes: DataFrame) -> DataFrame:
     """(a, b): each node with some that share a least hash.
 
@@ -514,22 +528,23 @@ def verified(pairs: DataFrame, nodes: DataFrame, texts: DataFrame, shingle: int,
     return cut(exact.where(shared >= (total - shared) * similarity).select("a", "b"))
 
 
-def similar_pairs(nodes: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
+def similar_pairs(nodes: DataFrame, prints: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
     """(a, b): pairs of the similarity that join exactly the nodes that all such pairs join.
 
-    Nodes are linked to leaders first.  Then every node takes part in the search for all other pairs, which leaves out those alone
-    that have one label by then.
+    Nodes are linked by their fingerprints (node, fp) and to leaders first, which tie what two bits don't reach.  Then every node
+    takes part in the search for all other pairs, which leaves out those alone that have one label by then.
     """
-    stars = verified(leader_pairs(nodes), nodes, texts, shingle, similarity)
-    labels = cut(contract_components(stars, "a", "b"))
-    return stars.unionByName(verified(prefix_pairs(nodes, labels, similarity), nodes, texts, shingle, similarity))
+    found = verified(simhash_pairs(prints).unionByName(leader_pairs(nodes)).distinct(), nodes, texts, shingle, similarity)
+    labels = cut(contract_components(found, "a", "b"))
+    return found.unionByName(verified(prefix_pairs(nodes, labels, similarity), nodes, texts, shingle, similarity))
 
 
 def near_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = 5, similarity: float = SIMILARITY) -> DataFrame:
     """One document of each group of near copies: the smallest id (nulls last), one of its copies; columns unchanged.
 
-    Groups are joined by pairs whose `shingle`-word windows have a Jaccard similarity of `similarity` or more.  All such pairs
-    share a window of their prefixes, are candidates by that and verified by their windows.  Copies of a text are one node from the start.
+    Groups are joined by pairs whose `shingle`-word windows have a Jaccard similarity of `similarity` or more.  Fingerprints within
+    two bits link first, verified by windows.  All such pairs share a window of their prefixes, by which those that fingerprints leave
+    apart are candidates, verified likewise.  Copies of a text are one node from the start.
     """
     body = F.coalesce(F.col(text), F.lit(""))
     n1, n2 = F.xxhash64(body), F.xxhash64(F.lit(13), body)
@@ -539,7 +554,8 @@ def near_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shin
     # copies of a text share their node, so the map-side minimum leaves one row a text and task
     nodes = cut(prints.groupBy("n1", "n2").agg(F.min(row).alias("head"), *(F.first(c).alias(c) for c in ("size", "score", "prefix", "least", "sketch", "parity"))).withColumnRenamed("n1", "node"))
     texts = docs.select(n1.alias("node"), F.col(doc_id).cast("long").alias("doc_id"), body.alias("text"))
-    labels = contract_components(similar_pairs(nodes, texts, shingle, similarity), "a", "b")
+    own = fingerprints(docs.select(n1.alias("node"), body.alias("text")), "node").select(F.col("doc_id").alias("node"), "fp").distinct()
+    labels = contract_components(similar_pairs(nodes, own, texts, shingle, similarity), "a", "b")
     heads = nodes.select("node", "head").join(labels.withColumnRenamed("id", "node"), "node", "left").groupBy(F.coalesce("label", "node").alias("label")).agg(F.min("head").alias("head"))
     heads = heads.select(F.col("head.doc_id").alias("_fs_id"), F.col("head.n1").alias("_fs_n1"), F.col("head.n2").alias("_fs_n2"))
     kept = docs.join(heads, F.col(doc_id).cast("long").eqNullSafe(F.col("_fs_id")) & (n1 == F.col("_fs_n1")) & (n2 == F.col("_fs_n2")), "left_semi")

@@ -120,3 +120,46 @@ def test_held_pairs_are_all_sent():
     assert set(sent) == put
     held.add(simhash.np.array([1, 2, 1]), simhash.np.array([2, 1, 2]))
     assert held.full(-1).tolist() == [[1, 2]] and not len(held.full(-1))
+
+
+def nothing(nodes, *_):
+    return nodes.select(nodes.node.alias("a"), nodes.node.alias("b")).limit(0)
+
+
+def test_fingerprints_alone_link_texts_within_two_bits(spark, monkeypatch):
+    """Without leaders and the exact search, SimHash and its Golay keys join the long texts that differ in a word at the end."""
+    monkeypatch.setattr(simhash, "leader_pairs", nothing)
+    monkeypatch.setattr(simhash, "prefix_pairs", nothing)
+    rng = random.Random(9)
+    texts = []
+    for _ in range(20):
+        t = text(rng, 1500)
+        texts += [" ".join(t), " ".join([*t, "more"])]
+    fps = [int(simhash.majority(simhash.np.array(h, simhash.np.uint64), simhash.np.zeros(len(h), int), 1)[0]) for h in (simhash.shingle_hashes(t.encode()) for t in texts)]
+    near = [i for i in range(0, 40, 2) if (fps[i] ^ fps[i + 1]).bit_count() <= 2]
+    assert len(near) > 10
+    assert survivors(spark, texts) == [i for i in range(40) if i - 1 not in near]
+
+
+def test_simhash_pairs_join_what_two_bits_join(spark):
+    """Components by every pair of fingerprints, with equal ones, chains and far ones."""
+    rng = random.Random(10)
+    fps = []
+    for _ in range(30):
+        f = rng.getrandbits(64)
+        for _ in range(rng.randint(1, 5)):
+            fps.append(f)
+            f ^= sum(1 << b for b in rng.sample(range(64), rng.choice((0, 1, 2, 3))))
+    rows = [(1000 + i, f - (1 << 64) if f >> 63 else f) for i, f in enumerate(fps)]
+    got = [(r.a - 1000, r.b - 1000) for r in simhash.simhash_pairs(spark.createDataFrame(rows, "node long, fp long")).collect()]
+    want = brute.components(len(fps), lambda a, b: (fps[a] ^ fps[b]).bit_count() <= 2)
+    linked = set(got)
+    assert brute.components(len(fps), lambda a, b: (a, b) in linked or (b, a) in linked) == want
+
+
+def test_linked_fingerprints_are_checked_by_windows(spark):
+    """A line that repeats outweighs all else in a fingerprint, but the texts around it differ and both stay."""
+    rng = random.Random(11)
+    texts = [" ".join([*["over and over"] * 400, *text(rng, 40)]) for _ in range(3)]
+    assert len({simhash.majority(simhash.np.array(h, simhash.np.uint64), simhash.np.zeros(len(h), int), 1)[0] for h in map(simhash.shingle_hashes, map(str.encode, texts))}) == 1
+    assert survivors(spark, texts) == [0, 1, 2]
